@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from commlens.llm import bpe, token_store
+from commlens.llm import bpe, quality, simhash, token_store
 from commlens.llm.common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,12 +16,20 @@ def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(documents(spark, sf_dir))
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge_documents(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.link_documents(documents(spark, sf_dir))
+
+
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.round_trip(spark, documents(spark, sf_dir))
 
 
 def queries() -> dict[str, Query]:
-    named = [op1_bpe, op6_token_store]
+    named = [op1_bpe, op2_quality, op3_simhash, op6_token_store]
     return {f.__name__: f for f in named}
 
 
