@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from commlens.llm import bpe, quality, simhash, token_store
+from commlens.llm import bpe, langid, quality, simhash, token_store, toxicity
 from commlens.llm.common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -24,12 +24,22 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.link_documents(documents(spark, sf_dir))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return toxicity.score_documents(docs, *toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.round_trip(spark, documents(spark, sf_dir))
 
 
+def op8_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return langid.predict_documents(docs, langid.fit(docs))
+
+
 def queries() -> dict[str, Query]:
-    named = [op1_bpe, op2_quality, op3_simhash, op6_token_store]
+    named = [op1_bpe, op2_quality, op3_simhash, op4_toxicity, op6_token_store, op8_langid]
     return {f.__name__: f for f in named}
 
 
