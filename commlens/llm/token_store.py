@@ -18,7 +18,9 @@ import functools
 import os
 import struct
 import zlib
+from array import array
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +33,8 @@ from commlens.llm.common import Scratch, column_text
 
 #: Ids in a segment, but for a document that has more.
 SEGMENT_IDS = 1 << 20
-KEPT_PIECES = 400_000
+#: Words kept with their ids in each worker. When full, the half that came last goes: common words come early.
+KEPT_UNITS = 1_000_000
 _SAMPLE = 64
 _HEAD = struct.Struct("<4sBBHQQ")
 _MAGIC = b"EFID"
@@ -112,8 +115,10 @@ def read_segment(raw: bytes) -> tuple[EliasFano, np.ndarray]:
 
 
 class PieceEncoder:
-    """A byte-level tokenizer of the tokenizers library with a store of pieces already encoded: the
-    library works on pieces one by one, so a piece has the same ids wherever it stands."""
+    """A byte-level tokenizer of the tokenizers library with a store of words already encoded: the
+    library works on the pattern's pieces one by one, so a run of whole pieces has the same ids wherever it
+    stands. Where single spaces and line ends alone part a text's words, no piece crosses from a word to the next
+    space; a word after a space, and a word after a line end, are then such runs. Other texts go by pieces."""
 
     def __init__(self, path: str) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -125,21 +130,71 @@ class PieceEncoder:
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.width = 2 if self.tokenizer.get_vocab_size() <= 1 << 16 else 4
         self._cut = regex.compile(_PIECES.replace("[^\\s", "[^\\p{White_Space}").replace("\\s", "\\p{White_Space}").replace("\\S", "\\P{White_Space}")).findall
-        self._kept: dict[str, bytes] = {}
+        self._spaced: dict[str, bytes] = {}
+        self._lined: dict[str, bytes] = {}
+        self._pieces: dict[str, bytes] = {}
+        self._marks = dict(zip(".,", self._raw([".", ","]), strict=True))
+
+    def _raw(self, texts: list[str]) -> list[bytes]:
+        code = "H" if self.width == 2 else "I"
+        return [array(code, got.ids).tobytes() for got in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn_spaced(self, words: set[str]) -> None:
+        spaced, marks = self._spaced, self._marks
+        ended = [w for w in words if w[-1] in marks and w[-2:-1].isalpha()]
+        plain = list(words.difference(ended).union(w[:-1] for w in ended if w[:-1] not in spaced))
+        spaced.update(zip(plain, self._raw([" " + w for w in plain]), strict=True))
+        for w in ended:
+            spaced[w] = spaced[w[:-1]] + marks[w[-1]]
+
+    def _room(self, kept: dict[str, bytes]) -> dict[str, bytes]:
+        return dict(islice(kept.items(), KEPT_UNITS // 2)) if len(kept) > KEPT_UNITS else kept
+
+    def _by_pieces(self, text: str) -> bytes:
+        pieces, kept = self._cut(text), self._pieces
+        new = list(set(pieces).difference(kept))
+        kept.update(zip(new, self._raw(new), strict=True))
+        return b"".join(map(kept.__getitem__, pieces))
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        kept = self._kept
-        if len(kept) > KEPT_PIECES:
-            kept.clear()
-        pieces = [None if any(s in t for s in self.special) else self._cut(t) for t in texts]
-        new = list(set().union(*(p for p in pieces if p)) - kept.keys())
-        kind = f"<u{self.width}"
-        for piece, got in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            kept[piece] = np.array(got.ids, dtype=kind).tobytes()
-        return [
-            np.frombuffer(b"".join(map(kept.__getitem__, p)), kind) if p is not None else np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, dtype=kind)
-            for t, p in zip(texts, pieces, strict=True)
-        ]
+        self._spaced, self._lined, self._pieces = map(self._room, (self._spaced, self._lined, self._pieces))
+        spaced, lined = self._spaced, self._lined
+        out: list = []
+        new_spaced: set[str] = set()
+        new_lined: set[str] = set()
+        for text in texts:
+            words = text.split()
+            if any(s in text for s in self.special):
+                out.append(array("H" if self.width == 2 else "I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes())
+            elif not words or " ".join(words) != text.replace("\n", " "):
+                out.append(self._by_pieces(text))
+            else:
+                got = list(map(spaced.get, words))
+                at = 0
+                for line in text.split("\n"):
+                    first = words[at]
+                    got[at] = lined.get(first)
+                    if got[at] is None:
+                        new_lined.add(first)
+                        got[at] = False
+                    at += line.count(" ") + 1
+                if None in got:
+                    new_spaced.update(w for w, g in zip(words, got, strict=True) if g is None)
+                out.append((words, got))
+        if new_lined:
+            some = list(new_lined)
+            lined.update(zip(some, self._raw(["\n" + w for w in some]), strict=True))
+        if new_spaced:
+            self._learn_spaced(new_spaced)
+        flat = []
+        for x in out:
+            if isinstance(x, tuple):
+                words, got = x
+                if None in got or False in got:
+                    got = [g or (spaced[w] if g is None else lined[w]) for w, g in zip(words, got, strict=True)]
+                x = b"".join(got)[self.width :]
+            flat.append(np.frombuffer(x, f"<u{self.width}"))
+        return flat
 
 
 @functools.lru_cache(maxsize=2)
