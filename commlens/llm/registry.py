@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from commlens.llm import bpe, langid, quality, simhash, token_store, toxicity
+from commlens.llm import audio, bpe, html_text, langid, quality, secret_scan, simhash, token_store, toxicity
 from commlens.llm.common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -29,17 +29,29 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_documents(docs, *toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
+def op5_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return audio.digest_documents(documents(spark, sf_dir))
+
+
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.round_trip(spark, documents(spark, sf_dir))
 
 
+def op7_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.scan_documents(documents(spark, sf_dir))
+
+
 def op8_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     return langid.predict_documents(docs, langid.fit(docs))
 
 
+def op9_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"))
+
+
 def queries() -> dict[str, Query]:
-    named = [op1_bpe, op2_quality, op3_simhash, op4_toxicity, op6_token_store, op8_langid]
+    named = [op1_bpe, op2_quality, op3_simhash, op4_toxicity, op5_audio, op6_token_store, op7_secrets, op8_langid, op9_html]
     return {f.__name__: f for f in named}
 
 
