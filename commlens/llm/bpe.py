@@ -250,3 +250,25 @@ def round_trip_digests(docs: DataFrame, path: str | None = None) -> DataFrame:
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return map_batches(docs.select("doc_id", "text"), make, f"doc_id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+
+
+def encode_with_digests(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """(doc_id, source, n_tokens, ids, ids_sha256, decoded_sha256) of each whole text."""
+
+    def make():
+        bpe = word_bpe(path or default_path())
+
+        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            ids = [bpe.encode(t) for t in column_text(batch, "text")]
+            flat = pa.array(np.concatenate(ids).astype(np.int32))
+            offsets = pa.array(np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32))
+            columns = [
+                batch.column("doc_id"), batch.column("source"), pa.array([len(x) for x in ids], pa.int64()), pa.ListArray.from_arrays(offsets, flat),
+                pa.array([hashlib.sha256(x.tobytes()).hexdigest() for x in ids]), pa.array([hashlib.sha256(bpe.decode_bytes(x)).hexdigest() for x in ids]),
+            ]
+            return pa.RecordBatch.from_arrays(columns, ["doc_id", "source", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
+
+        return step
+
+    kinds = {f.name: f.dataType.simpleString() for f in docs.schema.fields}
+    return map_batches(docs.select("doc_id", "source", "text"), make, f"doc_id {kinds['doc_id']}, source {kinds['source']}, n_tokens bigint, ids array<int>, ids_sha256 string, decoded_sha256 string")

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from commlens.llm import audio, bpe, html_text, langid, quality, secret_scan, simhash, token_store, toxicity
+from commlens.llm import audio, bpe, html_text, langid, mixing, quality, secret_scan, simhash, token_store, toxicity
 from commlens.llm.common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -50,10 +50,20 @@ def op9_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
 
+def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_documents(documents(spark, sf_dir))
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    named = [op1_bpe, op2_quality, op3_simhash, op4_toxicity, op5_audio, op6_token_store, op7_secrets, op8_langid, op9_html]
+    named = [op1_bpe, op2_quality, op3_simhash, op4_toxicity, op5_audio, op6_token_store, op7_secrets, op8_langid, op9_html, op10_mixing, pipeline]
     return {f.__name__: f for f in named}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_mixing": mixing.SQL}
