@@ -24,17 +24,22 @@ from itertools import islice
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from commlens.llm.common import Scratch, column_text
+from commlens.llm.common import Scratch
 
 #: Ids in a segment, but for a document that has more.
 SEGMENT_IDS = 1 << 20
 #: Words kept with their ids in each worker. When full, the half that came last goes: common words come early.
-KEPT_UNITS = 1_000_000
+KEPT_UNITS = 600_000
+#: Signs that may follow a word's letters; none of them is a letter, a digit, white space or an apostrophe.
+_SIGNS = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c != "'")
+#: Texts that are not words parted by single spaces and line ends: empty, two in a row, at an end, or other white space.
+_UNEVEN = r"^$|[ \n][ \n]|\A[ \n]|[ \n]\z|[\t\x0b\f\r\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
 _SAMPLE = 64
 _HEAD = struct.Struct("<4sBBHQQ")
 _MAGIC = b"EFID"
@@ -118,7 +123,8 @@ class PieceEncoder:
     """A byte-level tokenizer of the tokenizers library with a store of words already encoded: the
     library works on the pattern's pieces one by one, so a run of whole pieces has the same ids wherever it
     stands. Where single spaces and line ends alone part a text's words, no piece crosses from a word to the next
-    space; a word after a space, and a word after a line end, are then such runs. Other texts go by pieces."""
+    space; a word after a space, and a word after a line end, are then such runs. Arrow numbers the distinct words of
+    many texts at once, so that the store is asked once for each. Other texts go by pieces."""
 
     def __init__(self, path: str) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -129,72 +135,72 @@ class PieceEncoder:
         self.tokenizer.no_padding()
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.width = 2 if self.tokenizer.get_vocab_size() <= 1 << 16 else 4
+        self.kind = f"<u{self.width}"
         self._cut = regex.compile(_PIECES.replace("[^\\s", "[^\\p{White_Space}").replace("\\s", "\\p{White_Space}").replace("\\S", "\\P{White_Space}")).findall
-        self._spaced: dict[str, bytes] = {}
-        self._lined: dict[str, bytes] = {}
+        self._words: dict[str, bytes] = {}
         self._pieces: dict[str, bytes] = {}
-        self._marks = dict(zip(".,", self._raw([".", ","]), strict=True))
+        self._signs: dict[str, bytes] = {}
 
     def _raw(self, texts: list[str]) -> list[bytes]:
         code = "H" if self.width == 2 else "I"
         return [array(code, got.ids).tobytes() for got in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn_spaced(self, words: set[str]) -> None:
-        spaced, marks = self._spaced, self._marks
-        ended = [w for w in words if w[-1] in marks and w[-2:-1].isalpha()]
-        plain = list(words.difference(ended).union(w[:-1] for w in ended if w[:-1] not in spaced))
-        spaced.update(zip(plain, self._raw([" " + w for w in plain]), strict=True))
-        for w in ended:
-            spaced[w] = spaced[w[:-1]] + marks[w[-1]]
-
-    def _room(self, kept: dict[str, bytes]) -> dict[str, bytes]:
-        return dict(islice(kept.items(), KEPT_UNITS // 2)) if len(kept) > KEPT_UNITS else kept
-
-    def _by_pieces(self, text: str) -> bytes:
+    def _learn(self, new: list[str]) -> None:
+        """Words that begin with a line end stand as they are, others after a space. Letters with signs after them are two
+        pieces: the letters' ids and the signs' ids."""
+        words, signs = self._words, self._signs
+        ended = [(w, base, w[len(base) :]) for w in new if (base := w.rstrip(_SIGNS)) is not w and base.isalpha()]
+        new_signs = list({x for _, _, x in ended}.difference(signs))
+        signs.update(zip(new_signs, self._raw(new_signs), strict=True))
+        plain = list(set(new).difference(w for w, _, _ in ended).union(base for _, base, _ in ended if base not in words))
+        words.update(zip(plain, self._raw([w if w[0] == "\n" else " " + w for w in plain]), strict=True))
+        for w, base, end in ended:
+            words[w] = words[base] + signs[end]
+
+    def _by_pieces(self, text: str) -> np.ndarray:
         pieces, kept = self._cut(text), self._pieces
         new = list(set(pieces).difference(kept))
         kept.update(zip(new, self._raw(new), strict=True))
-        return b"".join(map(kept.__getitem__, pieces))
-
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        self._spaced, self._lined, self._pieces = map(self._room, (self._spaced, self._lined, self._pieces))
-        spaced, lined = self._spaced, self._lined
-        out: list = []
-        new_spaced: set[str] = set()
-        new_lined: set[str] = set()
-        for text in texts:
-            words = text.split()
-            if any(s in text for s in self.special):
-                out.append(array("H" if self.width == 2 else "I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes())
-            elif not words or " ".join(words) != text.replace("\n", " "):
-                out.append(self._by_pieces(text))
-            else:
-                got = list(map(spaced.get, words))
-                at = 0
-                for line in text.split("\n"):
-                    first = words[at]
-                    got[at] = lined.get(first)
-                    if got[at] is None:
-                        new_lined.add(first)
-                        got[at] = False
-                    at += line.count(" ") + 1
-                if None in got:
-                    new_spaced.update(w for w, g in zip(words, got, strict=True) if g is None)
-                out.append((words, got))
-        if new_lined:
-            some = list(new_lined)
-            lined.update(zip(some, self._raw(["\n" + w for w in some]), strict=True))
-        if new_spaced:
-            self._learn_spaced(new_spaced)
-        flat = []
-        for x in out:
-            if isinstance(x, tuple):
-                words, got = x
-                if None in got or False in got:
-                    got = [g or (spaced[w] if g is None else lined[w]) for w, g in zip(words, got, strict=True)]
-                x = b"".join(got)[self.width :]
-            flat.append(np.frombuffer(x, f"<u{self.width}"))
-        return flat
+        return np.frombuffer(b"".join(map(kept.__getitem__, pieces)), self.kind)
+
+    def _by_words(self, texts: pa.Array) -> list[np.ndarray]:
+        lined = pc.binary_join_element_wise("\n", pc.replace_substring(texts, "\n", " \n"), "")
+        lists = pc.split_pattern(lined, " ")
+        coded = lists.flatten().dictionary_encode()
+        words, kept = coded.dictionary.to_pylist(), self._words
+        new = [w for w in words if w not in kept]
+        if new:
+            self._learn(new)
+        ids = list(map(kept.__getitem__, words))
+        pool = np.frombuffer(b"".join(ids), self.kind)
+        size = np.fromiter(map(len, ids), dtype=np.int64, count=len(ids)) // self.width
+        at = coded.indices.to_numpy()
+        each = size[at]
+        stop = np.cumsum(each)
+        flat = pool[np.arange(stop[-1]) + np.repeat((np.cumsum(size) - size)[at] - stop + each, each)]
+        ends = stop[lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py() - 1].tolist()
+        return [flat[a + 1 : b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+
+    def encode(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text; null is empty."""
+        for name in ("_words", "_pieces", "_signs"):
+            kept = getattr(self, name)
+            if len(kept) > KEPT_UNITS:
+                setattr(self, name, dict(islice(kept.items(), KEPT_UNITS // 2)))
+        texts = pc.fill_null(texts.cast(pa.string()), "")
+        odd = pc.match_substring_regex(texts, _UNEVEN)
+        for mark in self.special:
+            odd = pc.or_(odd, pc.match_substring(texts, mark))
+        odd = odd.to_numpy(zero_copy_only=False)
+        out: list = [None] * len(texts)
+        even = np.flatnonzero(~odd)
+        if len(even):
+            for i, ids in zip(even.tolist(), self._by_words(texts.take(pa.array(even))), strict=True):
+                out[i] = ids
+        for i in np.flatnonzero(odd).tolist():
+            text = texts[i].as_py()
+            out[i] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.kind) if any(m in text for m in self.special) else self._by_pieces(text)
+        return out
 
 
 @functools.lru_cache(maxsize=2)
@@ -208,6 +214,16 @@ def default_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def _slices(batch: pa.RecordBatch, rows: int = 2048, size: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch of so many rows and bytes of text at most, but for single longer texts."""
+    length = pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False)
+    at = 0
+    while at < batch.num_rows:
+        n = max(1, int(np.searchsorted(np.cumsum(length[at : at + rows]), size, "right")))
+        yield batch.slice(at, n)
+        at += n
+
+
 def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_ids: int = SEGMENT_IDS) -> DataFrame:
     """The rows of a store: (part, seq, before, n_ids, doc_ids, blob). ``part`` numbers ranges of doc_id upwards,
     ``before`` counts the ids of the same part that come earlier."""
@@ -232,9 +248,8 @@ def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_
             return row
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                some = batch.slice(at, 512)
-                for key, ids in zip(some.column("doc_id").to_pylist(), encoder.encode(column_text(some, "text")), strict=True):
+            for some in _slices(batch):
+                for key, ids in zip(some.column("doc_id").to_pylist(), encoder.encode(some.column("text")), strict=True):
                     if size and size + len(ids) + 1 > segment_ids:
                         yield flush()
                     keys.append(key)
