@@ -167,11 +167,15 @@ class PieceEncoder:
         lined = pc.binary_join_element_wise("\n", pc.replace_substring(texts, "\n", " \n"), "")
         lists = pc.split_pattern(lined, " ")
         coded = lists.flatten().dictionary_encode()
-        words, kept = coded.dictionary.to_pylist(), self._words
-        new = [w for w in words if w not in kept]
+        # No word has a space: one joined string splits into words faster than Arrow hands them over.
+        words = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary), " ")[0].as_py().split(" ")
+        kept = self._words
+        ids = list(map(kept.get, words))
+        new = [i for i, x in enumerate(ids) if x is None]
         if new:
-            self._learn(new)
-        ids = list(map(kept.__getitem__, words))
+            self._learn([words[i] for i in new])
+            for i in new:
+                ids[i] = kept[words[i]]
         pool = np.frombuffer(b"".join(ids), self.kind)
         size = np.fromiter(map(len, ids), dtype=np.int64, count=len(ids)) // self.width
         at = coded.indices.to_numpy()
@@ -214,7 +218,7 @@ def default_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def _slices(batch: pa.RecordBatch, rows: int = 2048, size: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def _slices(batch: pa.RecordBatch, rows: int = 4096, size: int = 12 << 20) -> Iterator[pa.RecordBatch]:
     """Parts of a batch of so many rows and bytes of text at most, but for single longer texts."""
     length = pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False)
     at = 0
