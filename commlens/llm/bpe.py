@@ -27,10 +27,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from commlens.llm.common import column_text, map_batches
+from commlens.llm.common import claim, column_text, map_batches
 
 #: Words kept with their tokens in each worker; the store is emptied when full.
-KEPT_WORDS = 300_000
+KEPT_WORDS = 200_000
 #: Added to the code of a word's last symbol, which is another symbol than the same byte elsewhere.
 _LAST = 0x1000
 _NEVER = 1 << 40
@@ -112,7 +112,7 @@ class WordBpe:
         key = a * self.size + b
         known = self._fits.get(key)
         if known is None:
-            if len(self._fits) > 2_000_000:
+            if len(self._fits) > 500_000:
                 self._fits.clear()
             known = self._fits[key] = self._first_crossing(a, b) == _NEVER
         return known
@@ -184,10 +184,13 @@ class WordBpe:
         return b"".join(parts)[:-1]
 
 
-@functools.lru_cache(maxsize=2)
+_loaded = functools.lru_cache(maxsize=1)(WordBpe)
+
+
 def word_bpe(path: str) -> WordBpe:
-    """One tokenizer per file and process."""
-    return WordBpe(path)
+    """One tokenizer per process."""
+    claim("bpe", _loaded.cache_clear)
+    return _loaded(path)
 
 
 def default_path() -> str:
@@ -212,7 +215,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, id_col: str = "do
         return step
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return map_batches(docs.select(id_col, text_col), make, f"doc_id {kind}, n_tokens bigint, ids array<int>")
+    return map_batches(docs.select(id_col, text_col), make, f"doc_id {kind}, n_tokens bigint, ids array<int>", text_col)
 
 
 def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
@@ -228,7 +231,7 @@ def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
         return step
 
     kind = encoded.schema["doc_id"].dataType.simpleString()
-    return map_batches(encoded.select("doc_id", "ids"), make, f"doc_id {kind}, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(lambda batches: map(make(), batches), f"doc_id {kind}, text string")
 
 
 def round_trip_digests(docs: DataFrame, path: str | None = None) -> DataFrame:

@@ -3,12 +3,15 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,18 +23,42 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str) -> DataFrame:
-    """Maps Arrow batches. ``make`` runs once per task, so that models load on the executor; it returns the batch function."""
+def slices(batch: pa.RecordBatch, column: str, rows: int = 1024, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch of so many rows and bytes of a text column at most, but for single longer texts; they bound a step's memory."""
+    length = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
+    at = 0
+    while at < batch.num_rows:
+        n = max(1, int(np.searchsorted(np.cumsum(length[at : at + rows]), size, "right")))
+        yield batch.slice(at, n)
+        at += n
+
+
+def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str, text: str = "text") -> DataFrame:
+    """Maps slices of Arrow batches, cut by the text column's bytes. ``make`` runs once per task, so that models load on the executor; it returns the batch function."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = make()
         for batch in batches:
-            if batch.num_rows:
-                yield step(batch)
+            for part in slices(batch, text):
+                yield step(part)
 
     return df.mapInArrow(run, schema)
 
 
+_holder: tuple[str, Callable[[], None]] | None = None
+
+
+def claim(owner: str, release: Callable[[], None]) -> None:
+    """Says that ``owner`` now keeps a store in this worker process; the store of the operator before it is released first, so
+    that workers which serve several operators in turn hold one store at a time."""
+    global _holder
+    if _holder and _holder[0] != owner:
+        _holder[1]()
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+    _holder = (owner, release)
+
+
 def column_bytes(batch: pa.RecordBatch, name: str) -> list[bytes]:
     """UTF-8 values of a string column; null gives an empty value."""
     return [x or b"" for x in batch.column(name).cast(pa.binary()).to_pylist()]

@@ -322,13 +322,10 @@ def extract_pages(pages: DataFrame, model: ContentModel | None = None) -> DataFr
 
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            texts: list[str] = []
-            sources = column_text(batch, "html")
-            for at in range(0, len(sources), 256):
-                texts += model.texts(sources[at : at + 256])
+            texts = model.texts(column_text(batch, "html"))
             return pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
         return step
 
     kinds = {f.name: f.dataType.simpleString() for f in pages.schema.fields}
-    return map_batches(pages.select("page_id", "url", "html"), make, f"page_id {kinds['page_id']}, url {kinds['url']}, text string, n_chars bigint")
+    return map_batches(pages.select("page_id", "url", "html"), make, f"page_id {kinds['page_id']}, url {kinds['url']}, text string, n_chars bigint", "html")

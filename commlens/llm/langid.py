@@ -30,14 +30,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from commlens.llm.common import bounded_sample, column_text, map_batches
+from commlens.llm.common import bounded_sample, claim, column_text, map_batches, slices
 
 TRAIN_DOCS, TRAIN_CHARS = 600, 20_000
 ROUNDS = 3
 LONGEST_PIECE = 8
 CHUNK = 24
 FLOOR = 1e-7
-KEPT_WORDS = 400_000
+KEPT_WORDS = 200_000
 MARK = "▁"
 _LETTERS = re.compile(r"[^\W\d_]+")
 _BASE = np.uint64(0x100000001B3)
@@ -242,6 +242,7 @@ _scorers: dict[int, Scorer] = {}
 def scorer(model: LanguageModel) -> Scorer:
     """One scorer per model in a process."""
     key = zlib.crc32(model.probs.tobytes() + repr(model.languages).encode())
+    claim("langid", _scorers.clear)
     if key not in _scorers:
         _scorers.clear()
         _scorers[key] = Scorer(model)
@@ -284,7 +285,7 @@ def keep_recognised(docs: DataFrame, model: LanguageModel, least: float = 0.5) -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         judge = scorer(model)
         for batch in batches:
-            if batch.num_rows:
-                yield batch.filter(pa.array([lang != "und" and s >= least for lang, s in judge.predict(column_text(batch, "text"))]))
+            for part in slices(batch, "text"):
+                yield part.filter(pa.array([lang != "und" and s >= least for lang, s in judge.predict(column_text(part, "text"))]))
 
     return docs.mapInArrow(run, docs.schema)

@@ -36,7 +36,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from commlens.llm.common import Scratch, column_bytes
+from commlens.llm.common import Scratch, column_bytes, slices
 from commlens.llm.graph import components
 
 RADIUS = 2
@@ -73,8 +73,9 @@ def with_fingerprint(docs: DataFrame, name: str, text_col: str = "text") -> Data
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = np.array([fingerprint(raw) for raw in column_bytes(batch, text_col)], dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(got)], [*batch.schema.names, name])
+            for part in slices(batch, text_col):
+                got = np.array([fingerprint(raw) for raw in column_bytes(part, text_col)], dtype=np.uint64).view(np.int64)
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(got)], [*part.schema.names, name])
 
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(name, T.LongType())]))
 

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from commlens.llm.common import Scratch
+from commlens.llm.common import Scratch, claim, slices
 
 #: Ids in a segment, but for a document that has more.
 SEGMENT_IDS = 1 << 20
@@ -207,9 +207,13 @@ class PieceEncoder:
         return out
 
 
-@functools.lru_cache(maxsize=2)
+_loaded = functools.lru_cache(maxsize=1)(PieceEncoder)
+
+
 def piece_encoder(path: str) -> PieceEncoder:
-    return PieceEncoder(path)
+    """One encoder per process."""
+    claim("token_store", _loaded.cache_clear)
+    return _loaded(path)
 
 
 def default_path() -> str:
@@ -218,16 +222,6 @@ def default_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def _slices(batch: pa.RecordBatch, rows: int = 4096, size: int = 12 << 20) -> Iterator[pa.RecordBatch]:
-    """Parts of a batch of so many rows and bytes of text at most, but for single longer texts."""
-    length = pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False)
-    at = 0
-    while at < batch.num_rows:
-        n = max(1, int(np.searchsorted(np.cumsum(length[at : at + rows]), size, "right")))
-        yield batch.slice(at, n)
-        at += n
-
-
 def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_ids: int = SEGMENT_IDS) -> DataFrame:
     """The rows of a store: (part, seq, before, n_ids, doc_ids, blob). ``part`` numbers ranges of doc_id upwards,
     ``before`` counts the ids of the same part that come earlier."""
@@ -252,7 +246,7 @@ def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_
             return row
 
         for batch in batches:
-            for some in _slices(batch):
+            for some in slices(batch, "text", 4096, 12 << 20):
                 for key, ids in zip(some.column("doc_id").to_pylist(), encoder.encode(some.column("text")), strict=True):
                     if size and size + len(ids) + 1 > segment_ids:
                         yield flush()

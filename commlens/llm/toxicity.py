@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from commlens.llm.common import bounded_sample, column_text, map_batches
+from commlens.llm.common import bounded_sample, claim, column_text, map_batches
 
 TRAIN_DOCS, CLEAN_DOCS, TRAIN_CHARS = 1_200, 3_000, 8_000
 WINDOW, STRIDE = 32, 24
@@ -316,6 +316,7 @@ _scorers: dict[int, Scorer] = {}
 def scorer(net: Network) -> Scorer:
     """One scorer per network in a process."""
     key = zlib.crc32(b"".join(v.tobytes() for v in net.p.values()))
+    claim("toxicity", _scorers.clear)
     if key not in _scorers:
         _scorers.clear()
         _scorers[key] = Scorer(net)
