@@ -28,8 +28,9 @@ from commlens.llm.common import Scratch
 
 #: Leaves up to which the cuts are sent to every task (some 100 bytes each); beyond, they are joined by shuffle.
 BROADCAST_LEAVES = 100_000
-#: Hexadecimal digits of the hash ranges.
-RANGE_DIGITS = 3
+#: Hexadecimal digits of the hash ranges, coarse to fine: each finer sum is taken within the one range of a leaf where its budget ends,
+#: so a leaf has 256 rows in the first and at most 4096 in the second, whatever it holds.
+RANGE_DIGITS = (2, 5)
 _WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -111,12 +112,15 @@ def leaf_cuts(rows: DataFrame, plan: MixPlan) -> DataFrame:
     got = budgets(live.groupBy(*keys).agg(F.sum("tokens").alias("supply")), plan)
     got = got.select("*", F.floor(F.col("budget") / F.col("supply")).cast("bigint").alias("epochs")).withColumn("left", F.col("budget") - F.col("epochs") * F.col("supply"))
     placed = live.join(F.broadcast(got.select(*keys, "epochs", "left")), keys) if got.count() <= BROADCAST_LEAVES else live.join(got.select(*keys, "epochs", "left"), keys)
-    placed = placed.select(*keys, "left", "tokens", _order_key(plan, F.col("epochs")).alias("at")).withColumn("range", F.substring("at", 1, RANGE_DIGITS))
-    order = W.partitionBy(*keys).orderBy("range")
-    ranges = placed.groupBy(*keys, "left", "range").agg(F.sum("tokens").alias("n")).withColumn("upto", F.sum("n").over(order))
-    ends = ranges.where(F.col("upto") > F.col("left")).groupBy(*keys).agg(F.min("range").alias("range"), F.min_by(F.col("upto") - F.col("n"), "range").alias("before"))
-    within = placed.join(ends, [*keys, "range"])
-    sums = within.withColumn("cum", F.col("before") + F.sum("tokens").over(W.partitionBy(*keys, "range").orderBy("at")))
+    inside = placed.select(*keys, "left", "tokens", _order_key(plan, F.col("epochs")).alias("at"), F.lit(0).cast("bigint").alias("before"))
+    ends = None
+    for digits in RANGE_DIGITS:
+        inside = inside.withColumn("range", F.substring("at", 1, digits))
+        sums = inside.groupBy(*keys, "left", "before", "range").agg(F.sum("tokens").alias("n"))
+        sums = sums.withColumn("upto", F.col("before") + F.sum("n").over(W.partitionBy(*keys).orderBy("range")))
+        ends = sums.where(F.col("upto") > F.col("left")).groupBy(*keys).agg(F.min("range").alias("range"), F.min_by(F.col("upto") - F.col("n"), "range").alias("before"))
+        inside = inside.drop("before").join(ends, [*keys, "range"])
+    sums = inside.withColumn("cum", F.col("before") + F.sum("tokens").over(W.partitionBy(*keys, "range").orderBy("at")))
     last = sums.where(F.col("cum") <= F.col("left")).groupBy(*keys).agg(F.max("at").alias("last"))
     return got.join(ends.select(*keys, "range"), keys, "left").join(last, keys, "left").select(*keys, "supply", "budget", "epochs", F.coalesce("last", "range", F.lit("g")).alias("cut"))
 
