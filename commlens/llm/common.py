@@ -23,6 +23,15 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def limit_batches(spark: SparkSession, rows: int = 2500, size: str = "8m") -> None:
+    """Arrow batches of so many rows and bytes at most, unless the session sets its own: Spark's default of 10,000 rows lets one
+    batch of long texts take tens of megabytes off the heap in each task."""
+    for key, value, default in (("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows), "10000"), ("spark.sql.execution.arrow.maxBytesPerBatch", size, None)):
+        now = spark.conf.get(key, None)
+        if now is None or default is None or now == default:
+            spark.conf.set(key, value)
+
+
 def slices(batch: pa.RecordBatch, column: str, rows: int = 1024, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Parts of a batch of so many rows and bytes of a text column at most, but for single longer texts; they bound a step's memory."""
     length = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
@@ -42,6 +51,7 @@ def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.
             for part in slices(batch, text):
                 yield step(part)
 
+    limit_batches(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 

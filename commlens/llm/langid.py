@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from commlens.llm.common import bounded_sample, claim, column_text, map_batches, slices
+from commlens.llm.common import bounded_sample, claim, column_text, limit_batches, map_batches, slices
 
 TRAIN_DOCS, TRAIN_CHARS = 600, 20_000
 ROUNDS = 3
@@ -288,4 +288,5 @@ def keep_recognised(docs: DataFrame, model: LanguageModel, least: float = 0.5) -
             for part in slices(batch, "text"):
                 yield part.filter(pa.array([lang != "und" and s >= least for lang, s in judge.predict(column_text(part, "text"))]))
 
+    limit_batches(docs.sparkSession)
     return docs.mapInArrow(run, docs.schema)

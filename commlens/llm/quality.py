@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from commlens.llm.common import SPACE, column_bytes, map_batches
+from commlens.llm.common import SPACE, column_bytes, limit_batches, map_batches
 
 BUCKETS = 1 << 14
 TRUSTED = 20_000
@@ -110,6 +110,7 @@ def log_ratios(docs: DataFrame, trusted: np.ndarray, buckets: int = BUCKETS) ->
         at = np.flatnonzero(counts[0])
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(counts[0][at]), pa.array(counts[1][at])], ["cell", "n_raw", "n_trusted"])
 
+    limit_batches(docs.sparkSession)
     sums = docs.select("doc_id", "text").mapInArrow(run, "cell int, n_raw bigint, n_trusted bigint").groupBy("cell").agg(F.sum("n_raw"), F.sum("n_trusted"))
     raw, good = np.ones(buckets), np.ones(buckets)
     for cell, a, b in sums.collect():

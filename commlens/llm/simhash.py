@@ -36,7 +36,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from commlens.llm.common import Scratch, column_bytes, slices
+from commlens.llm.common import Scratch, column_bytes, limit_batches, slices
 from commlens.llm.graph import components
 
 RADIUS = 2
@@ -77,6 +77,7 @@ def with_fingerprint(docs: DataFrame, name: str, text_col: str = "text") -> Data
                 got = np.array([fingerprint(raw) for raw in column_bytes(part, text_col)], dtype=np.uint64).view(np.int64)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(got)], [*part.schema.names, name])
 
+    limit_batches(docs.sparkSession)
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(name, T.LongType())]))
 
 

@@ -30,12 +30,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from commlens.llm.common import Scratch, claim, slices
+from commlens.llm.common import Scratch, claim, limit_batches, slices
 
 #: Ids in a segment, but for a document that has more.
 SEGMENT_IDS = 1 << 20
 #: Words kept with their ids in each worker. When full, the half that came last goes: common words come early.
-KEPT_UNITS = 600_000
+KEPT_UNITS = 500_000
 #: Signs that may follow a word's letters; none of them is a letter, a digit, white space or an apostrophe.
 _SIGNS = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c != "'")
 #: Texts that are not words parted by single spaces and line ends: empty, two in a row, at an end, or other white space.
@@ -177,11 +177,13 @@ class PieceEncoder:
             for i in new:
                 ids[i] = kept[words[i]]
         pool = np.frombuffer(b"".join(ids), self.kind)
-        size = np.fromiter(map(len, ids), dtype=np.int64, count=len(ids)) // self.width
+        size = np.fromiter(map(len, ids), dtype=np.int32, count=len(ids)) // self.width
         at = coded.indices.to_numpy()
         each = size[at]
-        stop = np.cumsum(each)
-        flat = pool[np.arange(stop[-1]) + np.repeat((np.cumsum(size) - size)[at] - stop + each, each)]
+        stop = np.cumsum(each, dtype=np.int32)
+        spot = np.repeat((np.cumsum(size, dtype=np.int32) - size)[at] - stop + each, each)
+        spot += np.arange(stop[-1], dtype=np.int32)
+        flat = pool[spot]
         ends = stop[lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py() - 1].tolist()
         return [flat[a + 1 : b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
@@ -256,6 +258,7 @@ def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_
         if keys:
             yield flush()
 
+    limit_batches(docs.sparkSession)
     ordered = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
     return ordered.mapInArrow(run, "part int, seq int, before bigint, n_ids bigint, doc_ids array<bigint>, blob binary")
 
