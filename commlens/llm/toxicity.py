@@ -34,7 +34,10 @@ WINDOW, STRIDE = 32, 24
 THRESHOLD = 0.3
 HIDDEN, WIDTH = 12, 10
 SLOTS = 1 << 13
-EPOCHS, BATCH, RATE = 7, 256, 0.01
+#: Passes over the chosen windows; small sets get as many as give LEAST_STEPS steps.
+EPOCHS, LEAST_STEPS, BATCH, RATE = 7, 100, 256, 0.01
+#: Shares of word vectors and of n-gram vectors left out of a training step at random, so that forms not seen are judged by their parts.
+DROP_WORDS, DROP_GRAMS = 0.3, 0.1
 KEPT_WORDS = 200_000
 _WORD = re.compile(r"\w+")
 #: The word number of padding.
@@ -182,12 +185,17 @@ class Network:
             ds = ds * z + du @ h.T
         return dpre, dh
 
-    def gradients(self, slots: tuple[np.ndarray, np.ndarray, np.ndarray], rows: np.ndarray, y: np.ndarray) -> dict[str, np.ndarray]:
+    def gradients(self, slots: tuple[np.ndarray, np.ndarray, np.ndarray], rows: np.ndarray, y: np.ndarray, rng: np.random.Generator | None = None) -> dict[str, np.ndarray]:
         p, keep = self.p, {}
         numbers, at = np.unique(rows, return_inverse=True)
         at = at.reshape(rows.shape)
         word, flat, counts = _of(slots, numbers)
         x = self.inputs(word, flat, counts)
+        kept = np.ones_like(x)
+        if rng is not None:
+            kept[:, :WIDTH] = (rng.random((len(x), 1)) >= DROP_WORDS) / (1 - DROP_WORDS)
+            kept[:, WIDTH:] = (rng.random((len(x), 1)) >= DROP_GRAMS) / (1 - DROP_GRAMS)
+            x = x * kept
         pre_f, pre_r = self.parts(x)
         logit = self.forward(pre_f[at], pre_r[at], keep)
         d = ((_sigmoid(logit) - y) / len(y)).astype(np.float32)
@@ -208,6 +216,7 @@ class Network:
             g[f"x{k}"], g[f"b{k}"] = x.T @ per_word, per_word.sum(axis=0)
             dx += per_word @ p[f"x{k}"].T
         dx[numbers == PAD] = 0
+        dx *= kept
         g["word"] = _sum_by(word, dx[:, :WIDTH], SLOTS)
         g["gram"] = _sum_by(flat, np.repeat(dx[:, WIDTH:] / counts[:, None].astype(np.float32), counts, axis=0), SLOTS)
         return g
@@ -253,6 +262,7 @@ def train(texts: list[str], labels: list[int], epochs: int = EPOCHS, seed: int =
     mean = {k: np.zeros_like(v) for k, v in net.p.items()}
     square = {k: np.zeros_like(v) for k, v in net.p.items()}
     step = 0
+    epochs = max(epochs, -(-LEAST_STEPS // -(-int((3 - 2 * y).sum()) // BATCH)))
     for epoch in range(epochs):
         chosen, target = [], []
         for a, b, label in zip(starts, stops, y, strict=True):
@@ -264,7 +274,7 @@ def train(texts: list[str], labels: list[int], epochs: int = EPOCHS, seed: int =
         chosen_rows, target_rows = rows[np.array(chosen)[order]], np.array(target, dtype=np.float32)[order]
         for i in range(0, len(order), BATCH):
             step += 1
-            for k, g in net.gradients(slots, chosen_rows[i : i + BATCH], target_rows[i : i + BATCH]).items():
+            for k, g in net.gradients(slots, chosen_rows[i : i + BATCH], target_rows[i : i + BATCH], rng).items():
                 mean[k] += 0.1 * (g - mean[k])
                 square[k] += 0.001 * (g * g - square[k])
                 net.p[k] -= RATE * (1 - epoch / (epochs + 1)) * (mean[k] / (1 - 0.9**step)) / (np.sqrt(square[k] / (1 - 0.999**step)) + 1e-8)
