@@ -104,16 +104,16 @@ def doc_features(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _PREDICATES = {
-    "pred_in": (F.col("p_type").isin("PROMO", "SMALL"), "p_type IN ('PROMO', 'SMALL')"),
-    "pred_like": (F.col("p_name").like("%ring%"), "p_name LIKE '%ring%'"),
-    "pred_rlike": (F.col("p_brand").rlike("#1[0-4]$"), "regexp_matches(p_brand, '#1[0-4]$')"),
-    "pred_between": (F.col("p_size").between(10, 20), "p_size BETWEEN 10 AND 20"),
-    "pred_nullsafe": (F.nullif("p_size", F.lit(7)).eqNullSafe(F.lit(None)), "nullif(p_size, 7) IS NOT DISTINCT FROM NULL"),
+    "pred_in": (lambda: F.col("p_type").isin("PROMO", "SMALL"), "p_type IN ('PROMO', 'SMALL')"),
+    "pred_like": (lambda: F.col("p_name").like("%ring%"), "p_name LIKE '%ring%'"),
+    "pred_rlike": (lambda: F.col("p_brand").rlike("#1[0-4]$"), "regexp_matches(p_brand, '#1[0-4]$')"),
+    "pred_between": (lambda: F.col("p_size").between(10, 20), "p_size BETWEEN 10 AND 20"),
+    "pred_nullsafe": (lambda: F.nullif("p_size", F.lit(7)).eqNullSafe(F.lit(None)), "nullif(p_size, 7) IS NOT DISTINCT FROM NULL"),
 }
 for _name, (_cond, _text) in _PREDICATES.items():
 
     def _pred(spark: SparkSession, sf_dir: str, _c=_cond) -> DataFrame:
-        return read(spark, sf_dir, "part").where(_c).select("p_partkey", "p_name")
+        return read(spark, sf_dir, "part").where(_c()).select("p_partkey", "p_name")
 
     _pred.__name__ = _name
     query(f"SELECT p_partkey, p_name FROM part WHERE {_text}")(_pred)
