@@ -20,7 +20,6 @@ import struct
 import zlib
 from array import array
 from collections.abc import Iterator
-from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -34,8 +33,9 @@ from commlens.llm.common import Scratch, claim, limit_batches, slices
 
 #: Ids in a segment, but for a document that has more.
 SEGMENT_IDS = 1 << 20
-#: Words kept with their ids in each worker. When full, the half that came last goes: common words come early.
-KEPT_UNITS = 500_000
+#: Words kept with their ids in each worker, some 20 bytes each, and pieces of uneven texts. When full, the half of the words that came last goes:
+#: common words come early.
+KEPT_WORDS, KEPT_PIECES = 2_000_000, 100_000
 #: Signs that may follow a word's letters; none of them is a letter, a digit, white space or an apostrophe.
 _SIGNS = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c != "'")
 #: Texts that are not words parted by single spaces and line ends: empty, two in a row, at an end, or other white space.
@@ -119,6 +119,39 @@ def read_segment(raw: bytes) -> tuple[EliasFano, np.ndarray]:
     return bounds, np.frombuffer(raw, f"<u{width}", total, _HEAD.size + taken)
 
 
+class WordStore:
+    """Words with their ids, as Arrow and numpy arrays: a tenth of the memory of a dictionary, asked for whole arrays at once."""
+
+    def __init__(self, kind: str) -> None:
+        self.words = pa.array([], pa.string())
+        self.starts, self.sizes = np.zeros(0, np.int32), np.zeros(0, np.int32)
+        self.pool = np.zeros(0, kind)
+
+    def __len__(self) -> int:
+        return len(self.words)
+
+    def find(self, words: pa.Array) -> np.ndarray:
+        """The place of each word, -1 where it is not known."""
+        return pc.fill_null(pc.index_in(words, value_set=self.words), -1).to_numpy(zero_copy_only=False).copy()
+
+    def ids_of(self, i: int) -> bytes:
+        return self.pool[self.starts[i] : self.starts[i] + self.sizes[i]].tobytes()
+
+    def add(self, words: list[str], ids: list[bytes]) -> None:
+        sizes = np.fromiter(map(len, ids), dtype=np.int32, count=len(ids)) // self.pool.itemsize
+        self.words = pa.concat_arrays([self.words, pa.array(words, pa.string())])
+        self.starts = np.concatenate([self.starts, len(self.pool) + np.cumsum(sizes, dtype=np.int32) - sizes])
+        self.sizes = np.concatenate([self.sizes, sizes])
+        self.pool = np.concatenate([self.pool, np.frombuffer(b"".join(ids), self.pool.dtype)])
+
+    def trim(self, most: int) -> None:
+        if len(self) > most:
+            n = most // 2
+            self.words = pa.concat_arrays([self.words.slice(0, n), pa.array([], pa.string())])
+            self.starts, self.sizes = self.starts[:n].copy(), self.sizes[:n].copy()
+            self.pool = self.pool[: int(self.starts[-1] + self.sizes[-1])].copy()
+
+
 class PieceEncoder:
     """A byte-level tokenizer of the tokenizers library with a store of words already encoded: the
     library works on the pattern's pieces one by one, so a run of whole pieces has the same ids wherever it
@@ -137,7 +170,7 @@ class PieceEncoder:
         self.width = 2 if self.tokenizer.get_vocab_size() <= 1 << 16 else 4
         self.kind = f"<u{self.width}"
         self._cut = regex.compile(_PIECES.replace("[^\\s", "[^\\p{White_Space}").replace("\\s", "\\p{White_Space}").replace("\\S", "\\P{White_Space}")).findall
-        self._words: dict[str, bytes] = {}
+        self._words = WordStore(self.kind)
         self._pieces: dict[str, bytes] = {}
         self._signs: dict[str, bytes] = {}
 
@@ -145,17 +178,21 @@ class PieceEncoder:
         code = "H" if self.width == 2 else "I"
         return [array(code, got.ids).tobytes() for got in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, new: list[str]) -> None:
-        """Words that begin with a line end stand as they are, others after a space. Letters with signs after them are two
-        pieces: the letters' ids and the signs' ids."""
-        words, signs = self._words, self._signs
-        ended = [(w, base, w[len(base) :]) for w in new if (base := w.rstrip(_SIGNS)) is not w and base.isalpha()]
-        new_signs = list({x for _, _, x in ended}.difference(signs))
+    def _learn(self, new: list[str], seen: pa.Array, found: np.ndarray) -> None:
+        """Adds words to the store, in order. Those that begin with a line end stand as they are, others after a space. Letters
+        with signs after them are two pieces: the letters' ids and the signs' ids; letters are looked for among the words at hand (``seen``,
+        at ``found`` in the store)."""
+        store, signs = self._words, self._signs
+        ended = {w: base for w in new if not w.isalpha() and (base := w.rstrip(_SIGNS)) is not w and base.isalpha()}
+        new_signs = list({w[len(base) :] for w, base in ended.items()}.difference(signs))
         signs.update(zip(new_signs, self._raw(new_signs), strict=True))
-        plain = list(set(new).difference(w for w, _, _ in ended).union(base for _, base, _ in ended if base not in words))
-        words.update(zip(plain, self._raw([w if w[0] == "\n" else " " + w for w in plain]), strict=True))
-        for w, base, end in ended:
-            words[w] = words[base] + signs[end]
+        bases = list(set(ended.values()))
+        at = pc.index_in(pa.array(bases, pa.string()), value_set=seen).to_pylist()
+        known = {base: store.ids_of(found[i]) for base, i in zip(bases, at, strict=True) if i is not None and found[i] >= 0}
+        plain = [w for w in new if w not in ended]
+        extra = list(set(bases).difference(known).difference(plain))
+        known.update(zip([*plain, *extra], self._raw([w if w[0] == "\n" else " " + w for w in [*plain, *extra]]), strict=True))
+        store.add([*new, *extra], [known[w] if w not in ended else known[ended[w]] + signs[w[len(ended[w]) :]] for w in [*new, *extra]])
 
     def _by_pieces(self, text: str) -> np.ndarray:
         pieces, kept = self._cut(text), self._pieces
@@ -167,32 +204,29 @@ class PieceEncoder:
         lined = pc.binary_join_element_wise("\n", pc.replace_substring(texts, "\n", " \n"), "")
         lists = pc.split_pattern(lined, " ")
         coded = lists.flatten().dictionary_encode()
-        # No word has a space: one joined string splits into words faster than Arrow hands them over.
-        words = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary), " ")[0].as_py().split(" ")
-        kept = self._words
-        ids = list(map(kept.get, words))
-        new = [i for i, x in enumerate(ids) if x is None]
-        if new:
-            self._learn([words[i] for i in new])
-            for i in new:
-                ids[i] = kept[words[i]]
-        pool = np.frombuffer(b"".join(ids), self.kind)
-        size = np.fromiter(map(len, ids), dtype=np.int32, count=len(ids)) // self.width
+        store = self._words
+        found = store.find(coded.dictionary)
+        new = np.flatnonzero(found < 0)
+        if len(new):
+            first = len(store)
+            self._learn(coded.dictionary.take(pa.array(new)).to_pylist(), coded.dictionary, found)
+            found[new] = np.arange(first, first + len(new), dtype=found.dtype)
+        size = store.sizes[found]
         at = coded.indices.to_numpy()
         each = size[at]
         stop = np.cumsum(each, dtype=np.int32)
-        spot = np.repeat((np.cumsum(size, dtype=np.int32) - size)[at] - stop + each, each)
+        spot = np.repeat(store.starts[found][at] - stop + each, each)
         spot += np.arange(stop[-1], dtype=np.int32)
-        flat = pool[spot]
+        flat = store.pool[spot]
         ends = stop[lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py() - 1].tolist()
         return [flat[a + 1 : b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
     def encode(self, texts: pa.Array) -> list[np.ndarray]:
         """Ids of each text; null is empty."""
-        for name in ("_words", "_pieces", "_signs"):
-            kept = getattr(self, name)
-            if len(kept) > KEPT_UNITS:
-                setattr(self, name, dict(islice(kept.items(), KEPT_UNITS // 2)))
+        self._words.trim(KEPT_WORDS)
+        for kept in (self._pieces, self._signs):
+            if len(kept) > KEPT_PIECES:
+                kept.clear()
         texts = pc.fill_null(texts.cast(pa.string()), "")
         odd = pc.match_substring_regex(texts, _UNEVEN)
         for mark in self.special:
