@@ -32,10 +32,10 @@ from pyspark.sql import functions as F
 from commlens.llm.common import Scratch, claim, limit_batches, slices
 
 #: Ids in a segment, but for a document that has more.
-SEGMENT_IDS = 1 << 20
+SEGMENT_IDS = 1 << 17
 #: Words kept with their ids in each worker, some 20 bytes each, and pieces of uneven texts. When full, the half of the words that came last goes:
 #: common words come early.
-KEPT_WORDS, KEPT_PIECES = 2_000_000, 100_000
+KEPT_WORDS, KEPT_PIECES = 1_500_000, 50_000
 #: Signs that may follow a word's letters; none of them is a letter, a digit, white space or an apostrophe.
 _SIGNS = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c != "'")
 #: Texts that are not words parted by single spaces and line ends: empty, two in a row, at an end, or other white space.
