@@ -101,15 +101,15 @@ class JointProfiler:
         return self._profiles(graph, assign, features, nu, trace)
 
     def _links(self, graph: SocialGraph, assign: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
-        """Empirical memberships, tensor and popularity of an assignment."""
-        cfg = self.config
+        """Empirical memberships, tensor and popularity of an assignment, each written once: several terms of a step read them."""
+        cfg, keep = self.config, self.checkpoint
         tensor = factors.tensor(counters.empirical_topics(assign), counters.eta(graph.diffs, assign, cfg.eta_norm))
         pop = counters.popularity(counters.topic_time(assign, graph.docs), cfg.popularity)
-        return counters.empirical_membership(assign), tensor, pop
+        return keep(counters.empirical_membership(assign)), keep(tensor), keep(pop)
 
-    def _scored(self, links: DataFrame, graph: SocialGraph, assign: DataFrame, features: DataFrame, nu: tuple[float, ...]) -> DataFrame:
+    def _scored(self, links: DataFrame, assign: DataFrame, parts: tuple[DataFrame, DataFrame, DataFrame], features: DataFrame, nu: tuple[float, ...]) -> DataFrame:
         cfg = self.config
-        pi, tensor, pop = self._links(graph, assign)
+        pi, tensor, pop = parts
         return factors.diffusion_scores(factors.link_topics(links, assign, cfg.link_topic), pi, tensor, pop, features, nu, cfg.factors, cells=cfg.communities**2 * cfg.topics)
 
     def _step(self, graph: SocialGraph, assign: DataFrame, block: DataFrame, features: DataFrame, nu: tuple[float, ...], n_words: int, salt: int) -> DataFrame:
@@ -124,15 +124,15 @@ class JointProfiler:
         if cfg.freeze_communities:
             return assign
         scores = sampling.community_text_scores(assign, cfg.communities, cfg.topics, cfg.topic_prior, cfg.community_prior).join(block, "doc_id", "left_semi")
-        pi = counters.empirical_membership(assign)
+        parts = self._links(graph, assign) if profile else (self.checkpoint(counters.empirical_membership(assign)), None, None)
+        pi, tensor, _ = parts
         friends = graph.friends
         if cfg.use_diffusion and cfg.diffusion_kind == "similarity":
             friends = friends.union(graph.diffs.select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst")).distinct())
         if cfg.use_friends:
             scores = sampling.added(scores, sampling.community_friend_scores(assign, friends, pi, cfg.communities), "c")
         if profile and "community" in cfg.factors:
-            _, tensor, _ = self._links(graph, assign)
-            scored = self._scored(graph.diffs, graph, assign, features, nu)
+            scored = self.checkpoint(self._scored(graph.diffs, assign, parts, features, nu))
             scores = sampling.added(scores, sampling.community_link_scores(scored, assign, pi, tensor, cfg.communities, cfg.communities**2 * cfg.topics), "c")
         drawn = sampling.draw(scores, "c", cfg.draw, cfg.seed * 100_003 + salt + 1)
         return self.checkpoint(assign.join(drawn.withColumnRenamed("c", "c1"), "doc_id", "left").select("doc_id", "user_id", F.coalesce("c1", "c").alias("c"), "z"))
@@ -141,7 +141,8 @@ class JointProfiler:
         """Gradient steps with the other factors fixed; each is one aggregation, of four sums, over pairs scored once."""
         fixed = replace(self.config, factors=tuple(f for f in self.config.factors if f != "individual"))
         rest = JointProfiler(fixed, self.checkpoint)
-        both = rest._scored(graph.diffs, graph, assign, features, nu).withColumn("label", F.lit(1)).union(rest._scored(negative, graph, assign, features, nu).withColumn("label", F.lit(0)))
+        parts = rest._links(graph, assign)
+        both = rest._scored(graph.diffs, assign, parts, features, nu).withColumn("label", F.lit(1)).union(rest._scored(negative, assign, parts, features, nu).withColumn("label", F.lit(0)))
         base = self.checkpoint(factors.with_features(both, features))
         names = ["s_popularity", "s_activeness", "d_popularity", "d_activeness"]
         for _ in range(self.config.nu_steps):
