@@ -20,6 +20,7 @@ import functools
 import hashlib
 import json
 import unicodedata
+from itertools import islice
 
 import ahocorasick
 import numpy as np
@@ -29,8 +30,8 @@ from pyspark.sql import DataFrame
 
 from commlens.llm.common import claim, column_text, map_batches
 
-#: Words kept with their tokens in each worker; the store is emptied when full.
-KEPT_WORDS = 200_000
+#: Words kept with their tokens in each worker. When full, the half that came last goes: common words come early.
+KEPT_WORDS = 350_000
 #: Added to the code of a word's last symbol, which is another symbol than the same byte elsewhere.
 _LAST = 0x1000
 _NEVER = 1 << 40
@@ -155,7 +156,7 @@ class WordBpe:
             return b"".join(map(kept.__getitem__, words))
         except KeyError:
             if len(kept) > KEPT_WORDS:
-                kept.clear()
+                kept = self._kept = dict(islice(kept.items(), KEPT_WORDS // 2))
             for w in words:
                 if w not in kept:
                     kept[w] = self._encode_word(w)

@@ -24,6 +24,7 @@ import re
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -37,7 +38,7 @@ ROUNDS = 3
 LONGEST_PIECE = 8
 CHUNK = 24
 FLOOR = 1e-7
-KEPT_WORDS = 200_000
+KEPT_WORDS = 350_000
 MARK = "▁"
 _LETTERS = re.compile(r"[^\W\d_]+")
 _BASE = np.uint64(0x100000001B3)
@@ -221,7 +222,8 @@ class Scorer:
         for at in range(0, len(texts), 256):
             words = [letter_words(t) for t in texts[at : at + 256]]
             if len(self._index) > KEPT_WORDS:
-                self._start()
+                # Common words come early; the half that came last goes.
+                self._index = dict(islice(self._index.items(), KEPT_WORDS // 2))
             new = list(set().union(*words) - self._index.keys())
             if new and self.model.languages:
                 self._learn_words(new)
