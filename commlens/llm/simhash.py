@@ -17,6 +17,13 @@ stays linear in the members, and no link is lost. (This holds for RADIUS 2, the
 
 Exact copies share a fingerprint and count once from the start.
 
+``keep_one_of_each`` does not use fingerprints: two texts are near copies if the sets of their five-word shingles (64-bit hashes)
+have a Jaccard similarity of 0.8 or more. All such pairs are found: in any one order of all shingles, two such sets share one of
+their first n // 5 + 1. The order puts shingles that are common in a sample of texts last, which spares work and does not change
+the pairs. Of two sets, the one whose leading shingles end first has all their common ones among these, so
+the number of common leading shingles bounds the overlap. Pairs that this bound leaves are compared by their whole sets. Where more than PAIRS texts share a leading shingle, they are
+compared with STARS of them in turn first, and then only pairs that are not yet connected are compared.
+
 Cases: null text is empty text, which has fingerprint zero; null doc_ids are linked like others but are no
 component's id unless it has no other (then it is null); repeated rows each get a row; an empty table gives an
 empty table; other columns are ignored by ``link_documents`` and passed through by ``keep_one_of_each``.
@@ -26,7 +33,7 @@ from __future__ import annotations
 
 import itertools
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -44,37 +51,59 @@ SHINGLE = 3
 SEED = 42
 #: The most members of a cell whose pairs are compared one by one.
 PAIRS = 32
+#: Near copies of ``keep_one_of_each``: words of a shingle; members that a crowd is compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
+COPY_SHINGLE = 5
+STARS = 3
+ORDER_TEXTS, ORDER_LEAST, ORDER_SHINGLES = 4_000, 3, 100_000
 _SEGMENTS = 32
 #: The chance that two random segments of two bits have equal counts.
 _SAME = 0.375
 
 
-def fingerprint(raw: bytes, shingle: int = SHINGLE, seed: int = SEED) -> int:
-    """The 64-bit SimHash of a UTF-8 text, unsigned."""
+def shingle_hashes(raw: bytes, shingle: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+    """The hash of each shingle of a UTF-8 text; a text of fewer words is one shingle, one without words has none."""
     words = raw.lower().split()
     if not words:
-        return 0
+        return np.zeros(0, dtype="<u8")
     joined = b" ".join(words)
     n = len(words) - shingle + 1
     digest = xxhash.xxh64_intdigest
     if n <= 1:
-        return digest(joined, seed)
+        return np.array([digest(joined, seed)], dtype="<u8")
     stops = list(itertools.accumulate(map(len, words), lambda a, b: a + b + 1))
     starts = [0, *(s + 1 for s in stops[: n - 1])]
-    h = np.array([digest(joined[a:b], seed) for a, b in zip(starts, stops[shingle - 1 :], strict=True)], dtype="<u8")
+    return np.array([digest(joined[a:b], seed) for a, b in zip(starts, stops[shingle - 1 :], strict=True)], dtype="<u8")
+
+
+def fingerprint(raw: bytes, shingle: int = SHINGLE, seed: int = SEED) -> int:
+    """The 64-bit SimHash of a UTF-8 text, unsigned."""
+    h = shingle_hashes(raw, shingle, seed)
+    n = len(h)
+    if n <= 1:
+        return int(h[0]) if n else 0
     ones = np.zeros(64, dtype=np.int64)
     for i in range(0, n, 1 << 14):
         ones += np.unpackbits(h[i : i + (1 << 14)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little")
 
 
-def with_fingerprint(docs: DataFrame, name: str, text_col: str = "text") -> DataFrame:
-    """The input's columns and the fingerprint as a signed number."""
+def shingle_set(raw: bytes) -> np.ndarray:
+    """The distinct five-word shingles of a text, as signed numbers in order."""
+    return np.unique(shingle_hashes(raw, COPY_SHINGLE).view(np.int64))
+
+
+def set_key(raw: bytes) -> int:
+    """The same 64-bit number for all texts with the same shingles."""
+    return xxhash.xxh64_intdigest(shingle_set(raw).tobytes(), SEED)
+
+
+def with_fingerprint(docs: DataFrame, name: str, text_col: str = "text", of: Callable[[bytes], int] = fingerprint) -> DataFrame:
+    """The input's columns and the fingerprint (or another 64-bit number of the text) as a signed number."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, text_col):
-                got = np.array([fingerprint(raw) for raw in column_bytes(part, text_col)], dtype=np.uint64).view(np.int64)
+                got = np.array([of(raw) for raw in column_bytes(part, text_col)], dtype=np.uint64).view(np.int64)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(got)], [*part.schema.names, name])
 
     limit_batches(docs.sparkSession)
@@ -129,10 +158,100 @@ def near_links(scratch: Scratch, fps: DataFrame, pair_limit: int = PAIRS) -> Dat
     return pairs.union(stars)
 
 
-def _classes(scratch: Scratch, prints: DataFrame) -> DataFrame:
-    """(fp, component_id) of each distinct fingerprint in (doc_id, fp)."""
+def common_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that several of a sample of distinct texts have, in order, and in how many."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, "text"):
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([shingle_set(raw) for raw in column_bytes(part, "text")]))], ["s"])
+
+    limit_batches(docs.sparkSession)
+    top = 1 << 30
+    limit = min(top, top * ORDER_TEXTS // max(1, docs.count()) + 1)
+    some = docs.select("text").where(F.pmod(F.xxhash64("text"), F.lit(top)) < limit).distinct()
+    counts = some.mapInArrow(run, "s bigint").groupBy("s").agg(F.count("*").alias("n")).where(F.col("n") >= ORDER_LEAST)
+    rows = sorted((r.s, r.n) for r in counts.orderBy(F.desc("n"), "s").limit(ORDER_SHINGLES).collect())
+    return np.array([r[0] for r in rows], dtype=np.int64), np.array([r[1] for r in rows], dtype=np.int64)
+
+
+def leading(found: np.ndarray, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The first n // 5 + 1 of a text's shingles: rare ones before common ones, then by number."""
+    if len(common[0]) and len(found):
+        at = np.minimum(np.searchsorted(common[0], found), len(common[0]) - 1)
+        found = found[np.argsort(np.where(common[0][at] == found, common[1][at], 0), kind="stable")]
+    return found[: len(found) // 5 + 1]
+
+
+def shingle_sets(docs: DataFrame, common: tuple[np.ndarray, np.ndarray] | None = None) -> DataFrame:
+    """(doc_id, fp, n, some) of each row: the number of its set of shingles, the set's size, and its leading shingles, or all of them
+    where no common ones are given."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, "text"):
+                found = [shingle_set(raw) for raw in column_bytes(part, "text")]
+                keys = np.array([xxhash.xxh64_intdigest(f.tobytes(), SEED) for f in found], dtype=np.uint64).view(np.int64)
+                sizes = np.array([len(f) for f in found], dtype=np.int32)
+                some = [leading(f, common) for f in found] if common else found
+                ends = np.cumsum([0, *map(len, some)], dtype=np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(some)))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(keys), pa.array(sizes), lists], ["doc_id", "fp", "n", "some"])
+
+    limit_batches(docs.sparkSession)
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint, n int, some array<bigint>")
+
+
+def copy_links(scratch: Scratch, docs: DataFrame, leads: DataFrame, pair_limit: int = PAIRS) -> DataFrame:
+    """(a, b): links that connect the distinct sets of shingles of ``docs`` as all pairs of Jaccard similarity 0.8 or more do.
+    ``leads`` is ``shingle_sets`` of the same rows."""
+
+    def alike(pairs: DataFrame) -> DataFrame:
+        pairs = scratch.table(pairs)
+        ids = scratch.table(pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct())
+        rows = leads.join(ids, "fp", "left_semi").groupBy("fp").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
+        texts = docs.join(rows, "doc_id", "left_semi").select("doc_id", "text").union(docs.where("doc_id is null").select("doc_id", "text"))
+        whole = scratch.table(shingle_sets(texts).join(ids, "fp", "left_semi").groupBy("fp").agg(F.first("some").alias("some")))
+        left, right = whole.select(F.col("fp").alias("a"), F.col("some").alias("in_a")), whole.select(F.col("fp").alias("b"), F.col("some").alias("in_b"))
+        both = F.size(F.array_intersect("in_a", "in_b"))
+        out = scratch.table(pairs.join(left, "a").join(right, "b").where(9 * both >= 4 * (F.size("in_a") + F.size("in_b"))).select("a", "b"))
+        for used in (whole, ids, pairs):
+            scratch.drop(used)
+        return out
+
+    def candidates(members: DataFrame, apart: str) -> DataFrame:
+        """Pairs of a common leading shingle that sizes and the number of such shingles allow; ``other`` is how many a set has outside ``members``."""
+        left, right = (members.select("s", F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("other").alias(f"o_{x}"), F.col("root").alias(f"root_{x}")) for x in "ab")
+        pairs = left.join(right, "s").where("a < b").where(apart).where("5 * n_a >= 4 * n_b and 5 * n_b >= 4 * n_a")
+        pairs = pairs.groupBy("a", "b").agg(*(F.first(c).alias(c) for c in ("n_a", "n_b", "o_a", "o_b")), F.count("*").alias("k"))
+        rest = F.greatest(*(F.col(c) - F.floor(F.col(c) / 5).cast("int") - 1 for c in ("n_a", "n_b")))
+        return pairs.where(9 * (rest + F.col("k") + F.least("o_a", "o_b")) >= 4 * (F.col("n_a") + F.col("n_b"))).select("a", "b")
+
+    posts = leads.groupBy("fp").agg(F.first("n").alias("n"), F.first("some").alias("some")).select("fp", "n", F.explode("some").alias("s"))
+    group = W.partitionBy("s")
+    members = scratch.table(posts.withColumn("m", F.count("*").over(group)).where("m > 1"))
+    split = members.groupBy("fp").agg(F.sum(F.when(F.col("m") <= pair_limit, 1).otherwise(0)).alias("n_few"), F.sum(F.when(F.col("m") > pair_limit, 1).otherwise(0)).alias("n_crowd"))
+    members = scratch.table(members.join(split, "fp"))
+
+    few = members.where(F.col("m") <= pair_limit).select("s", "fp", "n", F.col("n_crowd").alias("other"), F.col("fp").alias("root"))
+    many = members.where(F.col("m") > pair_limit).select("s", "fp", "n", F.col("n_few").alias("other"))
+    crowd = many.withColumn("root", F.col("fp"))
+    links = scratch.table(candidates(few, "true"))
+    for turn in range(STARS):
+        hub = F.min(F.struct(F.xxhash64("fp", F.lit(turn)).alias("spot"), "fp", "n", "root")).over(group)
+        stars = crowd.withColumn("hub", hub).where("root <> hub.root and 5 * n >= 4 * hub.n and 5 * hub.n >= 4 * n")
+        stars = stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b"))
+        links = alike(stars.union(links).distinct()) if turn == 0 else scratch.table(links.union(alike(stars.distinct())))
+        rooted = components(scratch, links).withColumnRenamed("node", "fp").distinct()
+        crowd = scratch.table(many.join(rooted, "fp", "left").select("s", "fp", "n", "other", F.coalesce("root", "fp").alias("root")))
+    return links.union(alike(candidates(crowd, "root_a <> root_b")))
+
+
+def _classes(scratch: Scratch, prints: DataFrame, links: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """(fp, component_id) of each distinct fingerprint in (doc_id, fp), connected by the ``links`` of column fp."""
     reps = scratch.table(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    rooted = scratch.table(components(scratch, near_links(scratch, reps.select("fp"))))
+    rooted = scratch.table(components(scratch, links(reps.select("fp"))))
     linked = reps.join(rooted, F.col("fp") == F.col("node"), "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     many = rooted.join(reps, F.col("node") == F.col("fp")).groupBy("root").agg(F.min("rep").alias("first"))
     return linked.join(many, "root", "left").select("fp", F.when(F.col("first").isNotNull(), F.col("first")).otherwise(F.col("rep")).alias("component_id"), "root")
@@ -142,20 +261,20 @@ def link_documents(docs: DataFrame) -> DataFrame:
     """(doc_id, fingerprint, component_id) of every document."""
     scratch = Scratch(docs.sparkSession)
     prints = scratch.table(with_fingerprint(docs.select("doc_id", "text"), "fp").select("doc_id", "fp"))
-    found = _classes(scratch, prints)
+    found = _classes(scratch, prints, lambda fps: near_links(scratch, fps))
     return prints.join(found, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of one document of each component, all columns as they are: that with the least doc_id (of repeated ids the
-    first text in order). Where a component has no doc_id at all, one of its rows stays."""
+    """The rows of one document of each group that near copies (five-word shingles, similarity of 0.8 or more) connect, all columns as they are: that with the least doc_id (of repeated ids the
+    first text in order). Where a group has no doc_id at all, one of its rows stays."""
     scratch = Scratch(docs.sparkSession)
     key, first = "__near_fp", "__near_first"
-    prints = scratch.table(with_fingerprint(docs.select("doc_id", "text"), "fp").select("doc_id", "fp"))
-    found = scratch.table(_classes(scratch, prints))
+    leads = scratch.table(shingle_sets(docs, common_shingles(docs)))
+    found = scratch.table(_classes(scratch, leads.select("doc_id", "fp"), lambda fps: copy_links(scratch, docs, leads)))
     order = [F.col(c) for c in ["text", *(c for c in docs.columns if c not in ("doc_id", "text"))]]
     ids = found.where("component_id is not null").select(F.col("component_id").alias("doc_id")).distinct()
     named = docs.where("doc_id is not null").join(ids, "doc_id").withColumn(first, F.row_number().over(W.partitionBy("doc_id").orderBy(*order))).where(F.col(first) == 1)
     roots = found.where("component_id is null").select(F.col("fp").alias(key), "root")
-    unnamed = with_fingerprint(docs.where("doc_id is null"), key).join(roots, key).withColumn(first, F.row_number().over(W.partitionBy("root").orderBy(*order))).where(F.col(first) == 1)
+    unnamed = with_fingerprint(docs.where("doc_id is null"), key, of=set_key).join(roots, key).withColumn(first, F.row_number().over(W.partitionBy("root").orderBy(*order))).where(F.col(first) == 1)
     return named.select(*docs.columns).unionByName(unnamed.select(*docs.columns))

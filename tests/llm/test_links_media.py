@@ -71,6 +71,42 @@ def test_keep_one_of_each(spark, documents):
     assert sorted((r.doc_id is None, r.doc_id) for r in kept.collect()) == sorted([(False, 1), (False, 3), (False, 5), (False, 6), (False, 8), (True, None)])
 
 
+def test_near_copies_against_brute_force(spark):
+    """Pairs of five-word Jaccard similarity 0.8 or more, in groups below and far above what is compared pair by pair."""
+    rng = random.Random(11)
+    rows = []
+    for group in range(12):
+        base = [f"w{rng.randrange(5000)}" for _ in range(rng.choice([30, 90, 240]))]
+        for _ in range(60 if group < 2 else 6):
+            words = list(base)
+            for _ in range(rng.choice([0, 1, 1, 2, 3, 5])):
+                words[rng.randrange(len(words))] = f"x{rng.randrange(5000)}"
+            rows.append(" ".join(words))
+    rng.shuffle(rows)
+
+    def grams(text):
+        w = text.split()
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    sets = [grams(t) for t in rows]
+    parent = list(range(len(rows)))
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i in range(len(rows)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                a, b = find(i), find(j)
+                parent[max(a, b)] = min(a, b)
+    want = sorted({find(i) for i in range(len(rows))})
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id bigint, text string")
+    assert 12 < len(want) < len(rows)
+    assert sorted(r.doc_id for r in simhash.keep_one_of_each(df).collect()) == want
+
+
 def test_components_of_a_path(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(300)] + [(900, 901), (901, 900), (5, 5)], "a bigint, b bigint")
     got = {r.node: r.root for r in graph.components(Scratch(spark), edges).collect()}
