@@ -6,8 +6,8 @@ Every adapter returns a ``SocialGraph`` of the same shapes:
   friends(src, dst)                        diffs(src_doc, dst_doc, src_user, dst_user, tbin)
 
 A diffusion link points from the diffusing document to the earlier one. Links that two rows of a group imply are made by equi-joins on the
-group; groups with more than ``max_group`` members say nothing about any pair, and are left out before the join, so the work stays
-linear in the rows.
+group and, of large groups, on pairs of blocks of at most ``BLOCK`` members or so: every group gives all its pairs, however large it is, and no
+task gets more than two blocks of it at once. The rows of links grow with the square of a group.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-MAX_GROUP = 1000
+BLOCK = 1000
 
 
 @dataclass
@@ -44,13 +44,21 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def _pairs(members: DataFrame, group: list[str], user: str, max_group: int) -> DataFrame:
-    """Ordered pairs of distinct users that share a group of 2 to max_group users."""
-    members = members.select(*group, user).distinct()
-    small = members.groupBy(*group).agg(F.count("*").alias("n")).where(F.col("n").between(2, max_group)).select(*group)
-    members = members.join(small, group)
-    left, right = members.withColumnRenamed(user, "src"), members.withColumnRenamed(user, "dst")
-    return left.join(right, group).where("src <> dst").select("src", "dst").distinct()
+def _blocked(members: DataFrame, group: list[str], member: str, block: int) -> tuple[DataFrame, DataFrame]:
+    """Both sides of a self-join on the columns of ``group`` and (block_l, block_r). Each ordered pair of members of a group of two or
+    more meets once; members of large groups are dealt over blocks by a hash."""
+    sizes = members.groupBy(*group).agg(F.count("*").alias("n")).where("n > 1").select(*group, F.ceil(F.col("n") / block).cast("int").alias("blocks"))
+    dealt = members.join(sizes, group).withColumn("mine", F.pmod(F.xxhash64(member), F.col("blocks")).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    left = dealt.withColumn("block_r", every).withColumnRenamed("mine", "block_l").drop("blocks")
+    right = dealt.withColumn("block_l", every).withColumnRenamed("mine", "block_r").drop("blocks")
+    return left, right
+
+
+def _pairs(members: DataFrame, group: list[str], user: str, block: int = BLOCK) -> DataFrame:
+    """Ordered pairs of distinct users that share a group."""
+    left, right = _blocked(members.select(*group, user).distinct(), group, user, block)
+    return left.withColumnRenamed(user, "src").join(right.withColumnRenamed(user, "dst"), [*group, "block_l", "block_r"]).where("src <> dst").select("src", "dst").distinct()
 
 
 def word_counts(texts: DataFrame, min_words: int = 2) -> tuple[DataFrame, DataFrame]:
@@ -61,7 +69,7 @@ def word_counts(texts: DataFrame, min_words: int = 2) -> tuple[DataFrame, DataFr
     return tokens.join(sizes.select("doc_id"), "doc_id", "left_semi"), sizes
 
 
-def commerce(spark: SparkSession, sf_dir: str, horizon: int = 14, max_group: int = MAX_GROUP) -> SocialGraph:
+def commerce(spark: SparkSession, sf_dir: str, horizon: int = 14) -> SocialGraph:
     """Customers and their orders. Words are those of the ordered parts; customers who bought the same part from the same supplier are friends;
     an order diffuses the order before it of the same part, by another customer, at most ``horizon`` days earlier."""
     orders = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("doc_id"), F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"))
@@ -71,7 +79,7 @@ def commerce(spark: SparkSession, sf_dir: str, horizon: int = 14, max_group: int
     tokens, sizes = word_counts(bought.join(parts, "l_partkey").select("doc_id", "user_id", "words"))
     months = ((F.year("ts") - 1995) * 12 + F.month("ts") - 1).cast("int")
     docs = orders.join(sizes, "doc_id").select("doc_id", "user_id", "ts", months.alias("tbin"), "n_tok")
-    friends = _pairs(bought, ["l_partkey", "l_suppkey"], "user_id", max_group)
+    friends = _pairs(bought, ["l_partkey", "l_suppkey"], "user_id")
     order = W.partitionBy("l_partkey").orderBy("ts", "doc_id", "l_linenumber")
     before = {c: F.lag(c).over(order) for c in ("doc_id", "user_id", "ts")}
     near = bought.select("doc_id", "user_id", "ts", *(v.alias(f"p_{k}") for k, v in before.items()))
@@ -97,7 +105,7 @@ def corpus(spark: SparkSession, sf_dir: str, first_words: int = 20, max_group: i
     return SocialGraph(docs, tokens, pairs.where("src_user <> dst_user").select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst")).distinct(), pairs)
 
 
-def web(spark: SparkSession, sf_dir: str, max_group: int = 20) -> SocialGraph:
+def web(spark: SparkSession, sf_dir: str) -> SocialGraph:
     """Hosts and their pages' titles; a page diffuses the page before it with the same link target; hosts with a shared target are friends."""
     rows = read(spark, sf_dir, "pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), "html")
     rows = rows.select(F.col("page_id").alias("doc_id"), F.xxhash64("host").alias("user_id"), F.floor(F.col("page_id") / 50).cast("int").alias("tbin"), "html")
@@ -105,7 +113,7 @@ def web(spark: SparkSession, sf_dir: str, max_group: int = 20) -> SocialGraph:
     tokens, sizes = word_counts(rows.select("doc_id", "user_id", title.alias("words")))
     docs = rows.join(sizes, "doc_id").select("doc_id", "user_id", F.timestamp_seconds(F.col("tbin") * 86400).alias("ts"), "tbin", "n_tok")
     targets = rows.select("doc_id", "user_id", "tbin", F.explode(F.array_distinct(F.regexp_extract_all("html", F.lit(r'href="([^"]+)"'), F.lit(1)))).alias("target"))
-    friends = _pairs(targets, ["target"], "user_id", max_group)
+    friends = _pairs(targets, ["target"], "user_id")
     order = W.partitionBy("target").orderBy("doc_id")
     near = targets.select(F.col("doc_id").alias("src_doc"), F.lag("doc_id").over(order).alias("dst_doc"), F.col("user_id").alias("src_user"), F.lag("user_id").over(order).alias("dst_user"), "tbin")
     diffs = near.where("dst_user is not null and src_user <> dst_user").distinct()
@@ -147,7 +155,7 @@ def dialog(spark: SparkSession, sf_dir: str) -> SocialGraph:
     docs = rows.join(sizes, "doc_id").select("doc_id", "user_id", F.timestamp_seconds(F.col("turn") * 60).alias("ts"), F.col("turn").cast("int").alias("tbin"), "n_tok")
     order = W.partitionBy("conv_id").orderBy("turn")
     near = rows.select(F.col("doc_id").alias("src_doc"), F.lag("doc_id").over(order).alias("dst_doc"), F.col("user_id").alias("src_user"), F.lag("user_id").over(order).alias("dst_user"), F.col("turn").cast("int").alias("tbin"))
-    return SocialGraph(docs, tokens, _pairs(rows, ["conv_id"], "user_id", MAX_GROUP), near.where("src_user <> dst_user").distinct())
+    return SocialGraph(docs, tokens, _pairs(rows, ["conv_id"], "user_id"), near.where("src_user <> dst_user").distinct())
 
 
 ADAPTERS = {"commerce": commerce, "corpus": corpus, "web": web, "activity": activity, "dialog": dialog}

@@ -205,3 +205,29 @@ def test_full_sweep_runs(spark, tiny, keep):
     got = JointProfiler(ProfilerConfig(communities=2, topics=2, sweeps=1, blocks=1, nu_steps=2), keep).fit(tiny)
     assert got.assign.count() == 12 and all(math.isfinite(w) for w in got.nu) and got.eta.count() > 0
     assert variant(ProfilerConfig(), "no_topic").factors == ("community", "individual")
+
+
+def test_large_groups_keep_all_pairs(spark):
+    """Groups of any size give every ordered pair once, in one block or dealt over many."""
+    from itertools import permutations
+
+    from commlens.sources import graphs
+
+    rows = [("big", u) for u in range(1100)] + [("mid", u) for u in range(2000, 2030)] + [("one", 5000)] + [("mid", 2000)]
+    members = spark.createDataFrame(rows, "g string, u bigint")
+    want = 1100 * 1099 + 30 * 29
+    pairs = graphs._pairs(members, ["g"], "u")
+    assert pairs.count() == want
+    small = members.where("g <> 'big'")
+    for block in (1, 7, 1000):
+        assert {tuple(r) for r in graphs._pairs(small, ["g"], "u", block).collect()} == set(permutations(range(2000, 2030), 2))
+    left, right = graphs._blocked(members.where("g = 'mid'").distinct(), ["g"], "u", 7)
+    assert left.join(right.withColumnRenamed("u", "v"), ["g", "block_l", "block_r"]).count() == 30 * 30
+
+
+def test_web_hosts_of_a_common_target_are_friends(spark, tmp_path):
+    from commlens.sources import graphs
+
+    rows = [(i, f"http://h{i}.example/p", f'<title>some page</title><a href="/all">x</a><a href="/{i // 2}">y</a>') for i in range(40)]
+    spark.createDataFrame(rows, "page_id bigint, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    assert graphs.web(spark, str(tmp_path)).friends.count() == 40 * 39
