@@ -88,20 +88,19 @@ def commerce(spark: SparkSession, sf_dir: str, horizon: int = 14) -> SocialGraph
     return SocialGraph(docs, tokens, friends, diffs)
 
 
-def corpus(spark: SparkSession, sf_dir: str, first_words: int = 20, max_group: int = 20) -> SocialGraph:
-    """Authors are (source, language); a document's first words stand for it. A line of 30 or more characters that 2 to max_group
-    documents share links the later document to each earlier one, and so their authors."""
+def corpus(spark: SparkSession, sf_dir: str, first_words: int = 20) -> SocialGraph:
+    """Authors are (source, language); a document's first words stand for it. A line of 30 or more characters that documents
+    share, however many, links the later document to each earlier one, and so their authors."""
     rows = read(spark, sf_dir, "documents").select("doc_id", "text", F.concat_ws(":", "source", "lang").alias("author"))
     rows = rows.withColumn("user_id", F.xxhash64("author")).withColumn("tbin", F.floor(F.col("doc_id") / 50).cast("int"))
     words = F.slice(F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: F.length(w) >= 3), 1, first_words)
     tokens, sizes = word_counts(rows.select("doc_id", "user_id", words.alias("words")))
     docs = rows.join(sizes, "doc_id").select("doc_id", "user_id", F.timestamp_seconds(F.col("tbin") * 86400).alias("ts"), "tbin", "n_tok")
     lines = rows.select("doc_id", "user_id", "tbin", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where(F.length("line") >= 30).withColumn("line", F.md5("line"))
-    shared = lines.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n").between(2, max_group)).select("line")
-    lines = lines.join(shared, "line")
-    early = lines.select("line", F.col("doc_id").alias("dst_doc"), F.col("user_id").alias("dst_user"))
-    late = lines.select("line", F.col("doc_id").alias("src_doc"), F.col("user_id").alias("src_user"), "tbin")
-    pairs = late.join(early, "line").where("src_doc > dst_doc").select("src_doc", "dst_doc", "src_user", "dst_user", "tbin").distinct()
+    late, early = _blocked(lines.distinct(), ["line"], "doc_id", BLOCK)
+    late = late.withColumnRenamed("doc_id", "src_doc").withColumnRenamed("user_id", "src_user")
+    early = early.select("line", "block_l", "block_r", F.col("doc_id").alias("dst_doc"), F.col("user_id").alias("dst_user"))
+    pairs = late.join(early, ["line", "block_l", "block_r"]).where("src_doc > dst_doc").select("src_doc", "dst_doc", "src_user", "dst_user", "tbin").distinct()
     return SocialGraph(docs, tokens, pairs.where("src_user <> dst_user").select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst")).distinct(), pairs)
 
 

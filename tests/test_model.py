@@ -231,3 +231,14 @@ def test_web_hosts_of_a_common_target_are_friends(spark, tmp_path):
     rows = [(i, f"http://h{i}.example/p", f'<title>some page</title><a href="/all">x</a><a href="/{i // 2}">y</a>') for i in range(40)]
     spark.createDataFrame(rows, "page_id bigint, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
     assert graphs.web(spark, str(tmp_path)).friends.count() == 40 * 39
+
+
+def test_corpus_keeps_lines_of_many_documents(spark, tmp_path):
+    from commlens.sources import graphs
+
+    line = "this line stands in every one of the documents"
+    rows = [(i, f"{line}\nword{i} alone", "en", f"src{i % 3}") for i in range(40)]
+    spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    graph = graphs.corpus(spark, str(tmp_path))
+    assert {(r.src_doc, r.dst_doc) for r in graph.diffs.collect()} == {(a, b) for a in range(40) for b in range(a)}
+    assert graph.friends.count() == 6
