@@ -88,12 +88,12 @@ def commerce(spark: SparkSession, sf_dir: str, horizon: int = 14) -> SocialGraph
     return SocialGraph(docs, tokens, friends, diffs)
 
 
-def corpus(spark: SparkSession, sf_dir: str, first_words: int = 20) -> SocialGraph:
-    """Authors are (source, language); a document's first words stand for it. A line of 30 or more characters that documents
+def corpus(spark: SparkSession, sf_dir: str) -> SocialGraph:
+    """Authors are (source, language); a document's words of three letters or more are all its words. A line of 30 or more characters that documents
     share, however many, links the later document to each earlier one, and so their authors."""
     rows = read(spark, sf_dir, "documents").select("doc_id", "text", F.concat_ws(":", "source", "lang").alias("author"))
     rows = rows.withColumn("user_id", F.xxhash64("author")).withColumn("tbin", F.floor(F.col("doc_id") / 50).cast("int"))
-    words = F.slice(F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: F.length(w) >= 3), 1, first_words)
+    words = F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: F.length(w) >= 3)
     tokens, sizes = word_counts(rows.select("doc_id", "user_id", words.alias("words")))
     docs = rows.join(sizes, "doc_id").select("doc_id", "user_id", F.timestamp_seconds(F.col("tbin") * 86400).alias("ts"), "tbin", "n_tok")
     lines = rows.select("doc_id", "user_id", "tbin", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where(F.length("line") >= 30).withColumn("line", F.md5("line"))

@@ -242,3 +242,13 @@ def test_corpus_keeps_lines_of_many_documents(spark, tmp_path):
     graph = graphs.corpus(spark, str(tmp_path))
     assert {(r.src_doc, r.dst_doc) for r in graph.diffs.collect()} == {(a, b) for a in range(40) for b in range(a)}
     assert graph.friends.count() == 6
+
+
+def test_corpus_reads_whole_texts(spark, tmp_path):
+    from commlens.sources import graphs
+
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    text = " ".join(f"word{a}{b}" for a in letters for b in letters)
+    spark.createDataFrame([(1, text, "en", "src0")], "doc_id bigint, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    graph = graphs.corpus(spark, str(tmp_path))
+    assert graph.docs.first().n_tok == 676 and graph.tokens.select("word").distinct().count() == 676
