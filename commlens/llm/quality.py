@@ -6,9 +6,9 @@ document's score is the mean log ratio of its n-grams, so long and short texts c
 compares it with one number, the same for every document: the given quantile of the trusted
 documents' own scores, less a margin.
 
-Bounds: at most ``TRUSTED`` labelled documents of quality 1 form the target, ``CALIBRATION`` of them set
-the threshold; all counts, scores and verdicts cover every document. A task sends a row per
-non-empty cell, whatever it has read; BUCKETS numbers reach the driver and go back to the tasks.
+All labelled documents of quality 1 form the target and set the threshold; counts, scores and verdicts cover every document. A task
+sends a row per non-empty cell, whatever it has read; BUCKETS numbers reach the driver and go back to the tasks, and the driver sees the
+scores below the quantile.
 
 Cases: null text and text without words have zero counts, score zero and fail the base rules; repeated
 rows each get a row; with no trusted documents the ratio is zero everywhere and all documents that pass the
@@ -25,11 +25,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from commlens.llm.common import SPACE, column_bytes, limit_batches, map_batches
+from commlens.llm.common import SPACE, Scratch, column_bytes, limit_batches, map_batches
 
 BUCKETS = 1 << 14
-TRUSTED = 20_000
-CALIBRATION = 4_000
 #: The share of trusted documents that the threshold may cut, and what is taken off it.
 QUANTILE, MARGIN = 0.002, 0.05
 MIN_WORDS = 50
@@ -86,23 +84,19 @@ def cells(index: WordIndex, buckets: int = BUCKETS) -> np.ndarray:
     return (np.concatenate([h * _MIX, two]) >> np.uint64(64 - buckets.bit_length() + 1)).astype(np.int64)
 
 
-def trusted_ids(labels: DataFrame, size: int = TRUSTED) -> np.ndarray:
-    """Up to ``size`` doc_ids whose labels all say quality 1, the first in the order of a hash."""
-    rows = (
-        labels.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("low"), F.max("quality").alias("high"))
-        .where("low = 1 and high = 1").orderBy(F.xxhash64("doc_id"), "doc_id").limit(size).select(F.col("doc_id").cast("bigint"))
-    )
-    return np.array([r[0] for r in rows.collect()], dtype=np.int64)
+def trusted_ids(labels: DataFrame) -> DataFrame:
+    """The doc_ids whose labels all say quality 1."""
+    rows = labels.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("low"), F.max("quality").alias("high"))
+    return rows.where("low = 1 and high = 1").select("doc_id")
 
 
-def log_ratios(docs: DataFrame, trusted: np.ndarray, buckets: int = BUCKETS) -> np.ndarray:
+def log_ratios(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS) -> np.ndarray:
     """log(trusted / raw) of each cell, from counts over all documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros((2, buckets), dtype=np.int64)
         for batch in batches:
-            known = np.isin(batch.column("doc_id").cast(pa.int64()).fill_null(-1 << 62).to_numpy(zero_copy_only=False), trusted)
-            for raw, good in zip(column_bytes(batch, "text"), known.tolist(), strict=True):
+            for raw, good in zip(column_bytes(batch, "text"), batch.column("good").to_pylist(), strict=True):
                 got = np.bincount(cells(WordIndex(raw.split()), buckets), minlength=buckets)
                 counts[0] += got
                 if good:
@@ -111,18 +105,19 @@ def log_ratios(docs: DataFrame, trusted: np.ndarray, buckets: int = BUCKETS) ->
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(counts[0][at]), pa.array(counts[1][at])], ["cell", "n_raw", "n_trusted"])
 
     limit_batches(docs.sparkSession)
-    sums = docs.select("doc_id", "text").mapInArrow(run, "cell int, n_raw bigint, n_trusted bigint").groupBy("cell").agg(F.sum("n_raw"), F.sum("n_trusted"))
+    marked = docs.select("doc_id", "text").join(trusted.withColumn("good", F.lit(True)).hint("shuffle_hash"), "doc_id", "left").select("text", "good")
+    sums = marked.mapInArrow(run, "cell int, n_raw bigint, n_trusted bigint").groupBy("cell").agg(F.sum("n_raw"), F.sum("n_trusted"))
     raw, good = np.ones(buckets), np.ones(buckets)
     for cell, a, b in sums.collect():
         raw[cell] += a
         good[cell] += b
-    if not len(trusted) or good.sum() == buckets:
+    if good.sum() == buckets:
         return np.zeros(buckets)
     return np.log(good / good.sum()) - np.log(raw / raw.sum())
 
 
-def score_documents(docs: DataFrame, ratios: np.ndarray, threshold: float | None) -> DataFrame:
-    """The base counts, ``score`` and verdict of every document; with no threshold base rules alone decide."""
+def score_documents(docs: DataFrame, ratios: np.ndarray) -> DataFrame:
+    """The base counts, the verdict of the base rules and ``score`` of every document."""
     buckets = len(ratios)
 
     def make():
@@ -134,30 +129,32 @@ def score_documents(docs: DataFrame, ratios: np.ndarray, threshold: float | None
                 counts = base_counts(raw, words, index)
                 score = float(ratios[cells(index, buckets)].mean()) if words else 0.0
                 failed = base_fails(counts[0], counts[4])
-                rows.append((*counts, failed, not failed and (threshold is None or score >= threshold), score))
-            kinds = [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.float64()]
+                rows.append((*counts, failed, score))
+            kinds = [pa.int64()] * 5 + [pa.bool_()] + [pa.float64()]
             return pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True))], names)
 
         return step
 
-    names = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "score"]
-    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, base_failed boolean, kept boolean, score double"
+    names = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "score"]
+    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, base_failed boolean, score double"
     return map_batches(docs.select("doc_id", "text"), make, schema)
 
 
-def fitted_threshold(docs: DataFrame, ratios: np.ndarray, trusted: np.ndarray, quantile: float = QUANTILE, margin: float = MARGIN) -> float | None:
-    """The quantile of the scores of trusted documents that pass the base rules, less the margin."""
-    some = [int(x) for x in trusted[:CALIBRATION]]
-    if not some:
+def fitted_threshold(scored: DataFrame, trusted: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN) -> float | None:
+    """The quantile of the scores of all trusted documents that pass the base rules, less the margin."""
+    scores = scored.where(~F.col("base_failed")).join(trusted, "doc_id", "left_semi").select("score")
+    at = quantile * (scores.count() - 1)
+    if at < 0:
         return None
-    ids = docs.sparkSession.createDataFrame([(x,) for x in some], "doc_id bigint")
-    scored = score_documents(docs.join(F.broadcast(ids), "doc_id", "left_semi"), ratios, None)
-    scores = [r[0] for r in scored.where(~F.col("base_failed")).select("score").collect()]
-    return float(np.quantile(scores, quantile)) - margin if scores else None
+    low = [r[0] for r in scores.orderBy("score").limit(int(at) + 2).collect()][int(at) :]
+    return low[0] + (low[-1] - low[0]) * (at - int(at)) - margin
 
 
 def judge_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Every document with its base counts and verdict, trusted text being what the labels call good."""
-    trusted = trusted_ids(labels)
-    ratios = log_ratios(docs, trusted)
-    return score_documents(docs, ratios, fitted_threshold(docs, ratios, trusted))
+    scratch = Scratch(docs.sparkSession)
+    trusted = scratch.table(trusted_ids(labels))
+    scored = scratch.table(score_documents(docs, log_ratios(docs, trusted)))
+    threshold = fitted_threshold(scored, trusted)
+    kept = ~F.col("base_failed") if threshold is None else ~F.col("base_failed") & (F.col("score") >= threshold)
+    return scored.select(*scored.columns[:-1], kept.alias("kept"), "score")

@@ -30,6 +30,17 @@ def test_base_counts():
         assert quality.base_counts(raw, w, quality.WordIndex(w)) == brute_base(text), repr(text)
 
 
+def test_every_trusted_document_counts(spark):
+    """More good labels than any sample held: the counts and the threshold see all of them."""
+    n = 20_500
+    docs = spark.range(n).selectExpr("id AS doc_id", "repeat(concat('w', id % 50, ' x', id % 7, ' '), 2) AS text")
+    trusted = quality.trusted_ids(docs.selectExpr("doc_id", "1 AS quality"))
+    assert trusted.count() == n
+    assert np.abs(quality.log_ratios(docs, trusted)).max() == 0
+    scored = spark.range(n).selectExpr("id AS doc_id", "false AS base_failed", "CAST(id * 37 % 20500 AS double) AS score")
+    assert abs(quality.fitted_threshold(scored, trusted) - (np.quantile(np.arange(n), quality.QUANTILE) - quality.MARGIN)) < 1e-9
+
+
 def test_quality_verdicts(spark, documents):
     good, bad = words("abcdefgh", 15, 1).split(), words("#$%&*xyz", 15, 2).split()
     rows = [(100 + i, " ".join(random.Random(i).choices(good if i % 4 else bad, k=120)), 0 if i % 4 == 0 else 1) for i in range(120)]
