@@ -18,7 +18,10 @@ from __future__ import annotations
 
 import functools
 import hashlib
+import itertools
 import json
+import re
+import sys
 import unicodedata
 from itertools import islice
 
@@ -27,6 +30,9 @@ import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
+from tokenizers import Regex
+from tokenizers.normalizers import NFC, Lowercase, Sequence
+from tokenizers.pre_tokenizers import Split
 
 from commlens.llm.common import claim, column_text, map_batches
 
@@ -45,6 +51,34 @@ def byte_symbols() -> list[str]:
     return [chars[b] for b in range(256)]
 
 
+@functools.lru_cache(maxsize=2)
+def _own_class(kind: str) -> str:
+    """Ranges, as in a character class, of the letters (L) or numbers (N) that the library's pattern engine knows."""
+    ours = regex.findall(rf"\p{{{kind}}}", "".join(chr(c) for c in range(sys.maxunicode + 1) if not 0xD800 <= c < 0xE000))
+    newer = "".join(c for c in ours if unicodedata.category(c) == "Cn")
+    known = {c for c, _ in Split(Regex(rf"\p{{{kind}}}"), "removed", invert=True).pre_tokenize_str(newer)}
+    codes = [ord(c) for c in ours if c in known or unicodedata.category(c) != "Cn"]
+    runs = (list(g) for _, g in itertools.groupby(enumerate(codes), lambda x: x[1] - x[0]))
+    return "".join(f"\\U{g[0][1]:08x}-\\U{g[-1][1]:08x}" for g in runs)
+
+
+@functools.lru_cache(maxsize=1)
+def _table_gaps() -> tuple[frozenset[str], dict[int, str], re.Pattern]:
+    """Where the Unicode versions of ``regex``, of Python and of the library's normaliser part: the characters concerned, the lower case
+    of capitals that Python does not know yet, and a pattern of marks that the library's older composition tables pass over."""
+    normal = Sequence([NFC(), Lowercase()]).normalize_str
+    chars = [chr(c) for c in range(sys.maxunicode + 1) if not 0xD800 <= c < 0xE000]
+    new = [c for c in regex.findall(r"[\p{L}\p{N}]", "".join(chars)) if unicodedata.category(c) == "Cn"]
+    lower = {ord(c): normal(c) for c in new if normal(c) != c}
+    marks = {c for c in chars if unicodedata.category(c)[0] == "M" and any(NFC().normalize_str(s) != unicodedata.normalize("NFC", s) for s in (c + "\u0301", c + "\u0323", "\u0301" + c, "\u0345" + c))}
+    for c in chars:
+        if unicodedata.decomposition(c) and "<" not in unicodedata.decomposition(c):
+            whole = unicodedata.normalize("NFD", c)
+            if NFC().normalize_str(whole) != unicodedata.normalize("NFC", whole):
+                marks |= {c, *whole[1:]}
+    return frozenset([*new, *marks]), lower, re.compile("([" + "".join(map(re.escape, sorted(marks))) + "])")
+
+
 class WordBpe:
     """The tokenizer of a word-end BPE file: ``encode`` text to ids, ``decode`` ids to text."""
 
@@ -56,7 +90,10 @@ class WordBpe:
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self._cut = regex.compile("|".join(map(regex.escape, self.special)))
         split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
-        self._words = regex.compile(split.replace("\\s", "\\p{White_Space}"))
+        split = split.replace("\\s", "\\p{White_Space}")
+        self._words = regex.compile(split)
+        self._newer, self._lower, self._apart = _table_gaps()
+        self._own_words = regex.compile(split.replace("[\\p{L}]", "[" + _own_class("L") + "]").replace("\\p{L}", _own_class("L")).replace("\\p{N}", _own_class("N")))
         symbols = byte_symbols()
         self._to_symbols = {b: ord(c) for b, c in enumerate(symbols)}
         self._latin = {b: c for b, c in enumerate(symbols)}
@@ -146,9 +183,13 @@ class WordBpe:
 
     def words(self, text: str) -> list[str]:
         """The words of a text without special tokens, normalised."""
-        if not text.isascii():
-            text = unicodedata.normalize("NFC", text).replace("Σ", "σ")
-        return self._words.findall(text.lower())
+        if text.isascii():
+            return self._words.findall(text.lower())
+        if self._newer.isdisjoint(text):
+            return self._words.findall(unicodedata.normalize("NFC", text).replace("Σ", "σ").lower())
+        parts = self._apart.split(text)
+        parts[::2] = [unicodedata.normalize("NFC", p) for p in parts[::2]]
+        return self._own_words.findall("".join(parts).replace("Σ", "σ").lower().translate(self._lower))
 
     def _plain(self, text: str) -> bytes:
         words, kept = self.words(text), self._kept

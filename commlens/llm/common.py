@@ -79,9 +79,12 @@ def column_text(batch: pa.RecordBatch, name: str) -> list[str]:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of this machine's where that is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir. Where that is unset, a session whose tasks all run in this machine's one
+    process (local mode, as in tests) takes a folder of this machine; on a cluster it is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = f"file://{tempfile.gettempdir()}/checkpoints/commlens-{os.getpid()}"
     return root.rstrip("/")
 

@@ -19,8 +19,10 @@ table gives an empty table; other columns are ignored.
 from __future__ import annotations
 
 import html
+import math
 import re
 import zlib
+from bisect import insort
 
 import numpy as np
 import pyarrow as pa
@@ -30,6 +32,8 @@ from commlens.llm.common import column_text, map_batches
 
 FEATURES = 1 << 12
 TRAIN_PAGES, TRAIN_STEPS = 160, 80
+#: Nodes a level, on average, below which messages pass node by node instead of level by level.
+THIN_LEVEL = 8
 
 # Elements by their role in the HTML standard.
 _VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
@@ -90,7 +94,9 @@ class Page:
 
     def __init__(self, source: str) -> None:
         self.parent, self.features, self.text, self.label = [-1], [[_feature("tag=#page")]], [None], [-1]
+        self.depth = [0]
         self._stack = [(0, "#page", -1)]
+        self._places: dict[str, list[int]] = {}
         self._run: list[str] = []
         self._linked = self._links = 0
         at = 0
@@ -116,18 +122,38 @@ class Page:
             raw = "".join(self._run)
             self._run = []
             text = " ".join((html.unescape(raw) if "&" in raw else raw).split())
-            if text and not any(tag == "head" for _, tag, _ in self._stack):
+            if text and not self._places.get("head"):
                 at, tag, label = self._stack[-1]
                 self._add(at, _text_features(text, min(self._linked, len(text)), tag), text, label)
         self._linked = 0
 
     def _add(self, parent: int, features: list[int], text: str | None, label: int) -> int:
         self.parent.append(parent)
+        self.depth.append(self.depth[parent] + 1)
         self.features.append(features)
         self.text.append(text)
         self.label.append(label)
         return len(self.parent) - 1
 
+    def _innermost(self, tags: set[str]) -> int:
+        """The place of the innermost open element of some tags, -1 if none is open."""
+        return max((at[-1] for t in tags if (at := self._places.get(t))), default=-1)
+
+    def _cut(self, place: int) -> None:
+        """Ends the open elements from a place on."""
+        while len(self._stack) > place:
+            self._places[self._stack.pop()[1]].pop()
+
+    def _end_head(self) -> None:
+        """A body ends an open head; one that other open elements stand in stays above them without its meaning."""
+        for place in reversed(self._places.pop("head", [])):
+            if place == len(self._stack) - 1:
+                self._stack.pop()
+            else:
+                at, _, label = self._stack[place]
+                self._stack[place] = (at, "#head", label)
+                insort(self._places.setdefault("#head", []), place)
+
     def _open(self, tag: str, attributes: str) -> None:
         if tag in _INLINE:
             self._links += tag == "a"
@@ -139,16 +165,16 @@ class Page:
         if tag in _VOID:
             return
         if tag == "body":
-            self._stack = [x for x in self._stack if x[1] != "head"]
+            self._end_head()
         if self._stack[-1][1] == "p":
-            self._stack.pop()
-        for k in range(len(self._stack) - 1, 0, -1) if tag in _ENDS else ():
-            if self._stack[k][1] in _ENDS[tag]:
-                del self._stack[k:]
-            elif self._stack[k][1] in _SCOPE:
-                break
+            self._cut(len(self._stack) - 1)
+        if tag in _ENDS:
+            scope = self._innermost(_SCOPE)
+            while (place := self._innermost(_ENDS[tag])) > scope:
+                self._cut(place)
         given = _LABEL.search(attributes) if "data-y" in attributes else None
         label = int(given[1]) if given else self._stack[-1][2]
+        self._places.setdefault(tag, []).append(len(self._stack))
         self._stack.append((self._add(self._stack[-1][0], _element_features(tag, attributes), None, label), tag, label))
 
     def _close(self, tag: str, _: str) -> None:
@@ -159,10 +185,9 @@ class Page:
             self._run.append(" ")
             return
         self._flush()
-        for k in range(len(self._stack) - 1, 0, -1):
-            if self._stack[k][1] == tag:
-                del self._stack[k:]
-                break
+        place = self._innermost({tag})
+        if place > 0:
+            self._cut(place)
 
 
 class Forest:
@@ -176,11 +201,7 @@ class Forest:
         self.counts = np.array([len(f) for f in flat])
         self.flat = np.fromiter((x for f in flat for x in f), dtype=np.int64)
         self.kind = np.array([t is not None for p in pages for t in p.text], dtype=np.int64)
-        depth = np.zeros(len(self.parent), dtype=np.int64)
-        hop = self.parent.copy()
-        while (live := hop >= 0).any():
-            depth[live] += 1
-            hop[live] = self.parent[hop[live]]
+        depth = np.concatenate([np.array(p.depth) for p in pages])
         order = np.argsort(depth, kind="stable")
         self.levels = np.split(order, np.cumsum(np.bincount(depth))[:-1])
 
@@ -191,6 +212,8 @@ class Forest:
     def marginals(self, weights: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """P(label 1) of each node, and P(parent's label, label) of each node but roots. ``edges`` (kind, parent's label, label)."""
         n = len(self.parent)
+        if len(self.levels) * THIN_LEVEL > n:
+            return self._one_by_one(weights, edges)
         up = np.zeros((n, 2))
         up[:, 1] = self.scores(weights)
         sent = np.zeros((n, 2))
@@ -211,6 +234,42 @@ class Forest:
         return 1.0 / (1.0 + np.exp(np.clip(belief[:, 0] - belief[:, 1], -500, 500))), pair
 
 
+    def _one_by_one(self, weights: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same for trees of few nodes a level, node after node: parents come before their children."""
+        n = len(self.parent)
+        parent, kind, own, table = self.parent.tolist(), self.kind.tolist(), self.scores(weights).tolist(), edges.tolist()
+        exp, log1p = math.exp, math.log1p
+
+        def join(a: float, b: float) -> float:
+            return a + log1p(exp(b - a)) if a >= b else b + log1p(exp(a - b))
+
+        up = [[0.0, s] for s in own]
+        sent: list = [(0.0, 0.0)] * n
+        for i in range(n - 1, -1, -1):
+            a = parent[i]
+            if a >= 0:
+                (e00, e01), (e10, e11) = table[kind[i]]
+                u0, u1 = up[i]
+                m0, m1 = sent[i] = (join(e00 + u0, e01 + u1), join(e10 + u0, e11 + u1))
+                up[a][0] += m0
+                up[a][1] += m1
+        down: list = [(0.0, 0.0)] * n
+        pair = np.zeros((n, 2, 2))
+        for i in range(n):
+            a = parent[i]
+            if a >= 0:
+                (e00, e01), (e10, e11) = table[kind[i]]
+                o0, o1 = (down[a][y] + up[a][y] - sent[i][y] for y in (0, 1))
+                u0, u1 = up[i]
+                down[i] = (join(o0 + e00, o1 + e10), join(o0 + e01, o1 + e11))
+                four = (o0 + e00 + u0, o0 + e01 + u1, o1 + e10 + u0, o1 + e11 + u1)
+                top = max(four)
+                w = [exp(x - top) for x in four]
+                pair[i] = np.array(w).reshape(2, 2) / sum(w)
+        belief = np.array(up) + np.array(down)
+        return 1.0 / (1.0 + np.exp(np.clip(belief[:, 0] - belief[:, 1], -500, 500))), pair
+
+
 class ContentModel:
     def __init__(self, weights: np.ndarray, edges: np.ndarray) -> None:
         self.weights, self.edges = weights, edges

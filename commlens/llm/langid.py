@@ -5,12 +5,12 @@ a language is the sum over all its segmentations into pieces, by a forward recur
 Piece probabilities come from expectation-maximisation (forward-backward) on labelled words. Any
 single character is also a piece of at least floor probability, so every word has a segmentation.
 
-Words are runs of letters, lower-cased, with the vocabulary's word mark before; runs of more than
-CHUNK letters are scored in chunks, whose logs add up. Words of one length are scored together as
-arrays, and scores of words already seen are kept in each worker.
+Words are runs of letters, lower-cased, with the vocabulary's word mark before. Words of one length are scored together as
+arrays, and scores of words already seen are kept in each worker. Runs of more than CHUNK characters are scored one by one, the recursion
+rescaled as it goes, so that they too are summed over all segmentations.
 
-Bounds: at most TRAIN_DOCS labelled documents of a language, of each the first TRAIN_CHARS characters,
-train its model; every document is scored over its whole text.
+Bounds: at most TRAIN_DOCS labelled documents of a language, whole, train its model (where runs of more than CHUNK
+characters are counted in chunks); every document is scored over its whole text.
 
 Cases: null text, empty text and text without a letter give ``und`` with score zero; repeated rows each
 get a row; with no labelled rows every document is ``und``; an empty table gives an empty table; other columns
@@ -33,10 +33,11 @@ from pyspark.sql import functions as F
 
 from commlens.llm.common import bounded_sample, claim, column_text, limit_batches, map_batches, slices
 
-TRAIN_DOCS, TRAIN_CHARS = 600, 20_000
+TRAIN_DOCS = 600
 ROUNDS = 3
-LONGEST_PIECE = 8
 CHUNK = 24
+#: Characters of a long run whose spans are looked up at once.
+STRETCH = 4096
 FLOOR = 1e-7
 KEPT_WORDS = 350_000
 MARK = "▁"
@@ -62,7 +63,8 @@ class PieceTable:
 
         model = sentencepiece.SentencePieceProcessor(model_file=path)
         every = (model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i)))
-        self.pieces = sorted({p for p in every if len(p) <= LONGEST_PIECE and p == p.lower()})
+        self.pieces = sorted({p for p in every if len(p) <= CHUNK and p == p.lower()})
+        self.longest = max(map(len, self.pieces))
         keys = np.array([self._hash(p) for p in self.pieces], dtype=np.uint64)
         self._order = np.argsort(keys)
         self._keys = keys[self._order]
@@ -105,11 +107,26 @@ class PieceTable:
         prefix = np.zeros((n + 1, len(words)), dtype=np.uint64)
         for i in range(n):
             prefix[i + 1] = prefix[i] * _BASE + codes[:, i]
-        spans = [(i, j) for j in range(1, n + 1) for i in range(max(0, j - LONGEST_PIECE), j)]
+        spans = [(i, j) for j in range(1, n + 1) for i in range(max(0, j - self.longest), j)]
         keys = np.stack([prefix[j] - prefix[i] * self._power[j - i] for i, j in spans])
         return dict(zip(spans, self.find(keys.ravel()).reshape(keys.shape), strict=True))
 
 
+    def ends(self, text: str, first: int, last: int) -> np.ndarray:
+        """(places, lengths): the piece that ends before each place from first + 1 to last of a text, for each length up to the longest; -1 where there is none."""
+        low = max(0, first - self.longest)
+        codes = np.frombuffer(text[low:last].encode("utf-32-le"), dtype="<u4").astype(np.uint64) + np.uint64(1)
+        out = np.full((last - first, self.longest), -1, dtype=np.int64)
+        for k in range(1, self.longest + 1):
+            start = np.arange(max(low, first + 1 - k), last + 1 - k)
+            if len(start):
+                key = np.zeros(len(start), np.uint64)
+                for i in range(k):
+                    key = key * _BASE + codes[start - low + i]
+                out[start + k - 1 - first, k - 1] = self.find(key)
+        return out
+
+
 @functools.lru_cache(maxsize=2)
 def piece_table(path: str) -> PieceTable:
     return PieceTable(path)
@@ -148,6 +165,27 @@ def forward_logs(table: PieceTable, probs: np.ndarray, words: list[str], block:
     return out
 
 
+def long_log(table: PieceTable, probs: np.ndarray, text: str) -> np.ndarray:
+    """The log probability of one long run under each language: the same recursion, rescaled every few characters."""
+    back, total = table.longest, np.zeros(probs.shape[1])
+    alpha = np.zeros((STRETCH + back, probs.shape[1]))
+    alpha[back - 1] = 1.0
+    for first in range(0, len(text), STRETCH):
+        last = min(len(text), first + STRETCH)
+        piece = table.ends(text, first, last)
+        p = np.where(piece[:, :, None] >= 0, probs[piece], 0.0)
+        p[:, 0] = np.where(piece[:, 0, None] >= 0, p[:, 0], probs[-1])
+        p = np.ascontiguousarray(p[:, ::-1])
+        for j in range(last - first):
+            alpha[back + j] = (p[j] * alpha[j : back + j]).sum(axis=0)
+            if j % 8 == 7 or j == last - first - 1:
+                scale = alpha[back + j].copy()
+                alpha[j + 1 : back + j + 1] /= scale
+                total += np.log(scale)
+        alpha[:back] = alpha[last - first : last - first + back].copy()
+    return total
+
+
 def learn(table: PieceTable, counts: Counter, rounds: int = ROUNDS) -> np.ndarray:
     """Piece probabilities of one language from its chunk counts, by expectation-maximisation."""
     size = len(table.pieces)
@@ -205,7 +243,7 @@ class Scorer:
         self._logs = np.zeros((1 << 12, len(self.model.languages)))
 
     def _learn_words(self, new: list[str]) -> None:
-        parts = sorted({c for w in new for c in chunks(w)})
+        parts = sorted(MARK + w for w in new if len(w) < CHUNK)
         at = {c: i for i, c in enumerate(parts)}
         logs = forward_logs(self._table, self.model.probs, parts)
         need = len(self._index) + len(new)
@@ -215,7 +253,7 @@ class Scorer:
             self._logs = grown
         for w in new:
             i = self._index[w] = len(self._index)
-            self._logs[i] = sum(logs[at[c]] for c in chunks(w)) if len(w) >= CHUNK else logs[at[MARK + w]]
+            self._logs[i] = logs[at[MARK + w]] if len(w) < CHUNK else long_log(self._table, self.model.probs, MARK + w)
 
     def predict(self, texts: list[str]) -> list[tuple[str, float]]:
         out = []
@@ -259,7 +297,7 @@ def fit(docs: DataFrame, path: str | None = None, size: int = TRAIN_DOCS) -> Lan
     """A model from labelled rows that are not held out."""
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
     texts: dict[str, list[str]] = {}
-    for lang, text in bounded_sample(rows.select("doc_id", "lang", F.substring("text", 1, TRAIN_CHARS).alias("text")), "doc_id", size, "lang").select("lang", "text").collect():
+    for lang, text in bounded_sample(rows.select("doc_id", "lang", "text"), "doc_id", size, "lang").select("lang", "text").collect():
         texts.setdefault(lang, []).append(text)
     return LanguageModel.train(path or default_path(), texts)
 

@@ -1,7 +1,7 @@
 """Mixing of sources to target weights by hierarchical budgets over a tree of levels (domain, language, source).
 
 A total budget of tokens flows down the tree: a node's budget is shared among its children by their weights. A child
-takes no more than it can hold (its subtree's tokens times MAX_EPOCHS); what it cannot take goes to its siblings by weight,
+takes no more than it can hold (MAX_EPOCHS times the tokens of the leaves below it that positive weights reach); what it cannot take goes to its siblings by weight,
 and only what all of them cannot take was never given to their parent, so it went to the parent's siblings. Each sharing is
 solved at once by sorting the siblings by capacity over weight, as window sums.
 
@@ -12,13 +12,15 @@ meets in no single task. It is kept as one cut per leaf: a document is taken if
 
 Weights are given per name, or else a power of a node's tokens. Tokens are words parted by ASCII white space.
 
-Cases: null text has no tokens; documents without tokens are never taken; null level values form the leaf ``none``; rows of equal
+Cases: null text has no tokens; documents without tokens are never taken, nor those a weight of zero or less lies above; null level values form the leaf ``none``; rows of equal
 doc_id go together; an empty table gives an empty table; other columns are ignored by ``mix_documents`` and passed through by ``draw``.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import reduce
+from operator import and_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
@@ -76,15 +78,14 @@ def budgets(leaves: DataFrame, plan: MixPlan) -> DataFrame:
     """From (keys, supply) of each leaf: (keys, supply, budget)."""
     keys = _keys(plan)
     total = leaves.agg(F.sum("supply")).first()[0] or 0
+    given = {k: F.greatest(F.coalesce(F.element_at(F.create_map(*(F.lit(x) for kv in level.weights.items() for x in kv)), F.col(k)), F.lit(level.rest)), F.lit(0.0)) for k, level in zip(keys, plan.levels, strict=True) if level.weights}
+    reached = reduce(and_, (w > 0 for w in given.values()), F.lit(True))
+    leaves = leaves.withColumn("__room", F.when(reached, F.col("supply").cast("double") * plan.max_epochs).otherwise(F.lit(0.0)))
     upper = leaves.sparkSession.createDataFrame([(float(total) * plan.share,)], "budget double")
     for i, level in enumerate(plan.levels):
         at, above = keys[: i + 1], keys[:i]
-        nodes = leaves.groupBy(*at).agg(F.sum("supply").alias("supply"))
-        if level.weights:
-            weight = F.coalesce(F.element_at(F.create_map(*(F.lit(x) for kv in level.weights.items() for x in kv)), F.col(at[-1])), F.lit(level.rest))
-        else:
-            weight = F.pow(F.col("supply").cast("double"), F.lit(level.power))
-        nodes = nodes.withColumn("weight", weight).withColumn("room", F.col("supply").cast("double") * plan.max_epochs)
+        nodes = leaves.groupBy(*at).agg(F.sum("supply").alias("supply"), F.sum("__room").alias("room"))
+        nodes = nodes.withColumn("weight", given[at[-1]] if at[-1] in given else F.pow(F.col("supply").cast("double"), F.lit(level.power)))
         nodes = nodes.join(upper.drop("supply"), above) if above else nodes.crossJoin(F.broadcast(upper))
         by = W.partitionBy(*above)
         order = by.orderBy(F.when(F.col("weight") > 0, F.col("room") / F.col("weight")).otherwise(F.lit(float("inf"))), at[-1])

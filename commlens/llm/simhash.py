@@ -10,10 +10,11 @@ in the cells that are left when RADIUS of the groups are masked, and pairs in a
 Manhattan bound, then by the exact distance. The number of groups grows with the number of
 distinct fingerprints, so that unrelated fingerprints rarely share a cell.
 
-Cells of more than PAIRS members (a text with thousands of near copies) emit no pairs. Their members are
-linked through the 65 points within one bit of each: two fingerprints differ in two bits or fewer exactly
-if they have such a point in common, and members that share a point are joined to the least of them. Work
-stays linear in the members, and no link is lost. (This holds for RADIUS 2, the only one offered.)
+Members of cells of more than PAIRS (a text with thousands of near copies) go to the next finer grid of FINER, where the same join is
+made among them: a pair that shares a crowded cell shares a finer one too, so no link is lost on the way. Only what still
+crowds the finest grid, which leaves no segment but two unmasked, is linked without pairs, through the 65 points within one bit of
+each: two fingerprints differ in two bits or fewer exactly if they have such a point in common, and members that share a point
+are joined to the least of them. (This holds for RADIUS 2, the only one offered.)
 
 Exact copies share a fingerprint and count once from the start.
 
@@ -25,7 +26,7 @@ the number of common leading shingles bounds the overlap. Pairs that this bound
 compared with STARS of them in turn first, and then only pairs that are not yet connected are compared.
 
 Cases: null text is empty text, which has fingerprint zero; null doc_ids are linked like others but are no
-component's id unless it has no other (then it is null); repeated rows each get a row; an empty table gives an
+component's id unless it has no other (then it is null); repeated rows each get a row in ``link_documents``; an empty table gives an
 empty table; other columns are ignored by ``link_documents`` and passed through by ``keep_one_of_each``.
 """
 
@@ -51,6 +52,8 @@ SHINGLE = 3
 SEED = 42
 #: The most members of a cell whose pairs are compared one by one.
 PAIRS = 32
+#: Groups of segments of the finer grids for crowded cells.
+FINER = (16, 32)
 #: Near copies of ``keep_one_of_each``: words of a shingle; members that a crowd is compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
 COPY_SHINGLE = 5
 STARS = 3
@@ -137,25 +140,34 @@ def masks(groups: int) -> list[int]:
     return [_signed(whole & ~sum(out)) for out in itertools.combinations(spans, RADIUS)]
 
 
-def near_links(scratch: Scratch, fps: DataFrame, pair_limit: int = PAIRS) -> DataFrame:
-    """(a, b): links that connect the distinct fingerprints of column ``fp`` as all pairs within RADIUS bits do."""
-    cells = F.array(*(F.struct(F.lit(i).alias("mask"), embedding(F.col("fp")).bitwiseAND(F.lit(m)).alias("cell")) for i, m in enumerate(masks(groups_for(fps.count())))))
+def grid_pairs(scratch: Scratch, fps: DataFrame, groups: int, pair_limit: int = PAIRS) -> tuple[DataFrame, DataFrame]:
+    """(a, b) of pairs within RADIUS bits that share a cell of at most ``pair_limit`` members of a grid, and (fp) of the members of larger cells."""
+    cells = F.array(*(F.struct(F.lit(i).alias("mask"), embedding(F.col("fp")).bitwiseAND(F.lit(m)).alias("cell")) for i, m in enumerate(masks(groups))))
     placed = fps.select("fp", F.inline(cells))
     shared = placed.groupBy("mask", "cell").agg(F.count("*").alias("n")).where("n > 1")
     members = scratch.table(placed.join(shared, ["mask", "cell"]))
-
     few = members.where(F.col("n") <= pair_limit)
     left, right = few.select("mask", "cell", F.col("fp").alias("a")), few.select("mask", "cell", F.col("fp").alias("b"))
     bound = F.bit_count(embedding(F.col("a")).bitwiseXOR(embedding(F.col("b")))) <= RADIUS
     exact = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= RADIUS
     pairs = left.join(right, ["mask", "cell"]).where(F.col("a") < F.col("b")).where(bound).where(exact).select("a", "b").distinct()
+    return pairs, members.where(F.col("n") > pair_limit).select("fp").distinct()
 
-    crowd = members.where(F.col("n") > pair_limit).select("fp").distinct()
+
+def near_links(scratch: Scratch, fps: DataFrame, pair_limit: int = PAIRS) -> DataFrame:
+    """(a, b): links that connect the distinct fingerprints of column ``fp`` as all pairs within RADIUS bits do."""
+    coarse = groups_for(fps.count())
+    links, crowd = grid_pairs(scratch, fps, coarse, pair_limit)
+    for groups in (g for g in FINER if g > coarse):
+        crowd = scratch.table(crowd)
+        if crowd.isEmpty():
+            return links
+        pairs, crowd = grid_pairs(scratch, crowd, groups, pair_limit)
+        links = links.union(pairs)
     near = F.array(F.col("fp"), *(F.col("fp").bitwiseXOR(F.lit(_signed(1 << i))) for i in range(64)))
     points = crowd.select("fp", F.explode(near).alias("point"))
     least = points.groupBy("point").agg(F.min("fp").alias("b"), F.count("*").alias("n")).where("n > 1").select("point", "b")
-    stars = points.join(least, "point").where("fp > b").select(F.col("b").alias("a"), F.col("fp").alias("b")).distinct()
-    return pairs.union(stars)
+    return links.union(points.join(least, "point").where("fp > b").select(F.col("b").alias("a"), F.col("fp").alias("b")).distinct())
 
 
 def common_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -266,15 +278,19 @@ def link_documents(docs: DataFrame) -> DataFrame:
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of one document of each group that near copies (five-word shingles, similarity of 0.8 or more) connect, all columns as they are: that with the least doc_id (of repeated ids the
-    first text in order). Where a group has no doc_id at all, one of its rows stays."""
+    """One row of each group that near copies (five-word shingles, similarity of 0.8 or more) connect, all columns as they are: that with the least doc_id (null ids
+    last), of equal ids that of the least set number, of equal texts the first by its other columns. Rows of one doc_id with different texts are documents of their own."""
     scratch = Scratch(docs.sparkSession)
-    key, first = "__near_fp", "__near_first"
+    key, nth = "__near_fp", "__near_nth"
     leads = scratch.table(shingle_sets(docs, common_shingles(docs)))
-    found = scratch.table(_classes(scratch, leads.select("doc_id", "fp"), lambda fps: copy_links(scratch, docs, leads)))
+    found = _classes(scratch, leads.select("doc_id", "fp"), lambda fps: copy_links(scratch, docs, leads))
+    reps = leads.groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
+    kept = found.select("fp", "root").join(reps, "fp").groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp")).alias("k"))
+    kept = scratch.table(kept.select("k.doc_id", F.col("k.fp").alias(key)))
+    often = scratch.table(leads.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null").select("doc_id"))
+    once = docs.join(kept.join(often, "doc_id", "left_anti").where("doc_id is not null").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
+    rest = with_fingerprint(docs.join(often, "doc_id", "left_semi").select(*docs.columns).unionByName(docs.where("doc_id is null")), key, of=set_key)
+    rest = rest.join(kept.withColumnRenamed("doc_id", "__near_id"), key).where(F.col("doc_id").eqNullSafe(F.col("__near_id")))
     order = [F.col(c) for c in ["text", *(c for c in docs.columns if c not in ("doc_id", "text"))]]
-    ids = found.where("component_id is not null").select(F.col("component_id").alias("doc_id")).distinct()
-    named = docs.where("doc_id is not null").join(ids, "doc_id").withColumn(first, F.row_number().over(W.partitionBy("doc_id").orderBy(*order))).where(F.col(first) == 1)
-    roots = found.where("component_id is null").select(F.col("fp").alias(key), "root")
-    unnamed = with_fingerprint(docs.where("doc_id is null"), key, of=set_key).join(roots, key).withColumn(first, F.row_number().over(W.partitionBy("root").orderBy(*order))).where(F.col(first) == 1)
-    return named.select(*docs.columns).unionByName(unnamed.select(*docs.columns))
+    rest = rest.withColumn(nth, F.row_number().over(W.partitionBy(key).orderBy(*order))).where(F.col(nth) == 1)
+    return once.unionByName(rest.select(*docs.columns))

@@ -8,7 +8,7 @@ range of documents; one total per range gives the rest, so nothing that grows wi
 meets in one place.
 
 Cases: null text is empty text (it has the end id alone); null doc_ids come first; rows of equal doc_id
-follow each other in the order of their texts; an empty table gives an empty store; other columns of
+follow each other in the order of a hash of their texts, so that however many there are they spread over ranges; an empty table gives an empty store; other columns of
 the input are ignored.
 """
 
@@ -48,8 +48,13 @@ _MAGIC = b"EFID"
 _PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
+#: Set bits of each byte value, and the place of each of them (from the low end).
+_ONES = np.bitwise_count(np.arange(256, dtype=np.uint8)).astype(np.int64)
+_PLACE = np.argsort(1 - np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little"), axis=1, kind="stable")
+
+
 class EliasFano:
-    """A non-decreasing sequence of integers in near-minimal space, with ``select`` and ``values``."""
+    """A non-decreasing sequence of integers in near-minimal space, with ``select`` of one or many places and ``values`` of all."""
 
     def __init__(self, n: int, low_bits: int, lows: np.ndarray, highs: np.ndarray, samples: np.ndarray) -> None:
         self.n, self.low_bits, self.lows, self.highs, self.samples = n, low_bits, lows, highs, samples
@@ -94,6 +99,27 @@ class EliasFano:
             low |= (int(self.lows[j >> 3]) >> (j & 7) & 1) << b
         return (at - i) << self.low_bits | low
 
+    def select_many(self, places: np.ndarray) -> np.ndarray:
+        """The values at places (in any order): all at once from their samples on, a byte of high bits at a time."""
+        i = np.asarray(places, dtype=np.int64)
+        if len(i) and not 0 <= int(i.min()) <= int(i.max()) < self.n:
+            raise IndexError("place out of range")
+        at = self.samples[i // _SAMPLE].astype(np.int64)
+        byte, left = at >> 3, i % _SAMPLE + 1
+        bits = self.highs[byte] & (0xFF << (at & 7) & 0xFF).astype(np.uint8)
+        open_ = np.arange(len(i))
+        while len(open_):
+            open_ = open_[_ONES[bits[open_]] < left[open_]]
+            left[open_] -= _ONES[bits[open_]]
+            byte[open_] += 1
+            bits[open_] = self.highs[byte[open_]]
+        high = (byte << 3) + _PLACE[bits, left - 1] - i
+        low = np.zeros(len(i), np.int64)
+        for b in range(self.low_bits):
+            j = i * self.low_bits + b
+            low |= ((self.lows[j >> 3] >> (j & 7).astype(np.uint8)) & 1).astype(np.int64) << b
+        return high << self.low_bits | low
+
     def values(self) -> np.ndarray:
         ones = np.flatnonzero(np.unpackbits(self.highs, bitorder="little"))
         out = (ones - np.arange(self.n)).astype(np.int64) << self.low_bits
@@ -293,7 +319,8 @@ def segments(docs: DataFrame, path: str | None = None, end_id: int = 2, segment_
             yield flush()
 
     limit_batches(docs.sparkSession)
-    ordered = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    key = [F.col("doc_id").asc_nulls_first(), F.col("tie")]
+    ordered = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", F.xxhash64("text").alias("tie")).repartitionByRange(*key).sortWithinPartitions(*key).drop("tie")
     return ordered.mapInArrow(run, "part int, seq int, before bigint, n_ids bigint, doc_ids array<bigint>, blob binary")
 
 
@@ -315,7 +342,7 @@ def read_documents(store: DataFrame) -> DataFrame:
         for batch in batches:
             for keys, start, raw in zip(batch.column("doc_ids"), batch.column("start").to_pylist(), batch.column("blob"), strict=True):
                 bounds, ids = read_segment(raw.as_py())
-                v = bounds.values()
+                v = bounds.select_many(np.arange(bounds.n))
                 wide = ids.astype("<u4")
                 crc = [zlib.crc32(wide[a:b]) for a, b in zip(v[:-1].tolist(), v[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([keys.values, pa.array(v[:-1] + start), pa.array(np.diff(v)), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])

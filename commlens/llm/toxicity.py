@@ -8,8 +8,8 @@ WINDOW words that start every STRIDE words, overlapping, the last one ending wit
 Labels are of whole texts, so training chooses windows: first by a ratio of word and n-gram counts of the labelled classes,
 then again and again by the network's own scores (the best of toxic texts, the worst and some others of clean ones).
 
-Bounds: at most TRAIN_DOCS toxic and CLEAN_DOCS clean labelled texts, of each the first TRAIN_CHARS characters, train the network;
-every document is scored over its whole text.
+Bounds: at most TRAIN_DOCS toxic and CLEAN_DOCS clean labelled texts, whole, train the network; every document is scored over its
+whole text. Windows overlap by WINDOW - STRIDE words, so a passage of up to that many words and one lies whole in one of them.
 
 Cases: null and empty texts are scored as one empty window; repeated rows each get a row; contradicting or
 null labels are left out; without both classes every score is the share of toxic labels (0 if none); an
@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from commlens.llm.common import bounded_sample, claim, column_text, map_batches
 
-TRAIN_DOCS, CLEAN_DOCS, TRAIN_CHARS = 1_200, 3_000, 8_000
+TRAIN_DOCS, CLEAN_DOCS = 1_200, 3_000
 WINDOW, STRIDE = 32, 24
 THRESHOLD = 0.3
 HIDDEN, WIDTH = 12, 10
@@ -50,7 +50,7 @@ def words_of(text: str) -> list[str]:
 
 def grams_of(word: str) -> list[int]:
     """Slots of the character n-grams, of three to five letters, of a marked word."""
-    marked = f"<{word[:40]}>".encode()
+    marked = f"<{word}>".encode()
     n = len(marked)
     return [zlib.crc32(marked[i : i + k]) % SLOTS for k in (3, 4, 5) for i in range(max(0, n - k) + 1)]
 
@@ -344,7 +344,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Network | None, float]:
     if not some:
         return None, 0.0
     picked = docs.sparkSession.createDataFrame([(int(i), int(t)) for i, t in some], "doc_id bigint, toxic int")
-    rows = docs.select("doc_id", F.substring("text", 1, TRAIN_CHARS).alias("text")).join(F.broadcast(picked), "doc_id").where("text is not null").orderBy("doc_id", "text").limit(2 * (TRAIN_DOCS + CLEAN_DOCS)).collect()
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null").orderBy("doc_id", "text").limit(2 * (TRAIN_DOCS + CLEAN_DOCS)).collect()
     share = sum(t for _, t in some) / len(some)
     return train([r.text for r in rows], [r.toxic for r in rows]), share
 

@@ -1,5 +1,7 @@
 import random
 import re
+import time
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -62,11 +64,15 @@ def test_language_forward_is_exact():
     def brute(word):
         alpha = [np.ones(2)]
         for j in range(1, len(word) + 1):
-            alpha.append(sum((alpha[i] * model.probs[number.get(word[i:j], -1)] for i in range(max(0, j - langid.LONGEST_PIECE), j) if word[i:j] in number or j - i == 1), np.zeros(2)))
+            alpha.append(sum((alpha[i] * model.probs[number.get(word[i:j], -1)] for i in range(max(0, j - table.longest), j) if word[i:j] in number or j - i == 1), np.zeros(2)))
         return np.log(alpha[-1])
 
     some = [c for w in ["the", "abcdabcd", "efgh", "ñandú", "x", "q" * 30] for c in langid.chunks(w)]
     assert np.allclose(langid.forward_logs(table, model.probs, some), [brute(c) for c in some])
+    for stretch in (5, 4096):
+        langid.STRETCH = stretch
+        for run in ["▁abcdabcd", "▁" + "ñandúefgh" * 6]:
+            assert np.allclose(langid.long_log(table, model.probs, run), brute(run))
 
 
 def test_language_predictions(spark, documents):
@@ -126,6 +132,75 @@ def test_toxicity_catches_stems(spark, documents):
     assert toxicity.score_documents(documents, *toxicity.fit(docs, labels.limit(0))).where("score > 0").count() == 0
 
 
+def test_toxicity_scores_against_plain_loops():
+    """A text's score is the largest over its windows of a network read gate by gate."""
+    net, rng = toxicity.Network(3), random.Random(2)
+    texts = ["", "a", " ".join(rng.choices(["ab", "cde", "fghij", "x" * 60], k=75)), "w " * 33]
+    sig = lambda x: 1 / (1 + np.exp(-x))
+    p, width, hidden = net.p, toxicity.WIDTH, toxicity.HIDDEN
+
+    def vector(word):
+        if word is None:
+            return np.zeros(2 * width)
+        marked = f"<{word}>".encode()
+        grams = [zlib.crc32(marked[i : i + k]) % toxicity.SLOTS for k in (3, 4, 5) for i in range(max(0, len(marked) - k) + 1)]
+        return np.concatenate([p["word"][1 + zlib.crc32(word.encode()) % (toxicity.SLOTS - 1)], np.mean([p["gram"][g] for g in grams], axis=0)])
+
+    def logit(window):
+        states = {}
+        for d, order in (("f", range(32)), ("r", range(31, -1, -1))):
+            s, out = np.zeros(hidden), [None] * 32
+            for t in order:
+                x, u = window[t] @ p["x" + d] + p["b" + d], s @ p["h" + d]
+                z, r = sig(x[:hidden] + u[:hidden]), sig(x[hidden : 2 * hidden] + u[hidden : 2 * hidden])
+                s = z * s + (1 - z) * np.tanh(x[2 * hidden :] + r * u[2 * hidden :])
+                out[t] = s
+            states[d] = out
+        h = [np.concatenate([states["f"][t], states["r"][t]]) for t in range(32)]
+        e = np.array([(np.tanh(v @ p["att"]) @ p["key"])[0] for v in h])
+        w = np.exp(e) / np.exp(e).sum()
+        return (sum(a * v for a, v in zip(w, h, strict=True)) @ p["out"])[0] + p["bias"][0]
+
+    want = []
+    for text in texts:
+        words = toxicity.words_of(text)
+        starts = [0] if len(words) <= 32 else sorted({*range(0, len(words) - 32, toxicity.STRIDE), len(words) - 32})
+        want.append(max(sig(logit([vector(w) for w in [*words[a : a + 32], *[None] * (32 - len(words))][:32]])) for a in starts))
+    assert np.allclose(toxicity.Scorer(net).score(texts), want, atol=1e-5)
+
+
+def test_quality_ratio_and_verdict_against_counts(spark):
+    """Scores from plain dictionaries of cells, and the verdict they give."""
+    rng = random.Random(9)
+    rows = [(i, " ".join(rng.choices([f"aé{k}" for k in range(60)] if i % 3 else [f"q{k}" for k in range(80)], k=70))) for i in range(90)] + [(90, None), (91, "few words")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(0, 90, 2)], "doc_id bigint, quality int")
+    mix, top = 0x9E3779B97F4A7C15, 64 - quality.BUCKETS.bit_length() + 1
+
+    def cells(text):
+        h = [zlib.crc32(w.encode()) for w in (text or "").split()]
+        return [x * mix % 2**64 >> top for x in h] + [(a * 31 + b + 1) * mix % 2**64 >> top for a, b in zip(h, h[1:], strict=False)]
+
+    good_ids = {r.doc_id for r in labels.collect() if r.quality}
+    raw, good = Counter(c for _, t in rows for c in cells(t)), Counter(c for i, t in rows if i in good_ids for c in cells(t))
+    n_raw, n_good = sum(raw.values()) + quality.BUCKETS, sum(good.values()) + quality.BUCKETS
+    score = {i: np.mean([np.log((good[c] + 1) / n_good) - np.log((raw[c] + 1) / n_raw) for c in cells(t)]) if t else 0.0 for i, t in rows}
+    got = {r.doc_id: r for r in quality.judge_documents(docs, labels).collect()}
+    assert all(abs(got[i].score - s) < 1e-9 for i, s in score.items())
+    line = np.quantile([score[i] for i in good_ids if not got[i].base_failed], quality.QUANTILE) - quality.MARGIN
+    assert all(r.kept == (not r.base_failed and score[i] >= line) for i, r in got.items()) and len({r.kept for r in got.values()}) == 2
+
+
+def test_deep_pages_and_messages_node_by_node():
+    model = html_text.ContentModel.train(html_text.labelled_pages(30, 1), steps=10)
+    forest = html_text.Forest([html_text.Page(s) for s in html_text.labelled_pages(12, 5)])
+    for a, b in zip(forest.marginals(model.weights, model.edges), forest._one_by_one(model.weights, model.edges), strict=True):
+        assert np.allclose(a, b)
+    for source in ("<div>a" * 50_000, "<head><blockquote>" + "<p>a<td><option></option><body>" * 20_000, "</b>" * 50_000 + "<ul>" * 20_000 + "<li></li>" * 20_000):
+        began = time.time()
+        assert len(model.texts([source])) == 1 and time.time() - began < 10
+
+
 def test_page_marginals_are_exact():
     """Sum-product against the sum over all labelings of small trees."""
     model = html_text.ContentModel.train(html_text.labelled_pages(30, 1), steps=10)

@@ -27,6 +27,17 @@ def test_word_bpe_is_exact():
         assert own.decode_bytes(got).decode() == tok.decode(want, skip_special_tokens=False)
 
 
+def test_word_bpe_over_newer_characters():
+    """Code points on which the Unicode versions of Python, regex and the library differ, and all others up to U+2FFF."""
+    tok, own = Tokenizer.from_file(bpe.default_path()), bpe.word_bpe(bpe.default_path())
+    chars = sorted({*own._newer, *map(chr, range(0x80, 0x3000))})
+    assert len(chars) > 20_000
+    for shape in ("a%sb", "1%s2%s", "a%s\u0301", "\u0915\u0323%s\u0301x"):
+        texts = [shape.replace("%s", c) for c in chars]
+        for text, want in zip(texts, tok.encode_batch(texts, add_special_tokens=False), strict=True):
+            assert own.encode(text).tolist() == want.ids, text
+
+
 def test_round_trip_rows(spark, documents, texts):
     tok = Tokenizer.from_file(bpe.default_path())
     got = sorted((r.doc_id is None, r.doc_id, r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in bpe.round_trip_digests(documents).collect())
@@ -40,13 +51,16 @@ def test_round_trip_rows(spark, documents, texts):
     assert decoded[4] == "" and decoded[1].startswith("the</w> quick</w>")
 
 
-@pytest.mark.parametrize("values", [[0], [0, 0, 0], [0, 5, 5, 9, 1 << 33], list(range(0, 5000, 7))])
+@pytest.mark.parametrize("values", [[0], [0, 0, 0], [0, 5, 5, 9, 1 << 33], [0] * 300 + [1 << 20] * 200, list(range(0, 5000, 7))])
 def test_elias_fano(values):
     ef = token_store.EliasFano.of(np.array(values))
     back, used = token_store.EliasFano.from_bytes(memoryview(ef.to_bytes()))
     assert used == len(ef.to_bytes())
     assert back.values().tolist() == values
     assert [back.select(i) for i in range(len(values))] == values
+    assert back.select_many(np.arange(len(values))[::-1]).tolist() == values[::-1]
+    with pytest.raises(IndexError):
+        back.select_many(np.array([0, len(values)]))
     with pytest.raises(IndexError):
         back.select(len(values))
 
