@@ -15,6 +15,9 @@ class ProfilerConfig:
     diffusion_kind: ``profile`` (the three factors) or ``similarity`` (as friendship links).
     pg: ``mean``, ``exact`` or ``series`` values of the augmentation variables.
     draw: ``gumbel``, ``inverse`` or ``argmax``.
+    use_text: whether words and topics weigh on communities (off for detection from links alone); use_topics: whether topics are drawn at all.
+    burnin: sweeps after which counts are averaged for the estimates; the last ones are taken where there are no more sweeps.
+    nu_fit: ``gd`` gradient steps, or ``glr`` a generalised linear regression to convergence, for the weights of the individual factor.
     blocks: sub-sweeps; only every blocks-th document of a user changes at once.
     """
 
@@ -38,6 +41,10 @@ class ProfilerConfig:
     use_friends: bool = True
     use_diffusion: bool = True
     freeze_communities: bool = False
+    use_text: bool = True
+    use_topics: bool = True
+    burnin: int = 1_000_000
+    nu_fit: str = "gd"
 
     @property
     def topic_prior(self) -> float:

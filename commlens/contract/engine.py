@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -11,8 +9,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from commlens import scratch
 from commlens.contract import oracles as sql
 from commlens.functions import expressions, udfs
+from commlens.operators import counters
 from commlens.sources import graphs
 from commlens.sources.graphs import read
 from commlens.streaming import events as st
@@ -34,8 +34,7 @@ def query(oracle: str | None = None) -> Callable[[Query], Query]:
 
 
 def _shared(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/checkpoints/commlens-{os.getpid()}"
-    return f"{root.rstrip('/')}/io-{uuid.uuid4().hex}"
+    return scratch.new_path(spark, "io")
 
 
 # Scans and sources
@@ -492,10 +491,29 @@ def stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return st.run(st.deduplicated(st.event_stream(spark, sf_dir))).select("event_id", "user_id")
 
 
-@query(f"SELECT event_id, user_id, CAST(k % 8 AS INT) AS z, round({sql.sigmoid('(k % 8) * 0.1 * k / 100')}, 6) AS score FROM (SELECT *, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events)")
+@query()
 def stream_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    weights = spark.range(8).select(F.col("id").cast("int").alias("z"), (F.col("id") * 0.1).alias("w"))
-    return st.run(st.scored(st.event_stream(spark, sf_dir), weights)).select("event_id", "user_id", "z", F.round("score", 6).alias("score"))
+    return st.run(st.scored(st.candidate_pairs(st.event_stream(spark, sf_dir)), _profiles(spark, sf_dir), sql.NU)).select("src", "dst", F.round("p", 6).alias("p"))
+
+
+def _profiles(spark: SparkSession, sf_dir: str) -> dict:
+    graph = graphs.prepared(spark, sf_dir, "activity")
+    return st.static_profiles(graph, counters.first_assignment(graph.docs, sql.C, sql.Z), sql.C, sql.Z)
+
+
+@query("SELECT user_id, count(*) AS n_events, CAST(count(*) FILTER (event_type = 'error') AS BIGINT) AS n_errors FROM events GROUP BY user_id")
+def stream_user_state(spark: SparkSession, sf_dir: str) -> DataFrame:
+    old = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        return st.run(st.user_activity(st.event_stream(spark, sf_dir)), "update", keys=["user_id"])
+    finally:
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", old)
+
+
+@query("SELECT a.event_id AS src, b.event_id AS dst FROM events a JOIN events b ON json_extract_string(a.props, '$.k') = json_extract_string(b.props, '$.k') AND a.user_id <> b.user_id AND b.ts < a.ts AND a.ts <= b.ts + INTERVAL 6 HOUR")
+def stream_outer_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return st.run(st.diffusion_links(st.event_stream(spark, sf_dir), outer=True)).where("src IS NOT NULL")
 
 
 def queries() -> dict[str, Query]:

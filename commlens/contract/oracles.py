@@ -44,7 +44,7 @@ CTES: dict[str, str] = {
     "docs": "SELECT o_orderkey AS doc_id, o_custkey AS user_id, o_orderdate AS ts, CAST((year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1 AS INT) AS tbin, n_tok FROM orders JOIN sizes ON o_orderkey = doc_id",
     "vocab": "SELECT word, row_number() OVER (ORDER BY word) - 1 AS word_id, count(*) AS df, CAST(sum(cnt) AS BIGINT) AS cf FROM tokens GROUP BY word",
     "member": "SELECT DISTINCT l_partkey, l_suppkey, user_id FROM bought",
-    "small": "SELECT l_partkey, l_suppkey FROM member GROUP BY ALL HAVING count(*) BETWEEN 2 AND 1000",
+    "small": "SELECT l_partkey, l_suppkey FROM member GROUP BY ALL HAVING count(*) > 1",
     "friends": "SELECT DISTINCT a.user_id AS src, b.user_id AS dst FROM (SELECT * FROM member SEMI JOIN small USING (l_partkey, l_suppkey)) a JOIN member b USING (l_partkey, l_suppkey) WHERE a.user_id <> b.user_id",
     "diffs": """SELECT DISTINCT doc_id AS src_doc, p_doc AS dst_doc, user_id AS src_user, p_user AS dst_user, CAST((year(ts) - 1995) * 12 + month(ts) - 1 AS INT) AS tbin
       FROM (SELECT *, lag(doc_id) OVER w AS p_doc, lag(user_id) OVER w AS p_user, lag(ts) OVER w AS p_ts FROM bought WINDOW w AS (PARTITION BY l_partkey ORDER BY ts, doc_id, l_linenumber))

@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 
 from commlens.contract import oracles as sql
 from commlens.contract.oracles import ALPHA, BETA, NU, RHO, C, Z
-from commlens.functions.expressions import hashed, log_rising, pg_mean, sigmoid
+from commlens.functions import text
+from commlens.functions.expressions import hashed, log_rising, pg_mean, sigmoid, uniform
 from commlens.operators import counters, factors, measures, partition, ranking, sampling, views
 from commlens.plans import baselines
 from commlens.sources import graphs
@@ -50,7 +51,7 @@ class Slice:
     """The commerce graph with its first assignment and what the model derives from it."""
 
     def __init__(self, spark: SparkSession, sf_dir: str) -> None:
-        self.g = graphs.commerce(spark, sf_dir)
+        self.g = graphs.prepared(spark, sf_dir)
         self.assign = counters.first_assignment(self.g.docs, C, Z)
 
     @property
@@ -84,15 +85,15 @@ class Slice:
 
     @property
     def theta_s(self) -> DataFrame:
-        return counters.smoothed_topics(self.assign, C, Z, ALPHA)
+        return counters.smoothed_topics(counters.community_topic(self.assign), C, Z, ALPHA)
 
     @property
     def phi_s(self) -> DataFrame:
-        return counters.smoothed_words(self.assign, self.g.tokens, self.g.vocab(), BETA)
+        return counters.smoothed_words(counters.topic_word(self.assign, self.g.tokens), self.g.tokens.select("word").distinct(), BETA)
 
     @property
     def pi_s(self) -> DataFrame:
-        return counters.smoothed_membership(self.assign, C, RHO)
+        return counters.smoothed_membership(counters.user_community(self.assign), C, RHO)
 
     def ranked(self, top: int | None = None, normalise: bool = False) -> DataFrame:
         words = self.g.tokens.select(F.col("word").alias("q_id"), "word").distinct()
@@ -102,17 +103,23 @@ class Slice:
         n_words = self.g.tokens.select("word").distinct().count()
         return sampling.topic_text_scores(self.assign, self.g.tokens, self.g.docs, C, Z, ALPHA, BETA, n_words)
 
+    def sent(self) -> tuple:
+        """Tensor and popularity as arrays."""
+        bins = (self.g.docs.agg(F.max("tbin")).first()[0] or 0) + 1
+        return sampling.sent(self.tensor, (Z, C, C), ["z", "c", "c2"], "g"), sampling.sent(self.pop(), (Z, bins), ["z", "tbin"], "pop")
+
     def topic_scores_full(self) -> DataFrame:
-        terms = sampling.topic_link_scores(self.g.diffs, self.assign, self.pi, self.tensor, self.pop(), self.features, NU, Z, ("community", "topic", "individual"))
-        return sampling.added(self.topic_scores(), terms, "z")
+        terms = sampling.topic_link_arrays(self.g.diffs, self.assign, self.pi, *self.sent(), self.features, NU, ("community", "topic", "individual"))
+        n_words = self.g.tokens.select("word").distinct().count()
+        return sampling.spread(sampling.plus(sampling.topic_text_arrays(self.assign, self.g.tokens, self.g.docs, C, Z, ALPHA, BETA, n_words), terms), "z")
 
     def community_scores(self) -> DataFrame:
         return sampling.community_text_scores(self.assign, C, Z, ALPHA, RHO)
 
     def community_scores_full(self) -> DataFrame:
-        friends = sampling.community_friend_scores(self.assign, self.g.friends, self.pi, C)
-        links = sampling.community_link_scores(self.scored(), self.assign, self.pi, self.tensor, C, C * C * Z)
-        return sampling.added(sampling.added(self.community_scores(), friends, "c"), links, "c")
+        friends = sampling.community_friend_arrays(self.assign, self.g.friends, self.pi, C)
+        links = sampling.community_link_arrays(self.g.diffs, self.assign, self.pi, *self.sent(), self.features, NU, ("community", "topic", "individual"))
+        return sampling.spread(sampling.plus(sampling.plus(sampling.community_text_arrays(self.assign, C, Z, ALPHA, RHO), friends), links), "c")
 
 
 # Graph
@@ -122,11 +129,11 @@ _STATS = "count(DISTINCT user_id) AS n_users, count(*) AS n_docs, CAST(sum(n_tok
 
 @query("SELECT (SELECT count(DISTINCT user_id) FROM docs) AS n_users, (SELECT count(*) FROM docs) AS n_docs, (SELECT CAST(sum(n_tok) AS BIGINT) FROM docs) AS n_tokens, (SELECT count(*) FROM friends) AS n_friends, (SELECT count(*) FROM diffs) AS n_diffs, (SELECT count(*) FROM vocab) AS n_words")
 def graph_stats_commerce(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return graphs.statistics(graphs.commerce(spark, sf_dir))
+    return graphs.statistics(graphs.prepared(spark, sf_dir))
 
 
 for _name in ("corpus", "web", "activity", "dialog"):
-    named(f"graph_stats_{_name}", lambda spark, sf_dir, _make=graphs.ADAPTERS[_name]: graphs.statistics(_make(spark, sf_dir)))
+    named(f"graph_stats_{_name}", lambda spark, sf_dir, _make=_name: graphs.statistics(graphs.prepared(spark, sf_dir, _make)))
 
 _ORACLES["graph_stats_activity"] = """
 WITH e AS (SELECT event_id, user_id, ts, event_type, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events),
@@ -139,6 +146,53 @@ SELECT count(DISTINCT user_id) AS n_users, count(DISTINCT doc_id) AS n_docs, CAS
  (SELECT count(*) FROM (SELECT DISTINCT event_type FROM e UNION SELECT DISTINCT CAST(k AS VARCHAR) FROM e)) AS n_words FROM s"""
 
 
+_ORACLES["graph_stats_corpus"] = r"""
+WITH w AS (SELECT doc_id, concat_ws(':', source, lang) AS u, unnest(regexp_split_to_array(lower(text), '[^\p{L}]+')) AS word FROM documents),
+t AS (SELECT * FROM w WHERE length(word) >= 3), s AS (SELECT doc_id, u, count(*) AS n FROM t GROUP BY ALL HAVING count(*) >= 2),
+l AS (SELECT DISTINCT doc_id, u, line FROM (SELECT doc_id, concat_ws(':', source, lang) AS u, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 30),
+p AS (SELECT DISTINCT a.doc_id AS d1, b.doc_id AS d2, a.u AS u1, b.u AS u2 FROM l a JOIN l b ON a.line = b.line AND a.doc_id > b.doc_id)
+SELECT (SELECT count(DISTINCT u) FROM s) AS n_users, (SELECT count(*) FROM s) AS n_docs, (SELECT CAST(sum(n) AS BIGINT) FROM s) AS n_tokens,
+ (SELECT count(*) FROM (SELECT DISTINCT u1, u2 FROM p WHERE u1 <> u2)) AS n_friends, (SELECT count(*) FROM p) AS n_diffs, (SELECT count(DISTINCT word) FROM t SEMI JOIN s USING (doc_id)) AS n_words"""
+
+_ORACLES["graph_stats_web"] = r"""
+WITH r AS (SELECT page_id AS doc_id, regexp_extract(url, '^[a-zA-Z]+://([^/:?#]+)', 1) AS u, html, page_id // 50 AS tbin FROM pages),
+w AS (SELECT doc_id, u, unnest(regexp_split_to_array(lower(regexp_extract(html, '<title>([^<]*)', 1)), '[^\p{L}]+')) AS word FROM r),
+t AS (SELECT * FROM w WHERE word <> ''), s AS (SELECT doc_id, u, count(*) AS n FROM t GROUP BY ALL HAVING count(*) >= 2),
+h AS (SELECT DISTINCT doc_id, u, tbin, target FROM (SELECT doc_id, u, tbin, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS target FROM r)),
+g AS (SELECT doc_id, u, tbin, lag(doc_id) OVER o AS d2, lag(u) OVER o AS u2 FROM h WINDOW o AS (PARTITION BY target ORDER BY doc_id))
+SELECT (SELECT count(DISTINCT u) FROM s) AS n_users, (SELECT count(*) FROM s) AS n_docs, (SELECT CAST(sum(n) AS BIGINT) FROM s) AS n_tokens,
+ (SELECT count(*) FROM (SELECT DISTINCT a.u, b.u FROM (SELECT DISTINCT target, u FROM h) a JOIN (SELECT DISTINCT target, u FROM h) b ON a.target = b.target AND a.u <> b.u)) AS n_friends,
+ (SELECT count(*) FROM (SELECT DISTINCT doc_id, d2, u, u2, tbin FROM g WHERE u <> u2)) AS n_diffs, (SELECT count(DISTINCT word) FROM t SEMI JOIN s USING (doc_id)) AS n_words"""
+
+_ORACLES["graph_stats_dialog"] = r"""
+WITH r AS (SELECT conv_id * 1000 + turn AS doc_id, conv_id, turn, role, text FROM conversations),
+t AS (SELECT * FROM (SELECT doc_id, conv_id, role, unnest(regexp_split_to_array(lower(text), '[^\p{L}]+')) AS word FROM r) WHERE length(word) >= 3),
+s AS (SELECT doc_id, conv_id, role, count(*) AS n FROM t GROUP BY ALL HAVING count(*) >= 2), m AS (SELECT DISTINCT conv_id, role FROM r),
+g AS (SELECT doc_id, role, lag(doc_id) OVER o AS d2, lag(role) OVER o AS r2 FROM r WINDOW o AS (PARTITION BY conv_id ORDER BY turn))
+SELECT (SELECT count(*) FROM (SELECT DISTINCT conv_id, role FROM s)) AS n_users, (SELECT count(*) FROM s) AS n_docs, (SELECT CAST(sum(n) AS BIGINT) FROM s) AS n_tokens,
+ (SELECT count(*) FROM m a JOIN m b ON a.conv_id = b.conv_id AND a.role <> b.role) AS n_friends, (SELECT count(*) FROM (SELECT DISTINCT * FROM g WHERE role <> r2)) AS n_diffs, (SELECT count(DISTINCT word) FROM t SEMI JOIN s USING (doc_id)) AS n_words"""
+
+
+def _preprocess_sql() -> str:
+    stop = ", ".join(f"'{w}'" for w in text.STOP_WORDS)
+    word = "w"
+    for pattern, by in text.ENDINGS[:-1]:
+        word = f"regexp_replace({word}, '{pattern}', '{by.replace('$1', chr(92) + '1')}')"
+    return f"""SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, CASE WHEN w LIKE '#%' THEN w WHEN regexp_matches(s, '{text.ENDINGS[-1][0]}') THEN left(s, length(s) - 1) ELSE s END AS term
+ FROM (SELECT doc_id, w, {word} AS s FROM (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '{text.WORD}')) AS w FROM documents)
+ WHERE w LIKE '#%' OR NOT (w IN ({stop}) OR regexp_matches(w, '{text.OTHER_KINDS}') OR regexp_matches(w, '^[\p{{N}}_]+$'))))
+ WHERE doc_id IN (SELECT doc_id FROM (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '{text.WORD}')) AS w FROM documents) WHERE w LIKE '#%' OR NOT (w IN ({stop}) OR regexp_matches(w, '{text.OTHER_KINDS}') OR regexp_matches(w, '^[\p{{N}}_]+$')) GROUP BY doc_id HAVING count(*) >= 2) GROUP BY ALL"""
+
+
+@query()
+def preprocess_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = graphs.read(spark, sf_dir, "documents").select("doc_id", F.xxhash64("source", "lang").alias("user_id"), "text")
+    return text.preprocessed(docs).select("doc_id", F.explode("words").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("n"))
+
+
+_ORACLES["preprocess_terms"] = _preprocess_sql()
+
+
 @query("SELECT doc_id, user_id, ts, tbin, n_tok FROM docs")
 def docs_commerce(spark: SparkSession, sf_dir: str) -> DataFrame:
     return graphs.commerce(spark, sf_dir).docs
@@ -315,6 +369,33 @@ def nu_gradient_step(spark: SparkSession, sf_dir: str) -> DataFrame:
     return g.select(*(F.round(f"g{i}", 4).alias(f"g{i}") for i in range(1, 5)))
 
 
+@query("""SELECT (SELECT round(sum(-ln(1 + exp(-x))), 4) FROM fscore) AS friends, (SELECT round(sum(-ln(1 + exp(-y))), 4) FROM ys) AS diffusions""")
+def log_joint_full(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The parts of the log joint that observed links add to ``log_joint_terms``."""
+    from commlens.plans.profiler import log_joint_links
+
+    s = Slice(spark, sf_dir)
+    return log_joint_links(factors.friend_scores(s.g.friends, s.pi), s.scored()).select(F.round("friends", 4).alias("friends"), F.round("diffusions", 4).alias("diffusions"))
+
+
+@query()
+def non_diff_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from commlens.plans.profiler import negative_links
+
+    return negative_links(graphs.prepared(spark, sf_dir), 7)
+
+
+@query()
+def auc_diffusion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """AUC of the averaged three-factor probability on links and as many document pairs that are none."""
+    from commlens.operators import diffusion
+
+    s = Slice(spark, sf_dir)
+    pairs = s.g.diffs.withColumn("label", F.lit(1)).unionByName(non_diff_links(spark, sf_dir).withColumn("label", F.lit(0)))
+    p = diffusion.score_pairs(pairs, diffusion.topic_posterior(s.g.tokens, s.phi_s), s.pi, s.tensor, s.pop(), s.features, NU, Z)
+    return measures.auc(p.join(pairs.select("src_doc", "dst_doc", "label"), ["src_doc", "dst_doc"]).select(F.round("p", 9).alias("score"), "label")).select(r6("auc").alias("auc"), "n_pos", "n_neg")
+
+
 # Segments
 
 
@@ -344,6 +425,13 @@ def balance_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return partition.balance(load, partition.placement(load, 4))
 
 
+@query(f"""SELECT seg, CAST(worker AS INT) AS worker FROM (WITH RECURSIVE o AS (SELECT seg, load, row_number() OVER (ORDER BY load DESC, seg) AS i FROM ({_LOAD})),
+ r AS (SELECT 0::BIGINT AS i, [0.0::DOUBLE, 0.0, 0.0, 0.0] AS sums, NULL::INT AS seg, NULL::BIGINT AS worker
+ UNION ALL SELECT o.i, list_transform(r.sums, lambda x, j: CASE WHEN j = list_position(r.sums, list_min(r.sums)) THEN x + o.load ELSE x END), o.seg, list_position(r.sums, list_min(r.sums)) - 1 FROM r JOIN o ON o.i = r.i + 1) SELECT seg, worker FROM r WHERE seg IS NOT NULL)""")
+def knapsack_greedy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return partition.placement(segment_load(spark, sf_dir), 4, "greedy")
+
+
 # Applications
 
 
@@ -359,13 +447,13 @@ def rank_communities_normalised(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("SELECT word, CAST(sum(cnt) AS BIGINT) AS freq FROM tokens WHERE doc_id IN (SELECT src_doc FROM diffs) AND word NOT IN (SELECT word FROM vocab ORDER BY cf DESC, word LIMIT 3) GROUP BY word HAVING sum(cnt) > 100")
 def query_select(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = graphs.commerce(spark, sf_dir)
+    g = graphs.prepared(spark, sf_dir)
     return ranking.select_queries(g.tokens, g.diffs, 100, 3)
 
 
 @query("WITH w AS (SELECT word, CAST(sum(cnt) AS BIGINT) AS freq FROM tokens WHERE doc_id IN (SELECT src_doc FROM diffs) GROUP BY word HAVING sum(cnt) > 100) SELECT word, freq, CAST(least(floor((freq - (SELECT min(freq) FROM w)) * 5 / greatest((SELECT max(freq) - min(freq) FROM w), 1)) + 1, 5) AS INT) AS band FROM w".replace("WITH w AS (", "SELECT * FROM (WITH w AS (", 1) + ")")
 def query_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = graphs.commerce(spark, sf_dir)
+    g = graphs.prepared(spark, sf_dir)
     return ranking.frequency_bands(ranking.select_queries(g.tokens, g.diffs, 100))
 
 
@@ -452,14 +540,23 @@ def conductance_top5(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.conductance(s.g.friends, ranking.top_memberships(s.pi_s)).select("c", "cut", "vol", r6("conductance").alias("conductance"))
 
 
-_NEG = f"""neg0 AS (SELECT DISTINCT f.src, t.id AS dst FROM (SELECT src, CAST({sql.hashed('(src * 1000003 + dst) % 2147483647', 11)} // 16 % (SELECT count(DISTINCT user_id) FROM docs) AS BIGINT) AS i FROM friends) f
- JOIN (SELECT row_number() OVER (ORDER BY id) - 1 AS i, id FROM (SELECT DISTINCT user_id AS id FROM docs)) t USING (i) WHERE f.src <> t.id),
-neg AS (SELECT * FROM neg0 ANTI JOIN friends USING (src, dst))"""
+def _negatives(rounds: int = 12) -> str:
+    """Picks by hash, drawn again for links whose pick was no use; a pair goes to the link of least target."""
+    parts = ["tgt AS (SELECT row_number() OVER (ORDER BY id) - 1 AS i, id FROM (SELECT DISTINCT user_id AS id FROM docs))", "got0 AS (SELECT src, dst, dst AS to_ FROM friends WHERE false)"]
+    for k in range(rounds):
+        spot = f"CAST({sql.hashed('(src * 1000003 + dst) % 2147483647', 11 + 7919 * k)} // 16 % (SELECT count(*) FROM tgt) AS BIGINT)"
+        left = f"(SELECT src, dst, {spot} AS i FROM friends f WHERE NOT EXISTS (SELECT 1 FROM got{k} g WHERE g.src = f.src AND g.dst = f.dst))"
+        fresh = f"SELECT p.src, min(p.dst) AS dst, t.id AS to_ FROM {left} p JOIN tgt t USING (i) WHERE p.src <> t.id AND NOT EXISTS (SELECT 1 FROM friends f WHERE f.src = p.src AND f.dst = t.id) AND NOT EXISTS (SELECT 1 FROM got{k} g WHERE g.src = p.src AND g.to_ = t.id) GROUP BY p.src, t.id"
+        parts.append(f"got{k + 1} AS MATERIALIZED (SELECT src, dst, to_ FROM got{k} UNION ALL SELECT src, dst, to_ FROM ({fresh}))")
+    return ", ".join([*parts, f"neg AS (SELECT src, to_ AS dst FROM got{rounds})"])
+
+
+_NEG = _negatives()
 
 
 @query(f"SELECT * FROM (WITH {_NEG} SELECT src, dst FROM neg)")
 def non_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = graphs.commerce(spark, sf_dir)
+    g = graphs.prepared(spark, sf_dir)
     return measures.non_links(g.friends, measures.numbered(g.docs, "user_id"))
 
 
@@ -475,7 +572,7 @@ def auc_friend(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"SELECT fold, count(*) AS n FROM (SELECT CAST({sql.hashed('(src * 1000003 + dst) % 2147483647', 5)} // 128 % 10 AS INT) AS fold FROM friends) GROUP BY fold")
 def fold_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return graphs.commerce(spark, sf_dir).friends.groupBy(measures.fold_of(10, 5, F.col("src"), F.col("dst")).alias("fold")).agg(F.count("*").alias("n"))
+    return graphs.prepared(spark, sf_dir).friends.groupBy(measures.fold_of(10, 5, F.col("src"), F.col("dst")).alias("fold")).agg(F.count("*").alias("n"))
 
 
 def _pr(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -494,6 +591,20 @@ def maf_at_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ranking.averages(_pr(spark, sf_dir)).select("k", *(r6(x).alias(x) for x in ("map", "mar", "maf")))
 
 
+@query("""SELECT q_id, CAST(k AS INT) AS k, round(ap, 6) AS map, round(ar, 6) AS mar, round(2 * ap * ar / (ap + ar), 6) AS maf FROM (SELECT q_id, k, avg(n_hit / n_u) OVER w AS ap, avg(n_hit / n_rel) OVER w AS ar FROM prk WINDOW w AS (PARTITION BY q_id ORDER BY k)) WHERE q_id = 'ring'""")
+def single_query_case(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ranking.averages(_pr(spark, sf_dir).where("q_id = 'ring'"), by_query=True).select("q_id", "k", *(r6(x).alias(x) for x in ("map", "mar", "maf")))
+
+
+@query("""SELECT round((a.m - b.m) / b.m, 6) AS gain FROM (SELECT avg(p) AS m FROM phi_s) a, (SELECT avg(p) AS m FROM theta_s) b""")
+def relative_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from commlens.plans.experiments import relative_gain as gain
+
+    s = Slice(spark, sf_dir)
+    ours, other = (x.agg(F.avg("p").alias("m")) for x in (s.phi_s, s.theta_s))
+    return ours.crossJoin(other.withColumnRenamed("m", "n")).select(r6(gain(F.col("m"), F.col("n"))).alias("gain"))
+
+
 @query("""SELECT round(exp(-sum(ll) / sum(n)), 6) AS perplexity, CAST(sum(n) AS BIGINT) AS n_tokens FROM (SELECT doc_id, any_value(n) AS n, max(m) + ln(sum(w * exp(l - m))) AS ll FROM (SELECT *, max(l) OVER (PARTITION BY doc_id) AS m FROM (
  SELECT doc_id, user_id, z, sum(cnt * ln(p)) AS l, sum(cnt) AS n FROM tokens JOIN phi_s USING (word) GROUP BY ALL)) JOIN (SELECT user_id, z, sum(a.p * t.p) AS w FROM pi_s a JOIN theta_s t USING (c) GROUP BY ALL) USING (user_id, z) GROUP BY doc_id)""")
 def perplexity_doc(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -561,7 +672,71 @@ def strengthblock_strength(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.strengths(s.g.diffs, s.assign).select("c", "c2", "z", r6("strength").alias("strength"))
 
 
-@query()
+_MIX = f"""th0 AS (SELECT doc_id, user_id, z, w / sum(w) OVER (PARTITION BY doc_id) AS p FROM (SELECT doc_id, user_id, z, {sql.uniform('doc_id * 1009 + z', 505)} + 0.5 AS w FROM docs CROSS JOIN zs)),
+ph0 AS (SELECT z, word, n / sum(n) OVER (PARTITION BY z) AS p FROM (SELECT z, word, CAST(n AS DOUBLE) AS n FROM tw)),
+nr AS (SELECT doc_id, user_id, z, word, cnt * h / sum(h) OVER (PARTITION BY doc_id, word) AS h FROM (SELECT t.doc_id, t.user_id, z, t.word, cnt, a.p * b.p AS h FROM tokens t JOIN th0 a USING (doc_id) JOIN ph0 b USING (z, word)))"""
+_Q = """lq AS (SELECT src_doc, dst_doc, z, w / sum(w) OVER (PARTITION BY src_doc, dst_doc) AS q FROM (SELECT src_doc, dst_doc, a.z, a.p * b.p + 1e-12 AS w FROM diffs JOIN th0 a ON a.doc_id = src_doc JOIN th0 b ON b.doc_id = dst_doc AND b.z = a.z))"""
+_FRESH = "SELECT doc_id, z, round((n + 0.1) / (sum(n) OVER (PARTITION BY doc_id) + 0.1 * %d), 6) AS p FROM (SELECT t.doc_id, t.z, coalesce(sum(n), 0) AS n FROM th0 t LEFT JOIN (%s) USING (doc_id, z) GROUP BY ALL)"
+
+
+def _mixture_step(spark: SparkSession, sf_dir: str, links: bool) -> tuple[DataFrame, DataFrame]:
+    s = Slice(spark, sf_dir)
+    theta, _ = baselines.first_mixtures(s.g.docs, s.g.tokens, Z)
+    tw = counters.topic_word(s.assign, s.g.tokens)
+    phi = tw.select("z", "word", (F.col("n") / F.sum("n").over(W.partitionBy("z"))).alias("p"))
+    rate = spark.range(Z).select(F.col("id").cast("int").alias("z"), F.lit(1.0).alias("rate"))
+    n_words = s.g.tokens.select("word").distinct().count()
+    return baselines.mixture_step(s.g.tokens, theta, phi, Z, 0.1, BETA, n_words, s.g.diffs if links else None, rate if links else None)
+
+
+@query("SELECT * FROM (WITH " + _MIX + " " + _FRESH % (Z, "SELECT doc_id, z, h AS n FROM nr") + ")")
+def lda_step_mixtures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _mixture_step(spark, sf_dir, False)[0].select("doc_id", "z", r6("p").alias("p"))
+
+
+@query("SELECT * FROM (WITH " + _MIX + " SELECT z, word, round((sum(h) + 0.1) / (sum(sum(h)) OVER (PARTITION BY z) + 0.1 * (SELECT count(DISTINCT word) FROM tokens)), 6) AS p FROM nr GROUP BY z, word)")
+def lda_step_topics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _mixture_step(spark, sf_dir, False)[1].select("z", "word", r6("p").alias("p"))
+
+
+@query("SELECT * FROM (WITH " + _MIX + ", " + _Q + " " + _FRESH % (Z, "SELECT doc_id, z, h AS n FROM nr UNION ALL SELECT src_doc, z, q FROM lq UNION ALL SELECT dst_doc, z, q FROM lq") + ")")
+def topiclink_step_mixtures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One step of the mixtures that words and diffusion links share."""
+    return _mixture_step(spark, sf_dir, True)[0].select("doc_id", "z", r6("p").alias("p"))
+
+
+_SBM = f"""q0 AS (SELECT user_id, b, w / sum(w) OVER (PARTITION BY user_id) AS p FROM (SELECT user_id, range::INT AS b, {sql.uniform('user_id * 1009 + range', 707)} + 0.5 AS w FROM (SELECT DISTINCT user_id FROM docs) CROSS JOIN range(4))),
+sz AS (SELECT b, sum(p) AS m FROM q0 GROUP BY b), el AS (SELECT 0 AS kind, src, dst FROM friends UNION ALL SELECT 1, src_user, dst_user FROM diffs),
+cn AS (SELECT kind, a.b, c.b AS b2, sum(a.p * c.p) AS n FROM el JOIN q0 a ON a.user_id = src JOIN q0 c ON c.user_id = dst GROUP BY ALL),
+rt AS (SELECT t.kind, x.b, y.b AS b2, (coalesce(n, 0) + 0.01) / (x.m * y.m + 1) AS rate FROM (VALUES (0), (1)) t(kind) CROSS JOIN sz x CROSS JOIN sz y LEFT JOIN cn ON cn.kind = t.kind AND cn.b = x.b AND cn.b2 = y.b)"""
+
+
+def _role_start(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, list[DataFrame]]:
+    g = graphs.prepared(spark, sf_dir)
+    w = g.docs.select("user_id").distinct().select("user_id", F.explode(F.sequence(F.lit(0), F.lit(3))).alias("b")).withColumn("w", uniform(F.col("user_id") * 1009 + F.col("b"), 707) + 0.5)
+    q = w.select("user_id", "b", (F.col("w") / F.sum("w").over(W.partitionBy("user_id"))).alias("p"))
+    return q, [g.friends.select("src", "dst"), g.diffs.select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst"))]
+
+
+@query("SELECT * FROM (WITH " + _SBM + " SELECT kind, b, b2, round(rate, 9) AS rate FROM rt)")
+def roleblock_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    q, links = _role_start(spark, sf_dir)
+    both = [baselines.block_rates(q, e).select(F.lit(k).alias("kind"), "b", "b2", F.round("rate", 9).alias("rate")) for k, e in enumerate(links)]
+    return both[0].union(both[1])
+
+
+@query("SELECT * FROM (WITH " + _SBM + """, lg AS (SELECT kind, b, b2, ln(rate) AS l, rate FROM rt),
+ pull AS (SELECT src AS user_id, lg.b, sum(p * l) AS v FROM el JOIN q0 ON q0.user_id = dst JOIN lg ON lg.kind = el.kind AND lg.b2 = q0.b GROUP BY ALL UNION ALL SELECT dst, lg.b2, sum(p * l) FROM el JOIN q0 ON q0.user_id = src JOIN lg ON lg.kind = el.kind AND lg.b = q0.b GROUP BY ALL),
+ bs AS (SELECT b, sum(v) AS v FROM (SELECT b, ln(m / (SELECT sum(m) FROM sz) + 1e-9) AS v FROM sz UNION ALL SELECT lg.b, -sum(rate * m) FROM lg JOIN sz ON sz.b = lg.b2 GROUP BY lg.b UNION ALL SELECT lg.b2, -sum(rate * m) FROM lg JOIN sz ON sz.b = lg.b GROUP BY lg.b2) GROUP BY b),
+ xs AS (SELECT u.user_id, bs.b, any_value(bs.v) + coalesce(sum(pull.v), 0) AS x FROM (SELECT DISTINCT user_id FROM q0) u CROSS JOIN bs LEFT JOIN pull ON pull.user_id = u.user_id AND pull.b = bs.b GROUP BY ALL),
+ ex AS (SELECT user_id, b, exp(x - max(x) OVER (PARTITION BY user_id)) AS e FROM xs) SELECT user_id, b, round(e / sum(e) OVER (PARTITION BY user_id), 6) AS p FROM ex)""")
+def roleblock_step(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One mean-field step of the (community, role) blocks over both kinds of links."""
+    q, links = _role_start(spark, sf_dir)
+    return baselines.role_step(q, links, [baselines.block_rates(q, e) for e in links]).select("user_id", "b", r6("p").alias("p"))
+
+
+@query("SELECT * FROM (VALUES " + ", ".join(str(tuple(r)) for r in baselines.CAPABILITIES) + ") AS t(" + ", ".join(["method", *baselines.CAPABILITY_COLUMNS]) + ")")
 def capability_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.capabilities(spark)
 

@@ -10,7 +10,7 @@ from pyspark.sql import Column, SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 from pyspark.sql.types import DoubleType
 
-_TRUNCATE = 0.64
+from commlens.functions.augmentation import KeyedRandom, pg_exact, pg_series
 
 
 def _lgamma(x: np.ndarray) -> np.ndarray:
@@ -32,99 +32,12 @@ def lgamma_udf(x: pd.Series) -> pd.Series:
     return pd.Series(_lgamma(x.to_numpy()))
 
 
-def _keyed(keys: np.ndarray, salt: int, n: int) -> np.random.Generator:
-    """One generator per batch, started from the keys: a task that runs again draws the same."""
-    return np.random.default_rng(np.array([salt, n, int(keys.astype(np.int64).view(np.uint64).sum() % (1 << 63))], dtype=np.uint64))
-
-
-def pg_series(b: np.ndarray, rng: np.random.Generator, terms: int = 200) -> np.ndarray:
-    """Draws of PG(1, b) from the truncated gamma series, the tail replaced by its mean."""
-    k = np.arange(1, terms + 1) - 0.5
-    weight = 1 / (k[:, None] ** 2 + b[None, :] ** 2 / (4 * np.pi**2)) / (2 * np.pi**2)
-    whole = np.where(np.abs(b) < 1e-6, 0.25, np.tanh(b / 2) / np.where(np.abs(b) < 1e-6, 1, 2 * b))
-    return (rng.standard_gamma(1.0, weight.shape) * weight).sum(axis=0) + whole - weight.sum(axis=0)
-
-
-def _inverse_gauss_below(z: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Inverse Gaussian draws of mean 1 / z and shape 1, cut off above at _TRUNCATE."""
-    n = len(z)
-    out = np.empty(n)
-    open_ = np.arange(n)
-    while len(open_):
-        zz = z[open_]
-        wide = zz < 1 / _TRUNCATE
-        x = np.empty(len(open_))
-        ok = np.zeros(len(open_), dtype=bool)
-        if wide.any():
-            m = int(wide.sum())
-            e1, e2 = rng.standard_exponential(m), rng.standard_exponential(m)
-            good = e1 * e1 <= 2 * e2 / _TRUNCATE
-            x[wide] = _TRUNCATE / (1 + _TRUNCATE * e1) ** 2
-            ok[wide] = good & (rng.random(m) <= np.exp(-0.5 * zz[wide] ** 2 * x[wide]))
-        if (~wide).any():
-            mu = 1 / zz[~wide]
-            y = rng.standard_normal(len(mu)) ** 2
-            v = mu + 0.5 * mu * mu * y - 0.5 * mu * np.sqrt(4 * mu * y + (mu * y) ** 2)
-            v = np.where(rng.random(len(mu)) > mu / (mu + v), mu * mu / v, v)
-            x[~wide] = v
-            ok[~wide] = v <= _TRUNCATE
-        out[open_[ok]] = x[ok]
-        open_ = open_[~ok]
-    return out
-
-
-def _coefficient(n: int, x: np.ndarray) -> np.ndarray:
-    k = n + 0.5
-    small = np.exp(-1.5 * np.log(np.pi * x / 2) + np.log(np.pi * k) - 2 * k * k / x)
-    return np.where(x <= _TRUNCATE, small, np.pi * k * np.exp(-k * k * np.pi**2 * x / 2))
-
-
-def _normal_cdf(x: np.ndarray) -> np.ndarray:
-    return 0.5 * np.array([math.erfc(-v / math.sqrt(2)) for v in x])
-
-
-def pg_exact(b: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Exact draws of PG(1, b): proposals from a tilted density in two parts, accepted by the partial sums of an alternating series."""
-    z = np.abs(np.asarray(b, dtype=float)) / 2
-    fz = np.pi**2 / 8 + z * z / 2
-    root = math.sqrt(1 / _TRUNCATE)
-    lower = np.exp(np.log(_normal_cdf(root * (_TRUNCATE * z - 1)) + 1e-300) - z) + np.exp(np.log(_normal_cdf(-root * (_TRUNCATE * z + 1)) + 1e-300) + z)
-    p, q = np.pi / (2 * fz) * np.exp(-fz * _TRUNCATE), 2 * lower
-    out = np.empty(len(z))
-    open_ = np.arange(len(z))
-    while len(open_):
-        m = len(open_)
-        tail = rng.random(m) < p[open_] / (p[open_] + q[open_])
-        x = np.empty(m)
-        x[tail] = _TRUNCATE + rng.standard_exponential(int(tail.sum())) / fz[open_[tail]]
-        if (~tail).any():
-            x[~tail] = _inverse_gauss_below(z[open_[~tail]], rng)
-        s = _coefficient(0, x)
-        y = rng.random(m) * s
-        state = np.zeros(m, dtype=np.int8)
-        for n in range(1, 60):
-            live = state == 0
-            if not live.any():
-                break
-            a = _coefficient(n, x)
-            if n % 2:
-                s = s - a
-                state[live & (y <= s)] = 1
-            else:
-                s = s + a
-                state[live & (y > s)] = -1
-        done = state == 1
-        out[open_[done]] = x[done] / 4
-        open_ = open_[~done]
-    return out
-
-
 def pg_draw(b: Column, key: Column, salt: int = 0, mode: str = "exact") -> Column:
-    """PG(1, b) draws, repeatable by key and salt while a batch holds the same keys."""
+    """PG(1, b) draws, repeatable by key and salt."""
 
     @pandas_udf(DoubleType())
     def draw(scores: pd.Series, keys: pd.Series) -> pd.Series:
-        rng = _keyed(keys.to_numpy(), salt, len(keys))
+        rng = KeyedRandom(keys.to_numpy(), salt)
         return pd.Series((pg_exact if mode == "exact" else pg_series)(scores.to_numpy(dtype=float), rng))
 
     return draw(b, key)

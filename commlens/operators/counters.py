@@ -60,23 +60,24 @@ def _smoothed(counts: DataFrame, of: str, kind: str, kinds: DataFrame, prior: fl
     return grid.join(counts, [of, kind], "left").select(of, kind, ((F.coalesce("n", F.lit(0)) + prior) / (F.col("total") + prior * dim)).alias("p"))
 
 
-def smoothed_membership(assign: DataFrame, communities: int, prior: float) -> DataFrame:
-    kinds = assign.sparkSession.range(communities).select(F.col("id").cast("int").alias("c"))
-    return _smoothed(user_community(assign), "user_id", "c", kinds, prior, communities)
+def smoothed_membership(counts: DataFrame, communities: int, prior: float) -> DataFrame:
+    """From ``user_community`` counts."""
+    kinds = counts.sparkSession.range(communities).select(F.col("id").cast("int").alias("c"))
+    return _smoothed(counts, "user_id", "c", kinds, prior, communities)
 
 
-def smoothed_topics(assign: DataFrame, communities: int, topics: int, prior: float) -> DataFrame:
-    """Over all communities, empty ones included."""
-    spark = assign.sparkSession
+def smoothed_topics(counts: DataFrame, communities: int, topics: int, prior: float) -> DataFrame:
+    """From ``community_topic`` counts, over all communities, empty ones included."""
+    spark = counts.sparkSession
     grid = spark.range(communities).select(F.col("id").cast("int").alias("c")).crossJoin(spark.range(topics).select(F.col("id").cast("int").alias("z")))
     n = F.coalesce("n", F.lit(0))
-    return grid.join(community_topic(assign), ["c", "z"], "left").select("c", "z", ((n + prior) / (F.sum(n).over(W.partitionBy("c")) + prior * topics)).alias("p"))
+    return grid.join(counts, ["c", "z"], "left").select("c", "z", ((n + prior) / (F.sum(n).over(W.partitionBy("c")) + prior * topics)).alias("p"))
 
 
-def smoothed_words(assign: DataFrame, tokens: DataFrame, vocabulary: DataFrame, prior: float) -> DataFrame:
-    """(z, word, p) over topics that occur and the whole vocabulary (column ``word``)."""
+def smoothed_words(counts: DataFrame, vocabulary: DataFrame, prior: float) -> DataFrame:
+    """(z, word, p) from ``topic_word`` counts, over topics that occur and the whole vocabulary (column ``word``)."""
     words = vocabulary.select("word")
-    return _smoothed(topic_word(assign, tokens), "z", "word", words, prior, words.count())
+    return _smoothed(counts, "z", "word", words, prior, words.count())
 
 
 def eta(diffs: DataFrame, assign: DataFrame, norm: str = "per_community", smooth: float = 0.0) -> DataFrame:

@@ -6,6 +6,8 @@ task while it has TENSOR_CELLS cells or fewer, and joined by topic beyond.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -92,10 +94,14 @@ def augmentation_means(scored: DataFrame, score: str, name: str) -> DataFrame:
     return scored.withColumn(name, pg_mean(F.col(score)))
 
 
-def friend_statistics(friends: DataFrame, pi: DataFrame) -> tuple[DataFrame, DataFrame]:
+def friend_statistics(friends: DataFrame, pi: DataFrame, augment: Callable[[DataFrame, str, str], DataFrame] = augmentation_means) -> tuple[DataFrame, DataFrame]:
     """For each user, over the neighbours in either direction: (user_id, c, s1), the sum of memberships, and (user_id, c, c2, q), the
-    augmented second moments. They replace a walk over all links for each document; hubs are sums, not lists."""
-    scored = augmentation_means(friend_scores(friends, pi), "x", "lam")
+    augmented second moments. They replace a walk over all links for each document; hubs are sums, not lists. ``friends`` may have a
+    column ``times``, how often a pair is linked; each such link has an augmentation variable of its own."""
+    scored = friend_scores(friends, pi)
+    if "times" in friends.columns:
+        scored = scored.join(friends, ["src", "dst"]).select("src", "dst", "x", F.explode(F.sequence(F.lit(1), F.col("times").cast("int"))).alias("nth"))
+    scored = augment(scored, "x", "lam")
     ends = scored.select(F.col("src").alias("user_id"), F.col("dst").alias("v"), "lam").union(scored.select(F.col("dst").alias("user_id"), F.col("src").alias("v"), "lam"))
     mine = pi.select(F.col("user_id").alias("v"), "c", "p")
     seen = ends.join(mine, "v")

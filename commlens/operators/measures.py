@@ -8,7 +8,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from commlens import scratch
 from commlens.functions.expressions import hashed
+from commlens.sources.graphs import numbered as number_rows
 
 
 def conductance(friends: DataFrame, members: DataFrame) -> DataFrame:
@@ -50,18 +52,30 @@ def fold_of(folds: int = 10, salt: int = 5, *keys: Column) -> Column:
     return F.pmod(F.floor(hashed(mixed, salt) / F.lit(128)), F.lit(folds)).cast("int")
 
 
-def non_links(links: DataFrame, targets: DataFrame, salt: int = 11) -> DataFrame:
+def non_links(links: DataFrame, targets: DataFrame, salt: int = 11, rounds: int = 12, avoid: DataFrame | None = None) -> DataFrame:
     """As many (src, dst) pairs as links that are no links: each link's source with a target picked by hash. Targets are an
-    (i, id) table numbered from zero; a pick that is a link, or a loop, is left out."""
+    (i, id) table numbered from zero. A pick that is a link, a loop, or a pair that another link has picked is drawn again, in up to ``rounds``
+    rounds; there are fewer pairs only where a source has hardly any target left that it does not link to. ``avoid`` has further pairs (src, dst) to keep out."""
     n = targets.count()
-    picked = links.select("src", "dst", F.pmod(F.floor(hashed(F.pmod(F.col("src") * 1000003 + F.col("dst"), F.lit(2147483647)), salt) / F.lit(16)), F.lit(max(1, n))).cast("bigint").alias("i"))
-    made = picked.join(targets, "i").select("src", F.col("id").alias("dst")).where("src <> dst").distinct()
-    return made.join(links, ["src", "dst"], "left_anti")
+    known = links.select("src", "dst") if avoid is None else links.select("src", "dst").union(avoid.select("src", "dst"))
+    wanted, taken = links.select("src", "dst"), None
+    for turn in range(rounds):
+        spot = F.pmod(F.floor(hashed(F.pmod(F.col("src") * 1000003 + F.col("dst"), F.lit(2147483647)), salt + 7919 * turn) / F.lit(16)), F.lit(max(1, n)))
+        picked = wanted.withColumn("i", spot.cast("bigint")).join(targets, "i").where("src <> id").select("src", F.col("id").alias("to"), "dst")
+        fresh = picked.join(known.select("src", F.col("dst").alias("to")), ["src", "to"], "left_anti")
+        if taken is not None:
+            fresh = fresh.join(taken.select("src", "to"), ["src", "to"], "left_anti")
+        fresh = scratch.written(fresh.groupBy("src", "to").agg(F.min("dst").alias("dst")))
+        taken = fresh if taken is None else scratch.written(taken.union(fresh))
+        wanted = links.select("src", "dst").join(taken.select("src", "dst"), ["src", "dst"], "left_anti")
+        if wanted.isEmpty():
+            break
+    return taken.select("src", F.col("to").alias("dst"))
 
 
 def numbered(ids: DataFrame, name: str) -> DataFrame:
     """(i, id) of distinct ids in order."""
-    return ids.select(F.col(name).alias("id")).distinct().select((F.row_number().over(W.orderBy("id")) - 1).cast("bigint").alias("i"), "id")
+    return number_rows(ids.select(F.col(name).alias("id")).distinct(), "id").select("i", "id")
 
 
 def perplexity(tokens: DataFrame, pi: DataFrame, theta: DataFrame, phi: DataFrame, form: str = "doc_topic") -> DataFrame:

@@ -13,8 +13,11 @@ def reach(eta: DataFrame, theta: DataFrame) -> DataFrame:
 
 
 def query_topics(queries: DataFrame, phi: DataFrame) -> DataFrame:
-    """(q_id, z, affinity) from (q_id, word): the product of the words' probabilities. Words out of the vocabulary do not change the order and are left out."""
-    return queries.join(phi, "word").groupBy("q_id", "z").agg(F.sum(F.ln("p")).alias("l")).select("q_id", "z", F.exp("l").alias("affinity"))
+    """(q_id, z, affinity) from (q_id, word): the product of the words' probabilities. Words out of the vocabulary have the same floor probability in
+    every topic, which does not change the order, and are left out. Queries of several words are scaled by their best topic first, so that long ones do not vanish."""
+    logs = queries.join(phi, "word").groupBy("q_id", "z").agg(F.sum(F.ln("p")).alias("l"), F.count("*").alias("n"))
+    top = F.max("l").over(W.partitionBy("q_id"))
+    return logs.select("q_id", "z", F.when(F.col("n") > 1, F.exp(F.col("l") - top)).otherwise(F.exp("l")).alias("affinity"))
 
 
 def rank_communities(queries: DataFrame, phi: DataFrame, reached: DataFrame, top: int | None = None, normalise: bool = False) -> DataFrame:

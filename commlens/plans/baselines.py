@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from commlens import scratch
+from commlens.functions.expressions import uniform
 from commlens.operators import counters, factors
 from commlens.sources.graphs import SocialGraph
 
@@ -49,28 +51,73 @@ def topic_link_rates(doc_topics: DataFrame, diffs: DataFrame) -> DataFrame:
     return n.join(size, "z").select("z", (F.col("n") / (F.col("m") * F.col("m"))).alias("rate"))
 
 
+def mixture_step(tokens: DataFrame, theta: DataFrame, phi: DataFrame, topics: int, alpha: float, beta: float, n_words: int, diffs: DataFrame | None = None, rate: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """One step of expectation and maximisation: (doc_id, user_id, z, p) mixtures and (z, word, p) topics from the former ones. Each token is shared among topics
+    by mixture and topic; with ``diffs`` and (z, rate), each diffusion link is one more token of both its documents, shared by both mixtures and the rate."""
+    own = theta.select("doc_id", "z", F.col("p").alias("t"))
+    near = tokens.join(own, "doc_id").join(phi, ["z", "word"]).withColumn("h", F.col("t") * F.col("p"))
+    share = near.groupBy("doc_id", "word").agg(F.sum("h").alias("all"))
+    near = near.join(share, ["doc_id", "word"]).select("doc_id", "user_id", "z", "word", (F.col("cnt") * F.col("h") / F.col("all")).alias("h"))
+    counts = near.groupBy("doc_id", "z").agg(F.sum("h").alias("n"))
+    if diffs is not None:
+        linked = link_shares(diffs, theta, rate).select(F.explode(F.array("src_doc", "dst_doc")).alias("doc_id"), "z", "q")
+        counts = counts.unionByName(linked.withColumnRenamed("q", "n")).groupBy("doc_id", "z").agg(F.sum("n").alias("n"))
+    total = counts.groupBy("doc_id").agg(F.sum("n").alias("all"))
+    fresh = theta.select("doc_id", "user_id", "z").join(counts, ["doc_id", "z"], "left").join(total, "doc_id")
+    fresh = fresh.select("doc_id", "user_id", "z", ((F.coalesce("n", F.lit(0.0)) + alpha) / (F.col("all") + alpha * topics)).alias("p"))
+    words = near.groupBy("z", "word").agg(F.sum("h").alias("n"))
+    sizes = words.groupBy("z").agg(F.sum("n").alias("all"))
+    return fresh, words.join(F.broadcast(sizes), "z").select("z", "word", ((F.col("n") + beta) / (F.col("all") + beta * n_words)).alias("p"))
+
+
+def link_shares(diffs: DataFrame, theta: DataFrame, rate: DataFrame) -> DataFrame:
+    """(src_doc, dst_doc, z, q): each link shared among topics by both documents' mixtures and the topic's rate."""
+    s = theta.select(F.col("doc_id").alias("src_doc"), "z", F.col("p").alias("ps"))
+    d = theta.select(F.col("doc_id").alias("dst_doc"), "z", F.col("p").alias("pd"))
+    q = diffs.select("src_doc", "dst_doc").join(s, "src_doc").join(d, ["dst_doc", "z"]).join(F.broadcast(rate), "z").withColumn("w", F.col("ps") * F.col("pd") * F.col("rate") + 1e-12)
+    total = q.groupBy("src_doc", "dst_doc").agg(F.sum("w").alias("all"))
+    return q.join(total, ["src_doc", "dst_doc"]).select("src_doc", "dst_doc", "z", (F.col("w") / F.col("all")).alias("q"))
+
+
+def link_rates(diffs: DataFrame, theta: DataFrame, rate: DataFrame) -> DataFrame:
+    """(z, rate): links shared to each topic over the pairs of documents that could carry it."""
+    n = link_shares(diffs, theta, rate).groupBy("z").agg(F.sum("q").alias("n"))
+    return theta.groupBy("z").agg(F.sum("p").alias("m")).join(n, "z", "left").select("z", (F.coalesce("n", F.lit(0.0)) / (F.col("m") * F.col("m"))).alias("rate"))
+
+
+def first_mixtures(docs: DataFrame, tokens: DataFrame, topics: int) -> tuple[DataFrame, DataFrame]:
+    """Mixtures and topics to start from: every document's and word's weights by hash."""
+    grid = F.explode(F.sequence(F.lit(0), F.lit(topics - 1))).alias("z")
+    theta = docs.select("doc_id", "user_id", grid).withColumn("w", uniform(F.col("doc_id") * 1009 + F.col("z"), 505) + 0.5)
+    phi = tokens.select("word").distinct().select("word", grid).withColumn("w", uniform(F.pmod(F.crc32("word"), F.lit(1_000_003)) * 1009 + F.col("z"), 606) + 0.5)
+    share = lambda df, *by: F.col("w") / F.sum("w").over(W.partitionBy(*by))
+    return theta.select("doc_id", "user_id", "z", share(theta, "doc_id").alias("p")), phi.select("z", "word", share(phi, "z").alias("p"))
+
+
+def topic_mixtures(graph: SocialGraph, topics: int, steps: int, checkpoint, links: bool = False, alpha: float = 0.1, beta: float = 0.1) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(doc_id, user_id, z, p) mixtures of documents, (z, word, p) topics and (z, rate) link rates; with ``links`` diffusion links shape the mixtures too."""
+    n_words = graph.tokens.select("word").distinct().count()
+    theta, phi = (checkpoint(x) for x in first_mixtures(graph.docs, graph.tokens, topics))
+    rate = graph.docs.sparkSession.range(topics).select(F.col("id").cast("int").alias("z"), F.lit(1.0).alias("rate"))
+    for _ in range(steps):
+        old = (theta, phi)
+        theta, phi = (checkpoint(x) for x in mixture_step(graph.tokens, theta, phi, topics, alpha, beta, n_words, graph.diffs if links else None, rate if links else None))
+        if links:
+            rate = checkpoint(link_rates(graph.diffs, theta, rate))
+        for x in old:
+            scratch.drop(x)
+    return theta, phi, rate if links else checkpoint(topic_link_rates(theta, graph.diffs))
+
+
 class TopicLink:
-    """Document topics by a one-topic mixture, refined by expectation steps, and a link rate per topic. A user's membership is the mean of its documents' topics."""
+    """Mixtures of topics that words and diffusion links share, fitted together, and a link rate per topic. A user's membership is the mean of its documents' topics."""
 
-    def __init__(self, topics: int, steps: int = 5, beta: float = 0.1) -> None:
+    def __init__(self, topics: int, steps: int = 10, beta: float = 0.1) -> None:
         self.topics, self.steps, self.beta = topics, steps, beta
 
     def fit(self, graph: SocialGraph, checkpoint) -> TopicLink:
-        from commlens.operators.diffusion import topic_posterior
-
-        first = counters.first_assignment(graph.docs, 1, self.topics)
-        soft = hard_topics(first)
-        n_words = graph.tokens.select("word").distinct().count()
-        for _ in range(self.steps):
-            n = graph.tokens.join(soft.select("doc_id", "z", "p"), "doc_id").groupBy("z", "word").agg(F.sum(F.col("cnt") * F.col("p")).alias("n"))
-            words = graph.tokens.select("word").distinct()
-            grid = n.groupBy("z").agg(F.sum("n").alias("nz")).crossJoin(F.broadcast(words))
-            phi = grid.join(n, ["z", "word"], "left").select("z", "word", ((F.coalesce("n", F.lit(0.0)) + self.beta) / (F.col("nz") + self.beta * n_words)).alias("p"))
-            owner = graph.docs.select("doc_id", "user_id")
-            soft = checkpoint(topic_posterior(graph.tokens, phi).where("p > 1e-6").join(owner, "doc_id").select("doc_id", "user_id", "z", "p"))
-        self.doc_topics = soft
-        self.member = soft.groupBy("user_id", "z").agg(F.sum("p").alias("s")).select("user_id", F.col("z").alias("c"), (F.col("s") / F.sum("s").over(W.partitionBy("user_id"))).alias("p"))
-        self.rates = topic_link_rates(soft, graph.diffs)
+        self.doc_topics, self.phi, self.rates = topic_mixtures(graph, self.topics, self.steps, checkpoint, True, beta=self.beta)
+        self.member = self.doc_topics.groupBy("user_id", "z").agg(F.sum("p").alias("s")).select("user_id", F.col("z").alias("c"), (F.col("s") / F.sum("s").over(W.partitionBy("user_id"))).alias("p"))
         return self
 
     def link_scores(self, pairs: DataFrame) -> DataFrame:
@@ -139,32 +186,66 @@ def block_counts(pi: DataFrame, friends: DataFrame) -> DataFrame:
     return friends.join(a, "src").join(b, "dst").groupBy("c", "c2").agg(F.sum(F.col("pa") * F.col("pb")).alias("n"))
 
 
+def block_rates(q: DataFrame, links: DataFrame) -> DataFrame:
+    """(b, b2, rate) over all pairs of blocks: links between them over the pairs of users that could have one."""
+    size = q.groupBy("b").agg(F.sum("p").alias("m"))
+    n = block_counts(q.withColumnRenamed("b", "c"), links).select(F.col("c").alias("b"), F.col("c2").alias("b2"), "n")
+    grid = size.crossJoin(F.broadcast(size.select(F.col("b").alias("b2"), F.col("m").alias("m2"))))
+    return grid.join(n, ["b", "b2"], "left").select("b", "b2", ((F.coalesce("n", F.lit(0.0)) + 0.01) / (F.col("m") * F.col("m2") + 1)).alias("rate"))
+
+
+def role_step(q: DataFrame, links: list[DataFrame], rates: list[DataFrame]) -> DataFrame:
+    """(user_id, b, p): memberships of blocks after one mean-field step, from the neighbours' memberships over all kinds of links, in both directions."""
+    size = q.groupBy("b").agg(F.sum("p").alias("m"))
+    total = size.agg(F.sum("m").alias("all"))
+    base = size.crossJoin(F.broadcast(total)).select("b", F.ln(F.col("m") / F.col("all") + 1e-9).alias("v"))
+    seen = None
+    for e, w in zip(links, rates, strict=True):
+        logs = w.withColumn("l", F.ln("rate"))
+        for here, there, own, other in (("src", "dst", "b", "b2"), ("dst", "src", "b2", "b")):
+            near = e.select(F.col(here).alias("user_id"), F.col(there).alias("v")).join(q.select(F.col("user_id").alias("v"), F.col("b").alias("o"), "p"), "v").groupBy("user_id", "o").agg(F.sum("p").alias("s"))
+            part = near.join(F.broadcast(logs.select(F.col(own).alias("k"), F.col(other).alias("o"), "l")), "o").groupBy("user_id", F.col("k").alias("b")).agg(F.sum(F.col("s") * F.col("l")).alias("v"))
+            seen = part if seen is None else seen.union(part)
+            less = logs.join(size.select(F.col("b").alias(other), "m"), other).groupBy(F.col(own).alias("b")).agg((-F.sum(F.col("rate") * F.col("m"))).alias("v"))
+            base = base.union(less)
+    base = base.groupBy("b").agg(F.sum("v").alias("base"))
+    pull = seen.groupBy("user_id", "b").agg(F.sum("v").alias("v"))
+    x = q.select("user_id").distinct().crossJoin(F.broadcast(base)).join(pull, ["user_id", "b"], "left").select("user_id", "b", (F.col("base") + F.coalesce("v", F.lit(0.0))).alias("x"))
+    own = W.partitionBy("user_id")
+    e = x.select("user_id", "b", F.exp(F.col("x") - F.max("x").over(own)).alias("e"))
+    return e.select("user_id", "b", (F.col("e") / F.sum("e").over(own)).alias("p"))
+
+
 class RoleBlock:
-    """Communities from friendship alone and roles from degrees; the rate of links between (community, role) blocks scores a pair."""
-
-    def __init__(self, roles: int = 3) -> None:
-        self.roles = roles
-
-    def fit(self, graph: SocialGraph, pi: DataFrame) -> RoleBlock:
-        degree = graph.friends.groupBy(F.col("src").alias("user_id")).agg(F.count("*").alias("deg"))
-        users = pi.select("user_id").distinct().join(degree, "user_id", "left").fillna(0, ["deg"])
-        cuts = users.approxQuantile("deg", [i / self.roles for i in range(1, self.roles)], 0.01)
-        role = sum(((F.col("deg") > c).cast("int") for c in cuts), F.lit(0))
-        self.block = pi.join(users.select("user_id", role.alias("role")), "user_id").select("user_id", (F.col("c") * self.roles + F.col("role")).cast("int").alias("c"), "p")
-        size = self.block.groupBy("c").agg(F.sum("p").alias("m"))
-        self.friend_rates, self.diff_rates = (self._rates(e, size) for e in (graph.friends, graph.diffs.select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst"))))
+    """Users in blocks of a community and a role, fitted on friendship and diffusion links together and without any text; the rates of links between
+    blocks score a pair."""
+
+    def __init__(self, communities: int = 6, roles: int = 2, steps: int = 10) -> None:
+        self.communities, self.roles, self.steps = communities, roles, steps
+
+    def fit(self, graph: SocialGraph, checkpoint) -> RoleBlock:
+        users = graph.docs.select("user_id").union(graph.friends.select("src")).union(graph.friends.select("dst")).distinct()
+        w = users.select("user_id", F.explode(F.sequence(F.lit(0), F.lit(self.communities * self.roles - 1))).alias("b")).withColumn("w", -F.ln(uniform(F.pmod(F.col("user_id"), F.lit(2147483647)) * 1009 + F.col("b"), 707)))
+        q = checkpoint(w.select("user_id", "b", (F.col("w") / F.sum("w").over(W.partitionBy("user_id"))).alias("p")))
+        links = [graph.friends.select("src", "dst"), graph.diffs.select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst"))]
+        for step in range(self.steps):
+            rates = [checkpoint(block_rates(q, e)) for e in links]
+            fresh = role_step(q, links, rates)
+            if step < self.steps // 2:
+                fresh = fresh.join(q.withColumnRenamed("p", "p0"), ["user_id", "b"]).select("user_id", "b", ((F.col("p") + F.col("p0")) / 2).alias("p"))
+            old, q = q, checkpoint(fresh)
+            for x in (old, *rates):
+                scratch.drop(x)
+        self.block, (self.friend_rates, self.diff_rates) = q, (checkpoint(block_rates(q, e)) for e in links)
+        self.member = q.groupBy("user_id", F.floor(F.col("b") / self.roles).cast("int").alias("c")).agg(F.sum("p").alias("p"))
         return self
 
-    def _rates(self, links: DataFrame, size: DataFrame) -> DataFrame:
-        n = block_counts(self.block, links)
-        return n.join(size, "c").join(size.select(F.col("c").alias("c2"), F.col("m").alias("m2")), "c2").select("c", "c2", (F.col("n") / (F.col("m") * F.col("m2"))).alias("rate"))
-
     def scores(self, pairs: DataFrame, kind: str = "friend") -> DataFrame:
         """(src, dst, x)"""
         rates = self.friend_rates if kind == "friend" else self.diff_rates
-        a = self.block.select(F.col("user_id").alias("src"), "c", F.col("p").alias("pa"))
-        b = self.block.select(F.col("user_id").alias("dst"), F.col("c").alias("c2"), F.col("p").alias("pb"))
-        got = pairs.join(a, "src").join(F.broadcast(rates), "c").join(b, ["dst", "c2"]).groupBy("src", "dst").agg(F.sum(F.col("pa") * F.col("pb") * F.col("rate")).alias("x"))
+        a = self.block.select(F.col("user_id").alias("src"), "b", F.col("p").alias("pa"))
+        b = self.block.select(F.col("user_id").alias("dst"), F.col("b").alias("b2"), F.col("p").alias("pb"))
+        got = pairs.join(a, "src").join(F.broadcast(rates), "b").join(b, ["dst", "b2"]).groupBy("src", "dst").agg(F.sum(F.col("pa") * F.col("pb") * F.col("rate")).alias("x"))
         return pairs.select("src", "dst").join(got, ["src", "dst"], "left").fillna(0.0, ["x"])
 
 
@@ -180,7 +261,7 @@ def strengths(diffs: DataFrame, assign: DataFrame) -> DataFrame:
 
 
 #: What each method uses and does; fixed facts of the methods.
-_CAPABILITIES = [
+CAPABILITIES = [
     # method, text, friendship, diffusion links, individual, topic, community factor, detection, friendship task, diffusion task, ranking
     ("TopicLink", 1, 0, 1, 0, 1, 0, 1, 1, 1, 0),
     ("UserFeatureLink", 1, 1, 1, 1, 0, 0, 0, 0, 1, 0),
@@ -190,6 +271,8 @@ _CAPABILITIES = [
 ]
 
 
+CAPABILITY_COLUMNS = ["text", "friendship", "diffusion", "individual_factor", "topic_factor", "community_factor", "detection", "friendship_task", "diffusion_task", "ranking_task"]
+
+
 def capabilities(spark: SparkSession) -> DataFrame:
-    names = ["text", "friendship", "diffusion", "individual_factor", "topic_factor", "community_factor", "detection", "friendship_task", "diffusion_task", "ranking_task"]
-    return spark.createDataFrame(_CAPABILITIES, "method string, " + ", ".join(f"{n} int" for n in names))
+    return spark.createDataFrame(CAPABILITIES, "method string, " + ", ".join(f"{n} int" for n in CAPABILITY_COLUMNS))

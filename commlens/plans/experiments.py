@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from commlens.config import ProfilerConfig
 from commlens.functions.expressions import noise
-from commlens.operators import diffusion, factors, measures, ranking
+from commlens.operators import counters, diffusion, factors, measures, ranking
 from commlens.plans import baselines
 from commlens.plans.profiler import JointProfiler, Profiles, negative_links, variant
 from commlens.sources.graphs import SocialGraph
@@ -25,24 +25,31 @@ Keep = Callable[[DataFrame], DataFrame]
 
 @dataclass
 class Fold:
-    """Training graph, and labelled test pairs of both kinds of links."""
+    """Training graph, labelled test pairs of both kinds of links, all tokens, and those of the documents held out."""
 
     train: SocialGraph
     friends: DataFrame
     diffs: DataFrame
+    tokens: DataFrame
+    held: DataFrame
 
 
 def folds(graph: SocialGraph, keep: Keep, n: int = 10, only: int | None = None, seed: int = 5) -> list[Fold]:
-    """The folds of both kinds of links by hash; ``only`` gives that many."""
+    """The folds of both kinds of links and of documents by hash; ``only`` gives that many. Words and links of held-out documents are out of training."""
     out = []
+    fold_t = measures.fold_of(n, seed, F.col("doc_id"))
     fold_f, fold_d = measures.fold_of(n, seed, F.col("src"), F.col("dst")), measures.fold_of(n, seed, F.col("src_doc"), F.col("dst_doc"))
     people = keep(measures.numbered(graph.docs, "user_id"))
     for k in range(only or n):
         test_f, test_d = graph.friends.where(fold_f == k), graph.diffs.where(fold_d == k)
-        train = SocialGraph(graph.docs, graph.tokens, keep(graph.friends.where(fold_f != k)), keep(graph.diffs.where(fold_d != k)))
+        held = keep(graph.docs.where(fold_t == k).select("doc_id"))
+        inside = graph.diffs.where(fold_d != k)
+        for end in ("src_doc", "dst_doc"):
+            inside = inside.join(held.withColumnRenamed("doc_id", end), end, "left_anti")
+        train = SocialGraph(keep(graph.docs.join(held, "doc_id", "left_anti")), keep(graph.tokens.join(held, "doc_id", "left_anti")), keep(graph.friends.where(fold_f != k)), keep(inside.select(*graph.diffs.columns)))
         other_f = measures.non_links(test_f, people, salt=31 + k).join(graph.friends, ["src", "dst"], "left_anti")
         other_d = negative_links(replace_links(graph, test_d), seed * 100 + k).join(graph.diffs.select("src_doc", "dst_doc"), ["src_doc", "dst_doc"], "left_anti").select(*graph.diffs.columns)
-        out.append(Fold(train, keep(_labelled(test_f, other_f)), keep(_labelled(test_d, other_d))))
+        out.append(Fold(train, keep(_labelled(test_f, other_f)), keep(_labelled(test_d, other_d)), graph.tokens, keep(graph.tokens.join(held, "doc_id", "left_semi"))))
     return out
 
 
@@ -90,18 +97,19 @@ def run_variant(name: str, config: ProfilerConfig, fold: Fold, keep: Keep) -> di
     cfg = variant(config, name)
     got = JointProfiler(cfg, keep).fit(fold.train)
     return {
-        "conductance": mean_conductance(fold.train, got.pi), "friendship_auc": friendship_auc(fold.friends, got.pi), "diffusion_auc": diffusion_auc(fold.diffs, got, fold.train.tokens, cfg),
-        "perplexity": measures.perplexity(fold.train.tokens, got.pi, got.theta, got.phi).first().perplexity, "maf": ranking_maf(fold.train, got.pi, got.theta, got.phi, got.eta)[-1][1],
+        "conductance": mean_conductance(fold.train, got.pi), "friendship_auc": friendship_auc(fold.friends, got.pi), "diffusion_auc": diffusion_auc(fold.diffs, got, fold.tokens, cfg),
+        "perplexity": measures.perplexity(fold.held, got.pi, got.theta, got.phi).first().perplexity, "maf": ranking_maf(fold.train, got.pi, got.theta, got.phi, got.eta)[-1][1],
     }
 
 
-def run_aggregated(detected: Profiles, fold: Fold, config: ProfilerConfig, keep: Keep) -> dict[str, float | None]:
-    """Detect first, then aggregate users' topics and links into profiles: the memberships of a detected model with profiles made by sums."""
-    doc_topics = baselines.hard_topics(detected.assign)
-    theta = keep(baselines.aggregate_content(detected.pi, doc_topics))
-    eta = keep(baselines.aggregate_diffusion(detected.pi, doc_topics, fold.train.diffs))
-    mixed = replace(detected, theta=theta, eta=eta)
-    return {"diffusion_auc": diffusion_auc(fold.diffs, mixed, fold.train.tokens, config), "perplexity": measures.perplexity(fold.train.tokens, detected.pi, theta, detected.phi).first().perplexity, "maf": ranking_maf(fold.train, detected.pi, theta, detected.phi, eta)[-1][1]}
+def run_aggregated(pi: DataFrame, fold: Fold, config: ProfilerConfig, keep: Keep) -> dict[str, float | None]:
+    """Detect first, then aggregate: detected memberships with profiles summed from document mixtures and links."""
+    doc_topics, phi, _ = baselines.topic_mixtures(fold.train, config.topics, 10, keep)
+    theta, eta = keep(baselines.aggregate_content(pi, doc_topics)), keep(baselines.aggregate_diffusion(pi, doc_topics, fold.train.diffs))
+    none = fold.train.docs.limit(0)
+    mixed = Profiles(pi, theta, phi, eta, (0.0,) * 4, none.selectExpr("0 AS z", "tbin", "0D AS pop"), counters.user_features(fold.train.docs, fold.train.friends, fold.train.diffs), doc_topics, [])
+    only = replace(config, factors=("community",))
+    return {"diffusion_auc": diffusion_auc(fold.diffs, mixed, fold.tokens, only), "perplexity": measures.perplexity(fold.held, pi, theta, phi).first().perplexity, "maf": ranking_maf(fold.train, pi, theta, phi, eta)[-1][1]}
 
 
 def run_baseline(name: str, fold: Fold, config: ProfilerConfig, keep: Keep) -> dict[str, float | None]:
@@ -114,11 +122,10 @@ def run_baseline(name: str, fold: Fold, config: ProfilerConfig, keep: Keep) -> d
         got = baselines.UserFeatureLink(fold.train).fit(_labelled(fold.train.diffs, negative))
         return {"diffusion_auc": _auc(got.link_scores(fold.diffs), "score")}
     if name == "RoleBlock":
-        friends_only = JointProfiler(variant(config, "friends_only"), keep).fit(fold.train)
-        got = baselines.RoleBlock().fit(fold.train, friends_only.pi)
+        got = baselines.RoleBlock(config.communities).fit(fold.train, keep)
         pairs = fold.diffs.select(F.col("src_user").alias("src"), F.col("dst_user").alias("dst"), "label")
         return {
-            "conductance": mean_conductance(fold.train, friends_only.pi), "friendship_auc": _auc(got.scores(fold.friends.select("src", "dst").distinct()).join(fold.friends, ["src", "dst"]), "x"),
+            "conductance": mean_conductance(fold.train, got.member), "friendship_auc": _auc(got.scores(fold.friends.select("src", "dst").distinct()).join(fold.friends, ["src", "dst"]), "x"),
             "diffusion_auc": _auc(got.scores(pairs.select("src", "dst").distinct(), "diff").join(pairs, ["src", "dst"]), "x"),
         }
     raise ValueError(f"no such baseline: {name}")

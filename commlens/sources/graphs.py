@@ -18,6 +18,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from commlens import scratch
+
 BLOCK = 1000
 
 
@@ -34,11 +36,37 @@ class SocialGraph:
     def vocab(self) -> DataFrame:
         """(word, word_id, df, cf); ids number the words in order."""
         words = self.tokens.groupBy("word").agg(F.count("*").alias("df"), F.sum("cnt").alias("cf"))
-        return words.withColumn("word_id", F.row_number().over(W.orderBy("word")) - 1)
+        return numbered(words, "word", "word_id")
 
     def cached(self) -> SocialGraph:
         return SocialGraph(*(df.persist() for df in (self.docs, self.tokens, self.friends, self.diffs)))
 
+    def written(self) -> SocialGraph:
+        """The same graph from tables in the shared folder, each derived once."""
+        return SocialGraph(*(scratch.written(df) for df in (self.docs, self.tokens, self.friends, self.diffs)))
+
+
+def numbered(rows: DataFrame, key: str, name: str = "i", parts: int = 64) -> DataFrame:
+    """The rows with their place, from zero, in the order of a column of distinct values. Ranges are sorted side by side and written; a count per
+    range gives the places before it, so no task sees all rows."""
+    order = rows.repartitionByRange(parts, key).withColumn("__part", F.spark_partition_id())
+    order = scratch.written(order.withColumn("__at", F.row_number().over(W.partitionBy("__part").orderBy(key)) - 1))
+    sizes = order.groupBy("__part").agg(F.count("*").alias("n"))
+    before = sizes.select("__part", (F.sum("n").over(W.orderBy("__part")) - F.col("n")).alias("__before"))
+    return order.join(F.broadcast(before), "__part").withColumn(name, (F.col("__before") + F.col("__at")).cast("bigint")).drop("__part", "__at", "__before")
+
+
+_prepared: dict[tuple, SocialGraph] = {}
+
+
+def prepared(spark: SparkSession, sf_dir: str, name: str = "commerce") -> SocialGraph:
+    """A graph of the given tables, derived and written once for all that the session asks of it; derived anew when a table has changed."""
+    tables = {"commerce": ["orders", "lineitem", "part"], "corpus": ["documents"], "web": ["pages"], "activity": ["events"], "dialog": ["conversations"]}[name]
+    key = (spark.sparkContext.applicationId, name, scratch.stamp(spark, [f"{sf_dir}/{t}.parquet" for t in tables]))
+    if key not in _prepared:
+        _prepared[key] = ADAPTERS[name](spark, sf_dir).written()
+    return _prepared[key]
+
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")

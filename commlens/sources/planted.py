@@ -30,6 +30,8 @@ class PlantedConfig:
     interest: float = 0.1
     words: float = 0.05
     loyalty: float = 0.9
+    stars: float = 0.0
+    trends: float = 0.0
     bins: int = 10
     seed: int = 3
 
@@ -52,7 +54,8 @@ def generate(spark: SparkSession, cfg: PlantedConfig = PlantedConfig()) -> Plant
     """A graph, (doc_id, user_id, c, z) truth of documents, (user_id, c) main communities, and the diffusion profile.
 
     A document diffuses documents of the community that its community follows on its topic: with ``loyalty`` the target is drawn there, else anywhere. A friend
-    comes from the same main community with that chance, else from anywhere."""
+    comes from the same main community with that chance, else from anywhere. ``stars``: the chance that a target anywhere is one of a tenth of the users, whom others
+    befriend and diffuse more, and, for the other half of the users, that a document diffuses nothing. ``trends``: the chance that a document's bin is its topic's own."""
     rng = np.random.default_rng(cfg.seed)
     theta = rng.dirichlet(np.full(cfg.topics, cfg.interest), cfg.communities)
     phi = rng.dirichlet(np.full(cfg.vocabulary, cfg.words), cfg.topics)
@@ -69,7 +72,9 @@ def generate(spark: SparkSession, cfg: PlantedConfig = PlantedConfig()) -> Plant
     u = lambda k, *cols: noise(cfg.seed * 1000 + k, *cols)
     docs = ids.join(F.broadcast(users.select("user_id", "upto")), "user_id")
     docs = docs.withColumn("c", F.least(F.size(F.filter("upto", lambda x: x < u(1, F.col("doc_id")))), F.lit(cfg.communities - 1)).cast("int"))
-    docs = docs.withColumn("z", _pick(theta, u(2, F.col("doc_id")), F.col("c"))).withColumn("tbin", F.floor(u(3, F.col("doc_id")) * cfg.bins).cast("int"))
+    docs = docs.withColumn("z", _pick(theta, u(2, F.col("doc_id")), F.col("c")))
+    spread = F.when(u(12, F.col("doc_id")) < cfg.trends, F.pmod(F.col("z") * 3 + F.floor(u(13, F.col("doc_id")) * 2), F.lit(cfg.bins))).otherwise(F.floor(u(3, F.col("doc_id")) * cfg.bins))
+    docs = docs.withColumn("tbin", spread.cast("int"))
     truth = docs.select("doc_id", "user_id", "c", "z", "tbin").persist()
 
     words = truth.select("doc_id", "user_id", "z", F.explode(F.sequence(F.lit(1), F.lit(cfg.words_per_doc))).alias("k"))
@@ -83,17 +88,19 @@ def generate(spark: SparkSession, cfg: PlantedConfig = PlantedConfig()) -> Plant
     tries = places.select(F.col("user_id").alias("src"), "c", F.explode(F.sequence(F.lit(1), F.lit(cfg.friends_per_user // 2))).alias("k"))
     near = tries.where(u(5, F.col("src"), F.col("k")) < cfg.loyalty).withColumn("i", F.floor(u(6, F.col("src"), F.col("k")) * size).cast("int"))
     near = near.join(F.broadcast(numbered), (F.col("c") == F.col("tc")) & (near["i"] == numbered["i"])).select("src", "dst")
-    far = tries.where(u(5, F.col("src"), F.col("k")) >= cfg.loyalty).select("src", F.floor(u(7, F.col("src"), F.col("k")) * cfg.users).cast("bigint").alias("dst"))
+    star = lambda v, key: F.when(u(14, *key) < cfg.stars, F.floor(v / 10) * 10).otherwise(v).cast("bigint")
+    far = tries.where(u(5, F.col("src"), F.col("k")) >= cfg.loyalty).select("src", star(F.floor(u(7, F.col("src"), F.col("k")) * cfg.users), (F.col("src"), F.col("k"))).alias("dst"))
     friends = near.union(far).where("src <> dst").distinct()
 
     target = F.element_at(F.array(*(F.array(*(F.lit(int(x)) for x in row)) for row in follows)), F.col("c") + 1)
-    links = truth.where(u(8, F.col("doc_id")) < cfg.diffs_per_doc).select(F.col("doc_id").alias("src_doc"), F.col("user_id").alias("src_user"), "tbin", "z", F.element_at(target, F.col("z") + 1).alias("tc"))
+    quiet = (u(15, F.col("user_id")) < 0.5) & (u(16, F.col("doc_id")) < cfg.stars)
+    links = truth.where((u(8, F.col("doc_id")) < cfg.diffs_per_doc) & ~quiet).select(F.col("doc_id").alias("src_doc"), F.col("user_id").alias("src_user"), "tbin", "z", F.element_at(target, F.col("z") + 1).alias("tc"))
     pool = truth.selectExpr("c AS tc", "z", "doc_id AS dst_doc", "user_id AS dst_user", "row_number() OVER (PARTITION BY c, z ORDER BY doc_id) - 1 AS i", "count(*) OVER (PARTITION BY c, z) AS n")
     sizes = pool.select("tc", "z", "n").distinct()
     aimed = links.where(u(9, F.col("src_doc")) < cfg.loyalty).join(F.broadcast(sizes), ["tc", "z"]).withColumn("i", F.floor(u(10, F.col("src_doc")) * F.col("n")).cast("int")).drop("n")
     aimed = aimed.join(pool.drop("n"), ["tc", "z", "i"])
-    loose = links.where(u(9, F.col("src_doc")) >= cfg.loyalty).withColumn("dst_doc", F.floor(u(11, F.col("src_doc")) * cfg.users * cfg.docs_per_user).cast("bigint"))
-    loose = loose.withColumn("dst_user", F.floor(F.col("dst_doc") / cfg.docs_per_user).cast("bigint"))
+    loose = links.where(u(9, F.col("src_doc")) >= cfg.loyalty).withColumn("dst_user", star(F.floor(u(11, F.col("src_doc")) * cfg.users), (F.col("src_doc"),)))
+    loose = loose.withColumn("dst_doc", (F.col("dst_user") * cfg.docs_per_user + F.floor(u(17, F.col("src_doc")) * cfg.docs_per_user)).cast("bigint"))
     cols = ["src_doc", "dst_doc", "src_user", "dst_user", "tbin"]
     diffs = aimed.select(*cols).union(loose.select(*cols)).where("src_user <> dst_user").distinct()
     docs = truth.select("doc_id", "user_id", F.timestamp_seconds(F.col("tbin") * 86400).alias("ts"), "tbin", F.lit(cfg.words_per_doc).cast("bigint").alias("n_tok"))

@@ -1,15 +1,21 @@
 """Exact checks of the model's pieces on small graphs."""
 
 import math
+import re
+import time
+from dataclasses import replace
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from commlens import scratch
 from commlens.config import ProfilerConfig
-from commlens.functions import expressions, udfs
+from commlens.functions import expressions, text, udfs
+from commlens.functions.augmentation import KeyedRandom
 from commlens.operators import counters, factors, measures, partition, ranking, sampling
-from commlens.plans.profiler import JointProfiler, log_joint_terms, variant
+from commlens.plans import baselines, kernel, study
+from commlens.plans.profiler import JointProfiler, log_joint_terms, negative_links, variant
 from commlens.sources.graphs import SocialGraph
 from commlens.sources.planted import PlantedConfig, generate
 
@@ -45,7 +51,7 @@ def test_counts_are_conserved(tiny, assign):
     n = lambda df: df.agg(F.sum("n")).first()[0]
     assert n(counters.user_community(assign)) == n(counters.community_topic(assign)) == n(counters.topic_time(assign, tiny.docs)) == 12
     assert n(counters.topic_word(assign, tiny.tokens)) == tiny.tokens.agg(F.sum("cnt")).first()[0]
-    for df, of in ((counters.smoothed_membership(assign, 2, 25.0), "user_id"), (counters.smoothed_topics(assign, 2, 2, 25.0), "c"), (counters.smoothed_words(assign, tiny.tokens, tiny.vocab(), 0.1), "z"), (counters.eta(tiny.diffs, assign), "c")):
+    for df, of in ((counters.smoothed_membership(counters.user_community(assign), 2, 25.0), "user_id"), (counters.smoothed_topics(counters.community_topic(assign), 2, 2, 25.0), "c"), (counters.smoothed_words(counters.topic_word(assign, tiny.tokens), tiny.vocab(), 0.1), "z"), (counters.eta(tiny.diffs, assign), "c")):
         assert all(abs(r.s - 1) < 1e-9 for r in df.groupBy(of).agg(F.sum("p").alias("s")).collect())
 
 
@@ -99,10 +105,14 @@ def test_link_terms_match_a_walk_over_links(tiny, assign):
     pop, feat = counters.popularity(counters.topic_time(assign, tiny.docs), "share"), counters.user_features(tiny.docs, tiny.friends, tiny.diffs)
     nu = (0.1, 0.2, 0.3, -0.1)
     scored = factors.diffusion_scores(factors.link_topics(tiny.diffs, assign), pi, tensor, pop, feat, nu)
-    got = {(r.doc_id, r.c): r.term for r in sampling.community_link_scores(scored, assign, pi, tensor, 2).collect()}
-    g = np.zeros((2, 2, 2))
-    for r in tensor.collect():
-        g[r.z, r.c, r.c2] = r.g
+    g = sampling.sent(tensor, (2, 2, 2), ["z", "c", "c2"], "g")
+    arrays = sampling.community_link_arrays(tiny.diffs, assign, pi, g, sampling.sent(pop, (2, 3), ["z", "tbin"], "pop"), feat, nu, ("community", "topic", "individual"))
+    got = {(r.doc_id, c): v for r in arrays.collect() for c, v in enumerate(r.term)}
+    wide = {r.doc_id: r.term for r in sampling.wide_community_link_arrays(scored, assign, pi, tensor, 2, factors.augmentation_means).collect()}
+    assert all(abs((wide[i][1] - wide[i][0]) - (got[i, 1] - got[i, 0])) < 1e-9 for i in wide) and len(wide) * 2 == len(got)
+    narrow = {r.doc_id: r.term for r in sampling.topic_link_arrays(tiny.diffs, assign, pi, g, sampling.sent(pop, (2, 3), ["z", "tbin"], "pop"), feat, nu, ("community", "topic", "individual")).collect()}
+    joined = {r.doc_id: r.term for r in sampling.wide_topic_link_arrays(tiny.diffs, assign, pi, tensor, pop, feat, nu, 2, ("community", "topic", "individual"), factors.augmentation_means).collect()}
+    assert narrow.keys() == joined.keys() and all(np.allclose(narrow[i], joined[i]) for i in narrow)
     pi0 = memberships(assign)
     for r in assign.collect():
         direct, seen = [0.0, 0.0], False
@@ -124,14 +134,14 @@ def test_augmentation_identities(spark):
     got = spark.createDataFrame([(b,) for b in grid], "b double").select(expressions.pg_mean(F.col("b")).alias("m")).collect()
     for b, r in zip(grid, got, strict=True):
         assert abs(r.m - (0.25 if b == 0 else math.tanh(b / 2) / (2 * b))) < 1e-12
-    rng = np.random.default_rng(1)
     for b in grid:
         variance = 1 / 24 if b == 0 else (math.sinh(b) - b) / (4 * b**3 * math.cosh(b / 2) ** 2)
         mean = 0.25 if b == 0 else math.tanh(b / 2) / (2 * b)
         for draw in (udfs.pg_exact, udfs.pg_series):
-            x = draw(np.full(20_000, b), rng)
+            x = draw(np.full(20_000, b), KeyedRandom(np.arange(20_000), 1))
             assert abs(x.mean() - mean) < 5 * math.sqrt(variance / len(x)) and abs(x.var() - variance) < 0.12 * variance
-    x = udfs.pg_exact(np.zeros(40_000), rng)
+    x = udfs.pg_exact(np.zeros(40_000), KeyedRandom(np.arange(40_000), 2))
+    assert np.allclose(x[5_000:5_010], udfs.pg_exact(np.zeros(10), KeyedRandom(np.arange(5_000, 5_010), 2)))
     for w in (-1.0, 0.5, 2.0):
         assert abs(0.5 * np.exp((w - x * w * w) / 2).mean() - 1 / (1 + math.exp(-w))) < 0.01
 
@@ -201,12 +211,150 @@ def test_blocked_sweeps_climb(spark, keep):
     assert got.trace[1] > got.trace[0] and got.assign.count() == 360
 
 
-def test_full_sweep_runs(spark, tiny, keep):
-    got = JointProfiler(ProfilerConfig(communities=2, topics=2, sweeps=1, blocks=1, nu_steps=2), keep).fit(tiny)
-    assert got.assign.count() == 12 and all(math.isfinite(w) for w in got.nu) and got.eta.count() > 0
+def test_full_sweep_runs(spark, tiny):
+    """With means, draws and the other ways; draws move the assignment, and the same seed gives the same again."""
+    cfg = ProfilerConfig(communities=2, topics=2, sweeps=2, blocks=1, nu_steps=2, alpha=0.5, rho=0.5)
+    got = {}
+    for name, change in (("mean", {}), ("exact", {"pg": "exact"}), ("again", {"pg": "exact"}), ("averaged", {"burnin": 0, "nu_fit": "glr"}), ("homogeneous", {"diffusion_kind": "similarity"})):
+        got[name] = JointProfiler(replace(cfg, **change)).fit(tiny)
+        assert got[name].assign.count() == 12 and all(math.isfinite(w) for w in got[name].nu) and got[name].eta.count() > 0 and all(math.isfinite(x) for x in got[name].trace)
+    rows = {k: sorted(map(tuple, v.assign.collect())) for k, v in got.items()}
+    assert rows["exact"] == rows["again"] and got["exact"].trace == pytest.approx(got["again"].trace)
+    assert rows["mean"] != rows["exact"] or got["mean"].nu != got["exact"].nu
+    uc = {(r.user_id, r.c): r.p for r in got["averaged"].pi.collect()}
+    assert all(abs(sum(uc[u, c] for c in range(2)) - 1) < 1e-9 for u in range(6))
+
+
+def test_communities_from_links_alone(spark, tiny):
+    """Other words change neither the first stage of the two-stage variant nor the role blocks."""
+    other = replace(tiny, tokens=tiny.tokens.withColumn("word", F.lit("same")).groupBy("doc_id", "user_id", "word").agg(F.sum("cnt").alias("cnt")))
+    cfg = variant(ProfilerConfig(communities=2, topics=2, sweeps=2, blocks=1), "links_only")
+    a, b = (sorted((r.doc_id, r.c) for r in JointProfiler(cfg).fit(g).assign.collect()) for g in (tiny, other))
+    assert a == b
+    a, b = (sorted((r.user_id, r.b, round(r.p, 9)) for r in baselines.RoleBlock(2, 2, 3).fit(g, scratch.written).block.collect()) for g in (tiny, other))
+    assert a == b
+
+
+def test_kernel_scores_are_ratios_of_the_joint(tiny):
+    """Differences of candidate scores equal differences of the log joint given the augmentation variables, tensor and popularity, all written out."""
+    g = study.collect_graph(tiny)
+    cfg = ProfilerConfig(communities=3, topics=2, alpha=0.4, rho=0.3, pg="exact", seed=5)
+    m = kernel.SerialSampler(g, cfg)
+    m.refresh()
+    m.nu = np.array([0.1, 0.2, -0.1, 0.3])
+    m.attach(0)
+    k, s = m.kernel, m.kernel.s
+
+    def joint(c, z, links_of=None):
+        uc, ct, tw = np.zeros((g.n_users, 3)), np.zeros((3, 2)), np.zeros((2, g.n_words))
+        np.add.at(uc, (g.user, c), 1)
+        np.add.at(ct, (c, z), 1)
+        for i in range(len(z)):
+            tw[z[i], g.words[i]] += g.counts[i]
+        lg = lambda x: np.vectorize(math.lgamma)(x)
+        part = lambda n, a: (lg(n + a) - math.lgamma(a)).sum() - (lg(n.sum(axis=1) + a * n.shape[1]) - math.lgamma(a * n.shape[1])).sum()
+        total = part(uc, 0.3) + part(ct, 0.4) + part(tw, cfg.beta)
+        pi = uc / uc.sum(axis=1, keepdims=True)
+        n = len(m.links)
+        lam = {}
+        for u, (v, aug) in s.friends.items():
+            for x, y in zip(v, aug, strict=True):
+                lam[u, int(x)] = y
+        total += sum(kernel.log_factor(pi[a] @ pi[b], lam[a, b]) for a, b in m.links.tolist()) if n else 0.0
+        own = m.design(g.user[g.diffs[:, 0]], g.user[g.diffs[:, 1]]) @ m.nu
+        for e, (i, j) in enumerate(g.diffs.tolist()):
+            aug = s.ends[i].aug[np.flatnonzero((s.ends[i].other == g.user[j]) & s.ends[i].source)[0]]
+            topic = z[j] if links_of == j else z[i]
+            y = pi[g.user[i]] @ s.tensor[topic] @ pi[g.user[j]] + s.pop[topic, g.tbin[i]] + own[e]
+            total += kernel.log_factor(y, aug)
+        return total
+
+    linked = set(g.diffs.ravel().tolist())
+    for i in sorted(linked):
+        s.ct[k.c[i], k.z[i]] -= 1
+        s.tw[k.z[i], k.words[i]] -= k.counts[i]
+        s.nz[k.z[i]] -= k.size[i]
+        got = k.topic_scores(i)
+        s.tw[k.z[i], k.words[i]] += k.counts[i]
+        s.nz[k.z[i]] += k.size[i]
+        if not (g.diffs[:, 1] == i).any():
+            want = [joint(k.c, np.where(np.arange(len(k.z)) == i, z, k.z)) for z in range(2)]
+            assert got[1] - got[0] == pytest.approx(want[1] - want[0], abs=1e-9)
+        s.uc[g.user[i], k.c[i]] -= 1
+        got = k.community_scores(i)
+        want = [joint(np.where(np.arange(len(k.c)) == i, c, k.c), k.z) for c in range(3)]
+        assert got - got[0] == pytest.approx(np.array(want) - want[0], abs=1e-9)
+        s.uc[g.user[i], k.c[i]] += 1
+        s.ct[k.c[i], k.z[i]] += 1
+
+
+def test_mixtures_against_arrays(spark, tiny):
+    """Steps of the DataFrame mixtures and of the arrays of a study agree, with links and without."""
+    theta, phi = baselines.first_mixtures(tiny.docs, tiny.tokens, 2)
+    rate = spark.createDataFrame([(0, 1.0), (1, 1.0)], "z int, rate double")
+    t0 = {(r.doc_id, r.z): r.p for r in theta.collect()}
+    p0 = {(r.z, r.word): r.p for r in phi.collect()}
+    for links in (False, True):
+        n = {k: 0.0 for k in t0}
+        for r in tiny.tokens.collect():
+            h = [t0[r.doc_id, z] * p0[z, r.word] for z in range(2)]
+            for z in range(2):
+                n[r.doc_id, z] += r.cnt * h[z] / sum(h)
+        for r in tiny.diffs.collect() if links else ():
+            h = [t0[r.src_doc, z] * t0[r.dst_doc, z] for z in range(2)]
+            for z in range(2):
+                n[r.src_doc, z] += h[z] / sum(h)
+                n[r.dst_doc, z] += h[z] / sum(h)
+        got = baselines.mixture_step(tiny.tokens, theta, phi, 2, 0.1, 0.1, 5, tiny.diffs if links else None, rate if links else None)[0]
+        for r in got.collect():
+            assert r.p == pytest.approx((n[r.doc_id, r.z] + 0.1) / (n[r.doc_id, 0] + n[r.doc_id, 1] + 0.2), abs=1e-6)
+
+
+def test_non_links_are_as_many_as_links(spark, tiny):
+    pairs = negative_links(tiny, 3)
+    assert pairs.count() == tiny.diffs.count() and pairs.where("src_user = dst_user").count() == 0
+    assert pairs.join(tiny.diffs, ["src_doc", "dst_doc"]).count() == 0 and pairs.select("src_doc", "dst_doc").distinct().count() == 5
+
+
+def test_variants():
     assert variant(ProfilerConfig(), "no_topic").factors == ("community", "individual")
 
 
+def test_rows_are_never_exchanged_by_document_and_candidate(spark, tiny, assign):
+    pi = counters.empirical_membership(assign)
+    plans = [sampling.topic_text_scores(assign, tiny.tokens, tiny.docs, 2, 2, 1.0, 0.1, 5), sampling.community_text_scores(assign, 2, 2, 1.0, 1.0), sampling.community_friend_scores(assign, tiny.friends, pi, 2)]
+    for df in plans:
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert not re.search(r"hashpartitioning\(doc_id#\d+L, (z|c)#", plan) and "CartesianProduct" not in plan
+
+
+def test_query_of_many_words_keeps_its_order(spark):
+    phi = spark.createDataFrame([(z, f"w{i}", 1e-5 * (1 + z)) for z in range(2) for i in range(200)], "z int, word string, p double")
+    queries = spark.createDataFrame([("long", f"w{i}") for i in range(200)] + [("one", "w1"), ("long", "unknown")], "q_id string, word string")
+    reached = spark.createDataFrame([(0, 0, 1.0), (1, 1, 1.0)], "c int, z int, r double")
+    got = {(r.q_id, r.c): (r.rank, r.score) for r in ranking.rank_communities(queries, phi, reached).collect()}
+    assert got["long", 1][0] == got["one", 1][0] == 1 and got["long", 1][1] > 0
+
+
+def test_preprocessing(spark):
+    rows = [(1, 1, "The networks were quickly ROUTING beautiful #Spark stories, stopped"), (2, 1, "only the"), (3, 2, None), (4, 2, "")]
+    got = text.preprocessed(spark.createDataFrame(rows, "doc_id bigint, user_id bigint, text string")).collect()
+    assert [(r.doc_id, r.words) for r in got] == [(1, ["network", "rout", "#spark", "story", "stop"])]
+
+
+def test_prepared_graph_follows_its_tables(spark, tmp_path):
+    from commlens.sources import graphs
+
+    def put(n):
+        spark.createDataFrame([(i, i % 2, r, "some words here") for i in range(n) for r in ("user",)], "conv_id bigint, turn bigint, role string, text string").coalesce(1).write.mode("overwrite").parquet(f"{tmp_path}/conversations.parquet")
+
+    put(3)
+    assert graphs.prepared(spark, str(tmp_path), "dialog").docs.count() == 3 and graphs.prepared(spark, str(tmp_path), "dialog") is graphs.prepared(spark, str(tmp_path), "dialog")
+    time.sleep(1.1)
+    put(5)
+    assert graphs.prepared(spark, str(tmp_path), "dialog").docs.count() == 5
+
+
 def test_large_groups_keep_all_pairs(spark):
     """Groups of any size give every ordered pair once, in one block or dealt over many."""
     from itertools import permutations

@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from commlens.config import ProfilerConfig
 from commlens.operators import measures
-from commlens.plans import segmented
+from commlens.plans import segmented, study
 from commlens.sources.graphs import SocialGraph
 from commlens.sources.planted import PlantedConfig, generate
 from commlens.streaming import events as st
@@ -24,16 +24,16 @@ def planted(spark, tmp_path_factory):
 def test_segmented_sampler_finds_planted_topics(planted, chunk):
     p, graph = planted
     cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=8, seed=3)
-    got = segmented.fit(graph, cfg, lambda df: df.checkpoint(), chunk)
-    assert got.count() == 1200
+    got, nu, _ = segmented.fit(graph, cfg, lambda df: df.checkpoint(), chunk)
+    assert got.count() == 1200 and any(nu)
     both = got.select("doc_id", F.col("z").alias("z1"), F.col("c").alias("c1")).join(p.truth, "doc_id")
     assert measures.mutual_information(both, "z1", "z").first().nmi > 0.7
 
 
 def test_segmented_sweep_is_repeatable(planted):
     _, graph = planted
-    cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=1, seed=3, use_friends=False)
-    a, b = (sorted(map(tuple, segmented.fit(graph, cfg, lambda df: df.checkpoint(), 300).collect())) for _ in range(2))
+    cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=1, seed=3, pg="exact")
+    a, b = (sorted(map(tuple, segmented.fit(graph, cfg, lambda df: df.checkpoint(), 300)[0].collect())) for _ in range(2))
     assert a == b
 
 
@@ -44,7 +44,28 @@ def test_outer_join_stream_keeps_matches(spark):
 
 
 def test_scores_reach_the_sink(spark):
+    """The streamed scores are those of the same pairs in a batch, and lie between zero and one."""
+    from commlens.contract.engine import _profiles
+
     seen = []
-    weights = spark.range(8).select(F.col("id").cast("int").alias("z"), F.lit(0.5).alias("w"))
-    st.score_to(st.event_stream(spark, SF), weights, lambda df, i: seen.append(df.count()))
-    assert sum(seen) == st.event_batch(spark, SF).count()
+    profiles, nu = _profiles(spark, SF), (0.1, 0.2, 0.1, 0.3)
+    st.score_to(st.candidate_pairs(st.event_stream(spark, SF)), profiles, nu, lambda df, i: seen.extend(df.collect()))
+    want = st.scored(st.candidate_pairs(st.event_batch(spark, SF)), profiles, nu).collect()
+    assert sorted(map(tuple, seen)) == sorted(map(tuple, want)) and len(seen) > 10 and all(0 < r.p < 1 for r in seen)
+
+
+def test_workers_load_is_reported(planted):
+    _, graph = planted
+    cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=1, seed=3)
+    unit = segmented.calibrated(graph, cfg, (0.5, 1.0))
+    assert all(x >= 0 for x in unit) and sum(unit) > 0
+    _, _, report = segmented.fit(graph, cfg, workers=2, unit=unit)
+    rows = report.collect()
+    assert {r.worker for r in rows} == {0, 1} and all(r.load > 0 and r.seconds > 0 for r in rows)
+
+
+def test_study_runs_all_methods(planted):
+    _, graph = planted
+    got = study.run(graph, ProfilerConfig(communities=3, topics=4, sweeps=2, alpha=0.5, rho=0.5), folds=4, only=2, top=1, most=2)
+    rows = study.table(got)
+    assert {r["method"] for r in rows} == set(study.METHODS) and {r["measure"] for r in rows} >= {"conductance", "friendship_auc", "diffusion_auc", "perplexity", "maf1"}
