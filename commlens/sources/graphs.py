@@ -46,9 +46,10 @@ class SocialGraph:
         return SocialGraph(*(scratch.written(df) for df in (self.docs, self.tokens, self.friends, self.diffs)))
 
 
-def numbered(rows: DataFrame, key: str, name: str = "i", parts: int = 64) -> DataFrame:
+def numbered(rows: DataFrame, key: str, name: str = "i") -> DataFrame:
     """The rows with their place, from zero, in the order of a column of distinct values. Ranges are sorted side by side and written; a count per
     range gives the places before it, so no task sees all rows."""
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     order = rows.repartitionByRange(parts, key).withColumn("__part", F.spark_partition_id())
     order = scratch.written(order.withColumn("__at", F.row_number().over(W.partitionBy("__part").orderBy(key)) - 1))
     sizes = order.groupBy("__part").agg(F.count("*").alias("n"))
