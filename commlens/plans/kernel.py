@@ -19,13 +19,16 @@ from commlens.functions.augmentation import KeyedRandom, pg_exact, pg_mean_of, p
 
 @dataclass
 class Ends:
-    """Link ends of one document: the other end's user (a row of memberships), its side, time bin, individual score and augmentation variable."""
+    """Link ends of one document: the other end's user (a row of memberships), whether the document is the link's source, time bin, individual score and
+    augmentation variable; of links it is the target of, also the source's topic, and its place where it is among the documents at hand, else -1."""
 
     other: np.ndarray
     source: np.ndarray
     tbin: np.ndarray
     own: np.ndarray
     aug: np.ndarray
+    topic: np.ndarray
+    doc: np.ndarray
 
 
 @dataclass
@@ -74,24 +77,30 @@ class Kernel:
             out = out + s.terms[i][0]
         return out
 
-    def _weighted(self, e: Ends, z: int | None = None) -> np.ndarray:
-        """([topics,] ends, communities): the community factor of each end were its own user wholly in a community."""
-        g = self.s.tensor if z is None else self.s.tensor[z : z + 1]
+    def topics_of(self, i: int, e: Ends) -> np.ndarray:
+        """The topics that the links carry: those of their sources."""
+        return np.where(e.source, self.z[i], np.where(e.doc >= 0, self.z[e.doc], e.topic))
+
+    def _weighted(self, e: Ends, z: np.ndarray | None = None) -> np.ndarray:
+        """([topics,] ends, communities): the community factor of each end were its own user wholly in a community, at all topics or at one of each end."""
         p = self.s.pi[e.other]
+        if z is not None:
+            g = self.s.tensor[z]
+            return np.where(e.source[:, None], (g @ p[:, :, None])[:, :, 0], (g.transpose(0, 2, 1) @ p[:, :, None])[:, :, 0])
+        g = self.s.tensor
         got = np.empty((len(g), len(p), g.shape[1]))
         for side, h in ((e.source, g), (~e.source, g.transpose(0, 2, 1))):
             if side.any():
                 got[:, side] = (h @ p[side].T).transpose(0, 2, 1)
-        return got if z is None else got[0]
+        return got
 
-    def _link_scores(self, i: int, e: Ends, z: int | None = None) -> np.ndarray:
+    def _link_scores(self, i: int, e: Ends, z: np.ndarray | None = None) -> np.ndarray:
         """([topics,] ends): the sum of the factors in use."""
-        at = slice(None) if z is None else z
-        x = np.zeros((len(self.s.tensor), len(e.other)))[at]
+        x = np.zeros((len(self.s.tensor), len(e.other)) if z is None else len(e.other))
         if "community" in self.cfg.factors:
             x = x + self._weighted(e, z) @ self.s.pi[self.user[i]]
         if "topic" in self.cfg.factors:
-            x = x + self.s.pop[at][..., e.tbin]
+            x = x + (self.s.pop[:, e.tbin] if z is None else self.s.pop[z, e.tbin])
         if "individual" in self.cfg.factors:
             x = x + e.own
         return x
@@ -113,8 +122,9 @@ class Kernel:
             out = out + s1 / (2 * total) - (q @ mine / total**2 + np.diag(q) / (2 * total**2))
         if self.profile and "community" in cfg.factors and i in s.ends:
             e = s.ends[i]
-            g = self._weighted(e, z)
-            x = self._link_scores(i, e, z)[:, None] + (g - g[:, self.c[i], None]) / total
+            topics = self.topics_of(i, e)
+            g = self._weighted(e, topics)
+            x = self._link_scores(i, e, topics)[:, None] + (g - g[:, self.c[i], None]) / total
             out = out + log_factor(x, e.aug[:, None]).sum(axis=0)
         if i in s.terms:
             out = out + s.terms[i][1]
@@ -264,7 +274,8 @@ class SerialSampler:
             tbin, twice = np.tile(g.tbin[g.diffs[:, 0]], 2), np.arange(2 * len(g.diffs)) % len(g.diffs)
             order = np.argsort(doc, kind="stable")
             for part in np.split(order, np.flatnonzero(np.diff(doc[order])) + 1):
-                s.ends[int(doc[part[0]])] = Ends(other[part], source[part], tbin[part], own[twice[part]], delta[twice[part]])
+                at = g.diffs[twice[part], 0]
+                s.ends[int(doc[part[0]])] = Ends(other[part], source[part], tbin[part], own[twice[part]], delta[twice[part]], self.kernel.z[at], at)
 
     def fit_nu(self) -> None:
         """Weights of the individual factor by gradient steps on links and as many pairs that are none."""

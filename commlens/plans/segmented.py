@@ -40,13 +40,13 @@ def segments_of(graph: SocialGraph, topics: int, checkpoint: Callable[[DataFrame
 
 
 def _ends(graph: SocialGraph, assign: DataFrame, pi: DataFrame, parts: tuple, features: DataFrame, nu: tuple[float, ...], cfg: ProfilerConfig, augment: Callable) -> DataFrame:
-    """(doc_id, other, source, tbin, own, aug, m): both ends of every diffusion link, with the other user's memberships."""
+    """(doc_id, other, source, tbin, own, aug, topic, src, m): both ends of every diffusion link, with its source and topic and the other user's memberships."""
     scored = augment(factors.diffusion_scores(factors.link_topics(graph.diffs, assign, cfg.link_topic), *parts, features, nu, cfg.factors, cells=cfg.communities**2 * cfg.topics), "y", "aug")
-    rows = factors.with_features(scored.select("src_doc", "dst_doc", "src_user", "dst_user", "tbin", "aug"), features)
-    rows = rows.select("src_doc", "dst_doc", "src_user", "dst_user", "tbin", "aug", factors.individual_score(nu).alias("own"))
+    rows = factors.with_features(scored.select("src_doc", "dst_doc", "src_user", "dst_user", "tbin", "z", "aug"), features)
+    rows = rows.select("src_doc", "dst_doc", "src_user", "dst_user", "tbin", F.col("z").cast("int").alias("topic"), "aug", factors.individual_score(nu).alias("own"))
     member = pi.groupBy("user_id").agg(F.collect_list(F.struct(F.col("c").cast("int").alias("c"), "p")).alias("m")).withColumnRenamed("user_id", "other")
-    out = rows.select(F.col("src_doc").alias("doc_id"), F.col("dst_user").alias("other"), F.lit(True).alias("source"), "tbin", "own", "aug")
-    back = rows.select(F.col("dst_doc").alias("doc_id"), F.col("src_user").alias("other"), F.lit(False).alias("source"), "tbin", "own", "aug")
+    out = rows.select(F.col("src_doc").alias("doc_id"), F.col("dst_user").alias("other"), F.lit(True).alias("source"), "tbin", "own", "aug", "topic", F.col("src_doc").alias("src"))
+    back = rows.select(F.col("dst_doc").alias("doc_id"), F.col("src_user").alias("other"), F.lit(False).alias("source"), "tbin", "own", "aug", "topic", F.col("src_doc").alias("src"))
     return out.union(back).join(member, "other")
 
 
@@ -81,16 +81,16 @@ def sweep(graph: SocialGraph, assign: DataFrame, cfg: ProfilerConfig, number: in
         ends = _ends(graph, assign, parts[0], parts, features, nu, cfg, augment)
         count = ends.groupBy("doc_id").agg(F.count("*").alias("n_ends"))
         hubs = scratch.written(count.where(F.col("n_ends") > HUB_ENDS).select("doc_id"))
-        lists = ends.join(F.broadcast(hubs) if hubs.count() <= 1_000_000 else hubs, "doc_id", "left_anti").groupBy("doc_id").agg(F.collect_list(F.struct("other", "source", F.col("tbin").cast("int").alias("tbin"), "own", "aug", "m")).alias("ends"))
+        lists = ends.join(F.broadcast(hubs) if hubs.count() <= 1_000_000 else hubs, "doc_id", "left_anti").groupBy("doc_id").agg(F.collect_list(F.struct("other", "source", F.col("tbin").cast("int").alias("tbin"), "own", "aug", "topic", "src", "m")).alias("ends"))
         rows = rows.join(lists, "doc_id", "left")
         some = graph.diffs.join(hubs.withColumnRenamed("doc_id", "src_doc").withColumn("h", F.lit(1)), "src_doc", "left").join(hubs.withColumnRenamed("doc_id", "dst_doc").withColumn("k", F.lit(1)), "dst_doc", "left").where("h = 1 or k = 1").select(*graph.diffs.columns)
         args = (some, assign, parts[0], *flat, features, nu, cfg.factors, cfg.link_topic, cfg.pg, cfg.seed * 7919 + number)
         terms = sampling.topic_link_arrays(*args).withColumnRenamed("term", "t_topic").join(sampling.community_link_arrays(*args).withColumnRenamed("term", "t_comm"), "doc_id").join(hubs, "doc_id")
         rows = rows.join(terms, "doc_id", "left")
     else:
-        rows = rows.select("*", none("ends", "array<struct<other:bigint,source:boolean,tbin:int,own:double,aug:double,m:array<struct<c:int,p:double>>>>"), none("t_topic", "array<double>"), none("t_comm", "array<double>"))
-    held = graph.tokens.select("doc_id", "word").join(rows.select("doc_id", "seg", "chunk"), "doc_id").select("seg", "chunk", "word").distinct()
-    words = held.join(sampling.dense(tw, ["word"], "z", "n", Z, "n"), "word")
+        rows = rows.select("*", none("ends", "array<struct<other:bigint,source:boolean,tbin:int,own:double,aug:double,topic:int,src:bigint,m:array<struct<c:int,p:double>>>>"), none("t_topic", "array<double>"), none("t_comm", "array<double>"))
+    held = graph.tokens.select("user_id", "word").join(chunks, "user_id").select("seg", "chunk", "word").distinct()
+    words = scratch.written(held.join(sampling.dense(tw, ["word"], "z", "n", Z, "n"), "word").select("seg", "chunk", "word", "n"))
 
     def run(docs: pd.DataFrame, counts: pd.DataFrame) -> pd.DataFrame:
         began = time.process_time()
@@ -102,6 +102,7 @@ def sweep(graph: SocialGraph, assign: DataFrame, cfg: ProfilerConfig, number: in
         uc = np.zeros((len(users), C))
         np.add.at(uc, (user, docs["c"].to_numpy()), 1)
         place = {u: i for i, u in enumerate(users.tolist())}
+        spot = {d: i for i, d in enumerate(docs["doc_id"].tolist())}
         pi = [*(uc / uc.sum(axis=1, keepdims=True))]
         state = State(local, nz.copy(), ct.copy(), uc, np.zeros((0, C)), tensor, pop, n_words)
         for i, (u, s1, q, ends, t_topic, t_comm) in enumerate(zip(user.tolist(), docs["s1"], docs["q"], docs["ends"], docs["t_topic"], docs["t_comm"], strict=True)):
@@ -118,7 +119,7 @@ def sweep(graph: SocialGraph, assign: DataFrame, cfg: ProfilerConfig, number: in
                         place[e["other"]] = len(pi)
                         pi.append(row)
                 got = lambda k, kind: np.array([e[k] for e in ends], dtype=kind)  # noqa: B023, E731
-                state.ends[i] = Ends(np.array([place[e["other"]] for e in ends]), got("source", bool), got("tbin", int), got("own", float), got("aug", float))
+                state.ends[i] = Ends(np.array([place[e["other"]] for e in ends]), got("source", bool), got("tbin", int), got("own", float), got("aug", float), got("topic", int), np.array([spot.get(e["src"], -1) for e in ends]))
         state.pi = np.array(pi)
         bags = [(np.array([index[w] for w in ws], dtype=int), np.asarray(ks, dtype=float)) for ws, ks in zip(docs["words"], docs["cnts"], strict=True)]
         kernel = Kernel(cfg, state, user, docs["c"].to_numpy(), docs["z"].to_numpy(), [w for w, _ in bags], [k for _, k in bags])
