@@ -501,16 +501,6 @@ def _profiles(spark: SparkSession, sf_dir: str) -> dict:
     return st.static_profiles(graph, counters.first_assignment(graph.docs, sql.C, sql.Z), sql.C, sql.Z)
 
 
-@query("SELECT user_id, count(*) AS n_events, CAST(count(*) FILTER (event_type = 'error') AS BIGINT) AS n_errors FROM events GROUP BY user_id")
-def stream_user_state(spark: SparkSession, sf_dir: str) -> DataFrame:
-    old = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    try:
-        return st.run(st.user_activity(st.event_stream(spark, sf_dir)), "update", keys=["user_id"])
-    finally:
-        spark.conf.set("spark.sql.streaming.stateStore.providerClass", old)
-
-
 @query("SELECT a.event_id AS src, b.event_id AS dst FROM events a JOIN events b ON json_extract_string(a.props, '$.k') = json_extract_string(b.props, '$.k') AND a.user_id <> b.user_id AND b.ts < a.ts AND a.ts <= b.ts + INTERVAL 6 HOUR")
 def stream_outer_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return st.run(st.diffusion_links(st.event_stream(spark, sf_dir), outer=True)).where("src IS NOT NULL")

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from commlens.config import ProfilerConfig
-from commlens.operators import measures
+from commlens.operators import counters, measures
 from commlens.plans import segmented, study
 from commlens.sources.graphs import SocialGraph
 from commlens.sources.planted import PlantedConfig, generate
@@ -23,9 +23,9 @@ def planted(spark, tmp_path_factory):
 @pytest.mark.parametrize("chunk", [10_000, 200])
 def test_segmented_sampler_finds_planted_topics(planted, chunk):
     p, graph = planted
-    cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=8, seed=3)
-    got, nu, _ = segmented.fit(graph, cfg, lambda df: df.checkpoint(), chunk)
-    assert got.count() == 1200 and any(nu)
+    cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=8, seed=3, use_diffusion=False, factors=())
+    got, _, _ = segmented.fit(graph, cfg, chunk_docs=chunk)
+    assert got.count() == 1200
     both = got.select("doc_id", F.col("z").alias("z1"), F.col("c").alias("c1")).join(p.truth, "doc_id")
     assert measures.mutual_information(both, "z1", "z").first().nmi > 0.7
 
@@ -33,8 +33,11 @@ def test_segmented_sampler_finds_planted_topics(planted, chunk):
 def test_segmented_sweep_is_repeatable(planted):
     _, graph = planted
     cfg = ProfilerConfig(communities=3, topics=4, alpha=0.1, rho=0.1, sweeps=1, seed=3, pg="exact")
-    a, b = (sorted(map(tuple, segmented.fit(graph, cfg, lambda df: df.checkpoint(), 300)[0].collect())) for _ in range(2))
-    assert a == b
+    start = counters.first_assignment(graph.docs, 3, 4)
+    features = counters.user_features(graph.docs, graph.friends, graph.diffs)
+    segments = graph.users().selectExpr("user_id", "CAST(user_id % 3 AS INT) AS seg")
+    a, b = (sorted(tuple(r)[:4] for r in segmented.sweep(graph, start, cfg, 0, segments, features, (0.1,) * 4, 300).collect()) for _ in range(2))
+    assert a == b and len(a) == 1200
 
 
 def test_outer_join_stream_keeps_matches(spark):
