@@ -178,7 +178,7 @@ def _preprocess_sql() -> str:
     word = "w"
     for pattern, by in text.ENDINGS[:-1]:
         word = f"regexp_replace({word}, '{pattern}', '{by.replace('$1', chr(92) + '1')}')"
-    return f"""SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, CASE WHEN w LIKE '#%' THEN w WHEN regexp_matches(s, '{text.ENDINGS[-1][0]}') THEN left(s, length(s) - 1) ELSE s END AS term
+    return rf"""SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, CASE WHEN w LIKE '#%' THEN w WHEN regexp_matches(s, '{text.ENDINGS[-1][0]}') THEN left(s, length(s) - 1) ELSE s END AS term
  FROM (SELECT doc_id, w, {word} AS s FROM (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '{text.WORD}')) AS w FROM documents)
  WHERE w LIKE '#%' OR NOT (w IN ({stop}) OR regexp_matches(w, '{text.OTHER_KINDS}') OR regexp_matches(w, '^[\p{{N}}_]+$'))))
  WHERE doc_id IN (SELECT doc_id FROM (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '{text.WORD}')) AS w FROM documents) WHERE w LIKE '#%' OR NOT (w IN ({stop}) OR regexp_matches(w, '{text.OTHER_KINDS}') OR regexp_matches(w, '^[\p{{N}}_]+$')) GROUP BY doc_id HAVING count(*) >= 2) GROUP BY ALL"""
