@@ -18,12 +18,14 @@ are joined to the least of them. (This holds for RADIUS 2, the only one offered.
 
 Exact copies share a fingerprint and count once from the start.
 
-``keep_one_of_each`` does not use fingerprints: two texts are near copies if the sets of their five-word shingles (64-bit hashes)
-have a Jaccard similarity of 0.8 or more. All such pairs are found: in any one order of all shingles, two such sets share one of
-their first n // 5 + 1. The order puts shingles that are common in a sample of texts last, which spares work and does not change
-the pairs. Of two sets, the one whose leading shingles end first has all their common ones among these, so
-the number of common leading shingles bounds the overlap. Pairs that this bound leaves are compared by their whole sets. Where more than PAIRS texts share a leading shingle, they are
-compared with STARS of them in turn first, and then only pairs that are not yet connected are compared.
+``keep_one_of_each`` asks for more than fingerprints reach: two texts are near copies if the sets of their five-word shingles (64-bit hashes)
+have a Jaccard similarity of 0.8 or more. Fingerprints of these shingles give the first candidates, by the range join above, each checked by
+the whole sets. All other pairs are found by keys: such sets of a and b shingles differ in (a + b) // 9 shingles at most. Sets of like size deal their shingles
+over half as many buckets; buckets with equal contents have equal keys, and at most as many buckets differ as shingles do. In any one order of all
+keys, two near copies therefore share one of the first (a + b) // 9 + 1 keys of each; fullest buckets come first, so unrelated texts with a shingle
+in common have no key in common. Keys of small sets are their shingles, those common in a sample last. A set whose shingles leave too few buckets
+filled is compared with all sets of its size. Sets of a key are compared with STARS of them in turn first, and then only pairs that
+are not yet connected are compared. A parity sketch of the sets, which differs in no more bits than the sets do in shingles, spares most whole comparisons.
 
 Cases: null text is empty text, which has fingerprint zero; null doc_ids are linked like others but are no
 component's id unless it has no other (then it is null); repeated rows each get a row in ``link_documents``; an empty table gives an
@@ -32,6 +34,7 @@ empty table; other columns are ignored by ``link_documents`` and passed through
 
 from __future__ import annotations
 
+import bisect
 import itertools
 import math
 from collections.abc import Callable, Iterator
@@ -54,10 +57,16 @@ SEED = 42
 PAIRS = 32
 #: Groups of segments of the finer grids for crowded cells.
 FINER = (16, 32)
-#: Near copies of ``keep_one_of_each``: words of a shingle; members that a crowd is compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
+#: Near copies of ``keep_one_of_each``: words of a shingle; members that those of a key are compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
 COPY_SHINGLE = 5
 STARS = 3
 ORDER_TEXTS, ORDER_LEAST, ORDER_SHINGLES = 4_000, 3, 100_000
+#: Least sizes of the classes of sets; near copies are of one class or of two neighbours. Smaller sets than 4 have no near copy but themselves.
+EDGES = [4, 5]
+while EDGES[-1] < 1 << 34:
+    EDGES.append((EDGES[-1] - 1) * 5 // 4 + 1)
+#: Classes from this size on deal shingles over buckets; 64-bit numbers of a parity sketch.
+BUCKETED, SKETCH = 32, 8
 _SEGMENTS = 32
 #: The chance that two random segments of two bits have equal counts.
 _SAME = 0.375
@@ -80,7 +89,11 @@ def shingle_hashes(raw: bytes, shingle: int = SHINGLE, seed: int = SEED) -> np.n
 
 def fingerprint(raw: bytes, shingle: int = SHINGLE, seed: int = SEED) -> int:
     """The 64-bit SimHash of a UTF-8 text, unsigned."""
-    h = shingle_hashes(raw, shingle, seed)
+    return majority(shingle_hashes(raw, shingle, seed))
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits set in over half of the hashes."""
     n = len(h)
     if n <= 1:
         return int(h[0]) if n else 0
@@ -187,42 +200,81 @@ def common_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return np.array([r[0] for r in rows], dtype=np.int64), np.array([r[1] for r in rows], dtype=np.int64)
 
 
-def leading(found: np.ndarray, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """The first n // 5 + 1 of a text's shingles: rare ones before common ones, then by number."""
-    if len(common[0]) and len(found):
-        at = np.minimum(np.searchsorted(common[0], found), len(common[0]) - 1)
-        found = found[np.argsort(np.where(common[0][at] == found, common[1][at], 0), kind="stable")]
-    return found[: len(found) // 5 + 1]
+def sketch(found: np.ndarray) -> np.ndarray:
+    """Parities of the shingles in each of 64 * SKETCH parts: two sketches differ in no more bits than the sets do in shingles."""
+    odd = np.bincount((found & (64 * SKETCH - 1)).astype(np.int64), minlength=64 * SKETCH) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
+def keys_of(found: np.ndarray, common: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, bool]:
+    """The keys of a set of shingles in its own class and, as the larger of a pair, in the class below; and whether they are too few to be sure of a shared one."""
+    n, out, odd = len(found), [], False
+    own = bisect.bisect_right(EDGES, n) - 1
+    if own < 0:
+        return np.zeros(0, dtype=np.int64), odd
+    for scheme, largest in ((own, n * 5 // 4), (own - 1, EDGES[own] - 1)):
+        if scheme < 0:
+            continue
+        apart = (n + largest) // 9
+        x = (found.view(np.uint64) + np.uint64(scheme)) * np.uint64(0x9E3779B97F4A7C15)
+        keys = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+        if EDGES[scheme] < BUCKETED:
+            rank = np.zeros(n, dtype=np.int64)
+            if len(common[0]):
+                at = np.minimum(np.searchsorted(common[0], found), len(common[0]) - 1)
+                rank = np.where(common[0][at] == found, common[1][at], 0)
+        else:
+            bucket = (keys >> np.uint64(20)) % np.uint64(EDGES[scheme] // 2)
+            order = np.argsort(bucket, kind="stable")
+            starts = np.flatnonzero(np.diff(bucket[order], prepend=np.uint64(1 << 63)))
+            keys = np.add.reduceat(keys[order], starts)
+            rank = -np.diff(starts, append=n)
+        out.append(keys[np.lexsort((keys, rank))][: apart + 1].view(np.int64))
+        odd |= len(keys) <= apart
+    return np.concatenate(out), bool(odd)
 
 
 def shingle_sets(docs: DataFrame, common: tuple[np.ndarray, np.ndarray] | None = None) -> DataFrame:
-    """(doc_id, fp, n, some) of each row: the number of its set of shingles, the set's size, and its leading shingles, or all of them
-    where no common ones are given."""
+    """(doc_id, fp, n, some) of each row: the number of its set of shingles, the set's size and all its shingles; where common shingles are given, its keys instead, then
+    (sim, parity, odd): the fingerprint over its shingles, the sketch of the set, and whether its keys are too few."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
+    def lists(arrays: list[np.ndarray]) -> pa.Array:
+        return pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, arrays)], dtype=np.int32)), pa.array(np.concatenate(arrays)))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, "text"):
-                found = [shingle_set(raw) for raw in column_bytes(part, "text")]
-                keys = np.array([xxhash.xxh64_intdigest(f.tobytes(), SEED) for f in found], dtype=np.uint64).view(np.int64)
-                sizes = np.array([len(f) for f in found], dtype=np.int32)
-                some = [leading(f, common) for f in found] if common else found
-                ends = np.cumsum([0, *map(len, some)], dtype=np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(some)))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(keys), pa.array(sizes), lists], ["doc_id", "fp", "n", "some"])
+                hashes = [shingle_hashes(raw, COPY_SHINGLE) for raw in column_bytes(part, "text")]
+                found = [np.unique(h.view(np.int64)) for h in hashes]
+                fps = np.array([xxhash.xxh64_intdigest(f.tobytes(), SEED) for f in found], dtype=np.uint64).view(np.int64)
+                columns = {"doc_id": part.column("doc_id"), "fp": pa.array(fps), "n": pa.array([len(f) for f in found], pa.int32())}
+                if common is None:
+                    columns["some"] = lists(found)
+                else:
+                    keys = [keys_of(f, common) for f in found]
+                    columns["some"] = lists([k for k, _ in keys])
+                    columns["sim"] = pa.array(np.array([majority(h) for h in hashes], dtype=np.uint64).view(np.int64))
+                    columns["parity"] = lists([sketch(f) for f in found])
+                    columns["odd"] = pa.array([o for _, o in keys])
+                yield pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
 
     limit_batches(docs.sparkSession)
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint, n int, some array<bigint>")
+    more = "" if common is None else ", sim bigint, parity array<bigint>, odd boolean"
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint, n int, some array<bigint>{more}")
 
 
-def copy_links(scratch: Scratch, docs: DataFrame, leads: DataFrame, pair_limit: int = PAIRS) -> DataFrame:
+def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
     """(a, b): links that connect the distinct sets of shingles of ``docs`` as all pairs of Jaccard similarity 0.8 or more do.
-    ``leads`` is ``shingle_sets`` of the same rows."""
+    ``sets`` is ``shingle_sets`` with keys, one row of each fp."""
+    sizes = "5 * n_a >= 4 * n_b and 5 * n_b >= 4 * n_a"
+    within = 9 * sum(F.bit_count(F.col("p_a")[i].bitwiseXOR(F.col("p_b")[i])) for i in range(SKETCH)) <= F.col("n_a") + F.col("n_b")
 
     def alike(pairs: DataFrame) -> DataFrame:
-        pairs = scratch.table(pairs)
+        marks = [sets.select(F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("parity").alias(f"p_{x}")) for x in "ab"]
+        pairs = scratch.table(pairs.distinct().join(marks[0], "a").join(marks[1], "b").where(sizes).where(within).select("a", "b"))
         ids = scratch.table(pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct())
-        rows = leads.join(ids, "fp", "left_semi").groupBy("fp").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
+        rows = sets.select("fp", "doc_id").join(ids, "fp", "left_semi").select("doc_id").distinct()
         texts = docs.join(rows, "doc_id", "left_semi").select("doc_id", "text").union(docs.where("doc_id is null").select("doc_id", "text"))
         whole = scratch.table(shingle_sets(texts).join(ids, "fp", "left_semi").groupBy("fp").agg(F.first("some").alias("some")))
         left, right = whole.select(F.col("fp").alias("a"), F.col("some").alias("in_a")), whole.select(F.col("fp").alias("b"), F.col("some").alias("in_b"))
@@ -232,32 +284,41 @@ def copy_links(scratch: Scratch, docs: DataFrame, leads: DataFrame, pair_limit:
             scratch.drop(used)
         return out
 
-    def candidates(members: DataFrame, apart: str) -> DataFrame:
-        """Pairs of a common leading shingle that sizes and the number of such shingles allow; ``other`` is how many a set has outside ``members``."""
-        left, right = (members.select("s", F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("other").alias(f"o_{x}"), F.col("root").alias(f"root_{x}")) for x in "ab")
-        pairs = left.join(right, "s").where("a < b").where(apart).where("5 * n_a >= 4 * n_b and 5 * n_b >= 4 * n_a")
-        pairs = pairs.groupBy("a", "b").agg(*(F.first(c).alias(c) for c in ("n_a", "n_b", "o_a", "o_b")), F.count("*").alias("k"))
-        rest = F.greatest(*(F.col(c) - F.floor(F.col(c) / 5).cast("int") - 1 for c in ("n_a", "n_b")))
-        return pairs.where(9 * (rest + F.col("k") + F.least("o_a", "o_b")) >= 4 * (F.col("n_a") + F.col("n_b"))).select("a", "b")
+    def by_fingerprints() -> DataFrame:
+        """Pairs of sets with one fingerprint, and of fingerprints that the range join links, each by its least set."""
+        sims = scratch.table(sets.where(f"n >= {EDGES[0]}").select("fp", "sim"))
+        least = scratch.table(sims.groupBy("sim").agg(F.min("fp").alias("b")))
+        same = sims.join(least, "sim").where("fp <> b").select(F.col("b").alias("a"), F.col("fp").alias("b"))
+        near = near_links(scratch, least.select(F.col("sim").alias("fp"))).toDF("sim_a", "sim_b")
+        near = near.join(least.select(F.col("sim").alias("sim_a"), F.col("b").alias("a")), "sim_a").join(least.select(F.col("sim").alias("sim_b"), "b"), "sim_b")
+        return same.union(near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")))
 
-    posts = leads.groupBy("fp").agg(F.first("n").alias("n"), F.first("some").alias("some")).select("fp", "n", F.explode("some").alias("s"))
     group = W.partitionBy("s")
-    members = scratch.table(posts.withColumn("m", F.count("*").over(group)).where("m > 1"))
-    split = members.groupBy("fp").agg(F.sum(F.when(F.col("m") <= pair_limit, 1).otherwise(0)).alias("n_few"), F.sum(F.when(F.col("m") > pair_limit, 1).otherwise(0)).alias("n_crowd"))
-    members = scratch.table(members.join(split, "fp"))
-
-    few = members.where(F.col("m") <= pair_limit).select("s", "fp", "n", F.col("n_crowd").alias("other"), F.col("fp").alias("root"))
-    many = members.where(F.col("m") > pair_limit).select("s", "fp", "n", F.col("n_few").alias("other"))
-    crowd = many.withColumn("root", F.col("fp"))
-    links = scratch.table(candidates(few, "true"))
+    links = alike(by_fingerprints())
+    posts = sets.select("fp", "n", F.explode("some").alias("s"))
+    members = scratch.table(posts.withColumn("m", F.count("*").over(group)).where("m > 1").select("s", "fp", "n"))
+
+    def apart() -> DataFrame:
+        """Members of keys whose sets are not all connected, each with its root."""
+        rooted = components(scratch, links).withColumnRenamed("node", "fp").distinct()
+        now = members.join(rooted, "fp", "left").select("s", "fp", "n", F.coalesce("root", "fp").alias("root"))
+        return scratch.table(now.withColumn("low", F.min("root").over(group)).withColumn("high", F.max("root").over(group)).where("low < high").drop("low", "high"))
+
+    crowd = apart()
     for turn in range(STARS):
         hub = F.min(F.struct(F.xxhash64("fp", F.lit(turn)).alias("spot"), "fp", "n", "root")).over(group)
         stars = crowd.withColumn("hub", hub).where("root <> hub.root and 5 * n >= 4 * hub.n and 5 * hub.n >= 4 * n")
-        stars = stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b"))
-        links = alike(stars.union(links).distinct()) if turn == 0 else scratch.table(links.union(alike(stars.distinct())))
-        rooted = components(scratch, links).withColumnRenamed("node", "fp").distinct()
-        crowd = scratch.table(many.join(rooted, "fp", "left").select("s", "fp", "n", "other", F.coalesce("root", "fp").alias("root")))
-    return links.union(alike(candidates(crowd, "root_a <> root_b")))
+        links = scratch.table(links.union(alike(stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b")))))
+        scratch.drop(crowd)
+        crowd = apart()
+    marked = crowd.join(sets.select("fp", "parity"), "fp")
+    left, right = (marked.select("s", F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("parity").alias(f"p_{x}"), F.col("root").alias(f"root_{x}")) for x in "ab")
+    rest = left.join(right, "s").where("a < b and root_a <> root_b").where(sizes).where(within).select("a", "b")
+    odd = sets.where("odd").select(F.col("fp").alias("f"), F.col("n").alias("n_a"))
+    if not odd.isEmpty():
+        others = odd.join(sets.select(F.col("fp").alias("g"), F.col("n").alias("n_b")), F.expr(f"f <> g and {sizes}"))
+        rest = rest.union(others.select(F.least("f", "g").alias("a"), F.greatest("f", "g").alias("b")))
+    return links.union(alike(rest))
 
 
 def _classes(scratch: Scratch, prints: DataFrame, links: Callable[[DataFrame], DataFrame]) -> DataFrame:
@@ -282,8 +343,11 @@ def keep_one_of_each(docs: DataFrame) -> DataFrame:
     last), of equal ids that of the least set number, of equal texts the first by its other columns. Rows of one doc_id with different texts are documents of their own."""
     scratch = Scratch(docs.sparkSession)
     key, nth = "__near_fp", "__near_nth"
-    leads = scratch.table(shingle_sets(docs, common_shingles(docs)))
-    found = _classes(scratch, leads.select("doc_id", "fp"), lambda fps: copy_links(scratch, docs, leads))
+    every = scratch.table(shingle_sets(docs, common_shingles(docs)))
+    leads = scratch.table(every.select("doc_id", "fp"))
+    sets = scratch.table(every.groupBy("fp").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "some", "sim", "parity", "odd"))))
+    scratch.drop(every)
+    found = _classes(scratch, leads, lambda fps: copy_links(scratch, docs, sets))
     reps = leads.groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
     kept = found.select("fp", "root").join(reps, "fp").groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp")).alias("k"))
     kept = scratch.table(kept.select("k.doc_id", F.col("k.fp").alias(key)))

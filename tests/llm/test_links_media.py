@@ -314,3 +314,46 @@ def test_mixing_against_brute_force(spark, documents):
     odd = mixing.mix_documents(documents).collect()
     assert len(odd) == documents.count() and all(r.copies == 0 for r in odd if r.n_tokens == 0)
     assert mixing.mix_documents(documents.limit(0)).count() == 0 and mixing.draw(documents).columns == documents.columns
+
+
+def test_near_copies_come_through_fingerprints(spark, monkeypatch):
+    """The stage's first candidates are those of operator 3's range join over its own shingles, and what lies beyond its radius is found too."""
+    seen, links = [], simhash.near_links
+
+    def watched(scratch, fps, *more):
+        seen.extend(r.fp for r in fps.collect())
+        return links(scratch, fps, *more)
+
+    monkeypatch.setattr(simhash, "near_links", watched)
+    rng = random.Random(5)
+    base = [f"w{rng.randrange(10_000)}" for _ in range(400)]
+    texts = [base, [*base[:399], "y"], [*base[:100], "p", *base[101:200], "q", *base[201:300], "r", *base[301:]], [f"z{i}" for i in range(400)]]
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    kept = simhash.keep_one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string"))
+    assert sorted(r.doc_id for r in kept.collect()) == [0, 3]
+    want = {simhash.fingerprint(t.encode(), simhash.COPY_SHINGLE) for _, t in rows}
+    assert {s % (1 << 64) for s in seen} == want
+
+
+def test_keys_meet_for_near_copies_only():
+    """Sets of every size share a key with any near copy of the same or another size; sets that share a few shingles do not."""
+    rng, none = np.random.default_rng(7), (np.zeros(0, dtype=np.int64),) * 2
+    fresh = lambda n: rng.integers(-(1 << 63), 1 << 63, n)
+    for a in [*range(4, 120), 500, 3000]:
+        for _ in range(6):
+            b = int(rng.integers(a, a * 5 // 4 + 1))
+            most = (a + b) // 9
+            if b - a > most:
+                continue
+            out = (most - (b - a)) // 2
+            one = np.unique(fresh(a))
+            two = np.unique(np.concatenate([one[rng.permutation(a)[: a - out]], fresh(b - a + out)]))
+            (x, odd_x), (y, odd_y) = simhash.keys_of(one, none), simhash.keys_of(two, none)
+            assert odd_x or odd_y or set(x) & set(y)
+            bits = sum((int(p) ^ int(q)).bit_count() for p, q in zip(simhash.sketch(one).view(np.uint64), simhash.sketch(two).view(np.uint64), strict=True))
+            assert bits <= len(np.setxor1d(one, two)) and 9 * len(np.setxor1d(one, two)) <= len(one) + len(two)
+    shared = fresh(15)
+    sets = [np.unique(np.concatenate([shared, fresh(300)])) for _ in range(100)]
+    keys = [set(simhash.keys_of(s, none)[0]) for s in sets]
+    met = sum(bool(keys[i] & keys[j]) for i in range(100) for j in range(i))
+    assert met < 100
