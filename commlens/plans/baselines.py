@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from commlens import scratch
 from commlens.functions.expressions import uniform
-from commlens.operators import counters, factors
+from commlens.operators import counters, factors, sampling
 from commlens.sources.graphs import SocialGraph
 
 
@@ -53,19 +53,26 @@ def topic_link_rates(doc_topics: DataFrame, diffs: DataFrame) -> DataFrame:
 
 def mixture_step(tokens: DataFrame, theta: DataFrame, phi: DataFrame, topics: int, alpha: float, beta: float, n_words: int, diffs: DataFrame | None = None, rate: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """One step of expectation and maximisation: (doc_id, user_id, z, p) mixtures and (z, word, p) topics from the former ones. Each token is shared among topics
-    by mixture and topic; with ``diffs`` and (z, rate), each diffusion link is one more token of both its documents, shared by both mixtures and the rate."""
-    own = theta.select("doc_id", "z", F.col("p").alias("t"))
-    near = tokens.join(own, "doc_id").join(phi, ["z", "word"]).withColumn("h", F.col("t") * F.col("p"))
-    share = near.groupBy("doc_id", "word").agg(F.sum("h").alias("all"))
-    near = near.join(share, ["doc_id", "word"]).select("doc_id", "user_id", "z", "word", (F.col("cnt") * F.col("h") / F.col("all")).alias("h"))
-    counts = near.groupBy("doc_id", "z").agg(F.sum("h").alias("n"))
+    by mixture and topic; with ``diffs`` and (z, rate), each diffusion link is one more token of both its documents, shared by both mixtures and the rate.
+    A token, a document, a link and a word each are one row with an array of all topics."""
+    every = range(topics)
+    own, by_word = sampling.dense(theta, ["doc_id"], "z", "p", topics, "t"), sampling.dense(phi, ["word"], "z", "p", topics, "b")
+    by_word = F.broadcast(by_word) if n_words * topics <= factors.TENSOR_CELLS else by_word
+    near = tokens.select("doc_id", "word", "cnt").join(own, "doc_id").join(by_word, "word")
+    near = near.withColumn("h", F.array(*(F.col("t")[i] * F.col("b")[i] for i in every))).withColumn("all", sum(F.col("h")[i] for i in every)).where(F.col("all") > 0)
+    near = near.select("doc_id", "word", F.transform("h", lambda x: F.col("cnt") * x / F.col("all")).alias("h"))
+    parts = near.select("doc_id", "h")
     if diffs is not None:
-        linked = link_shares(diffs, theta, rate).select(F.explode(F.array("src_doc", "dst_doc")).alias("doc_id"), "z", "q")
-        counts = counts.unionByName(linked.withColumnRenamed("q", "n")).groupBy("doc_id", "z").agg(F.sum("n").alias("n"))
-    total = counts.groupBy("doc_id").agg(F.sum("n").alias("all"))
-    fresh = theta.select("doc_id", "user_id", "z").join(counts, ["doc_id", "z"], "left").join(total, "doc_id")
-    fresh = fresh.select("doc_id", "user_id", "z", ((F.coalesce("n", F.lit(0.0)) + alpha) / (F.col("all") + alpha * topics)).alias("p"))
-    words = near.groupBy("z", "word").agg(F.sum("h").alias("n"))
+        rates = F.broadcast(sampling.dense(rate.withColumn("one", F.lit(1)), ["one"], "z", "rate", topics, "r").select("r"))
+        ends = diffs.select("src_doc", "dst_doc").join(own.toDF("src_doc", "s"), "src_doc").join(own.toDF("dst_doc", "d"), "dst_doc").crossJoin(rates)
+        ends = ends.withColumn("w", F.array(*(F.col("s")[i] * F.col("d")[i] * F.col("r")[i] + 1e-12 for i in every))).withColumn("all", sum(F.col("w")[i] for i in every))
+        parts = parts.unionByName(ends.select(F.explode(F.array("src_doc", "dst_doc")).alias("doc_id"), F.transform("w", lambda x: x / F.col("all")).alias("h")))
+    counts = parts.groupBy("doc_id").agg(*(F.sum(F.col("h")[i]).alias(f"h{i}") for i in every))
+    counts = counts.select("doc_id", F.array(*(f"h{i}" for i in every)).alias("n")).withColumn("all", sum(F.col("n")[i] for i in every))
+    fresh = theta.select("doc_id", "user_id", "z").join(counts, "doc_id")
+    fresh = fresh.select("doc_id", "user_id", "z", ((F.get("n", F.col("z")) + alpha) / (F.col("all") + alpha * topics)).alias("p"))
+    words = near.groupBy("word").agg(*(F.sum(F.col("h")[i]).alias(f"h{i}") for i in every)).select("word", F.posexplode(F.array(*(f"h{i}" for i in every))).alias("z", "n"))
+    words = words.join(phi.select("z", "word"), ["z", "word"], "left_semi")
     sizes = words.groupBy("z").agg(F.sum("n").alias("all"))
     return fresh, words.join(F.broadcast(sizes), "z").select("z", "word", ((F.col("n") + beta) / (F.col("all") + beta * n_words)).alias("p"))
 
