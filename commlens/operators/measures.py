@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from commlens import scratch
 from commlens.functions.expressions import hashed
+from commlens.operators import factors
 from commlens.sources.graphs import numbered as number_rows
 
 
@@ -81,11 +82,16 @@ def numbered(ids: DataFrame, name: str) -> DataFrame:
 def perplexity(tokens: DataFrame, pi: DataFrame, theta: DataFrame, phi: DataFrame, form: str = "doc_topic") -> DataFrame:
     """One row (perplexity, n_tokens) over documents with the users of pi. ``doc_topic`` mixes topics per document, ``word_mix`` per token."""
     mix = pi.join(F.broadcast(theta.select("c", "z", F.col("p").alias("t"))), "c").groupBy("user_id", "z").agg(F.sum(F.col("p") * F.col("t")).alias("w"))
-    seen = tokens.join(phi, "word")
     if form == "word_mix":
-        per = seen.join(mix, ["user_id", "z"]).groupBy("doc_id", "word", "cnt").agg(F.sum(F.col("w") * F.col("p")).alias("q"))
+        cells = lambda rows, key, value, name: rows.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("z", value))).alias(name))
+        by_word = cells(phi, "word", "p", "topics")
+        by_word = F.broadcast(by_word) if phi.count() <= factors.TENSOR_CELLS else by_word
+        seen = tokens.select("user_id", "word", "cnt").join(cells(mix, "user_id", "w", "mix"), "user_id").join(by_word, "word").where(F.arrays_overlap(F.map_keys("mix"), F.map_keys("topics")))
+        q = F.aggregate(F.map_entries("mix"), F.lit(0.0), lambda a, x: a + x["value"] * F.coalesce(F.try_element_at(F.col("topics"), x["key"]), F.lit(0.0)))
+        per = seen.select("cnt", q.alias("q"))
         total = per.agg(F.sum(F.col("cnt") * F.ln("q")).alias("ll"), F.sum("cnt").alias("n"))
     else:
+        seen = tokens.join(phi, "word")
         fit = seen.groupBy("doc_id", "user_id", "z").agg(F.sum(F.col("cnt") * F.ln("p")).alias("l"), F.sum("cnt").alias("n")).join(mix, ["user_id", "z"])
         peak = fit.withColumn("m", F.max("l").over(W.partitionBy("doc_id")))
         per = peak.groupBy("doc_id").agg((F.first("m") + F.ln(F.sum(F.col("w") * F.exp(F.col("l") - F.col("m"))))).alias("ll"), F.first("n").alias("n"))
