@@ -273,6 +273,8 @@ def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
     def alike(pairs: DataFrame) -> DataFrame:
         marks = [sets.select(F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("parity").alias(f"p_{x}")) for x in "ab"]
         pairs = scratch.table(pairs.distinct().join(marks[0], "a").join(marks[1], "b").where(sizes).where(within).select("a", "b"))
+        if pairs.isEmpty():
+            return pairs
         ids = scratch.table(pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct())
         rows = sets.select("fp", "doc_id").join(ids, "fp", "left_semi").select("doc_id").distinct()
         texts = docs.join(rows, "doc_id", "left_semi").select("doc_id", "text").union(docs.where("doc_id is null").select("doc_id", "text"))
@@ -306,6 +308,8 @@ def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
 
     crowd = apart()
     for turn in range(STARS):
+        if crowd.isEmpty():
+            break
         hub = F.min(F.struct(F.xxhash64("fp", F.lit(turn)).alias("spot"), "fp", "n", "root")).over(group)
         stars = crowd.withColumn("hub", hub).where("root <> hub.root and 5 * n >= 4 * hub.n and 5 * hub.n >= 4 * n")
         links = scratch.table(links.union(alike(stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b")))))

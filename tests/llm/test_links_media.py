@@ -116,6 +116,19 @@ def test_near_copies_against_brute_force(spark):
     assert sorted(r.doc_id for r in simhash.keep_one_of_each(df).collect()) == want
 
 
+def test_small_graphs_take_few_stages(spark):
+    rng = random.Random(3)
+    rows = [(i, i + 1) for i in range(300)] + [(rng.randrange(1000, 1600) - 1300, rng.randrange(1000, 1600) - 1300) for _ in range(200)]
+    edges = spark.createDataFrame(rows, "a bigint, b bigint")
+    spark.sparkContext.setJobGroup("few", "few")
+    got = {r.node: r.root for r in graph.components(Scratch(spark), edges).collect()}
+    spark.sparkContext.setJobGroup("none", "none")
+    jobs = map(spark.sparkContext.statusTracker().getJobInfo, spark.sparkContext.statusTracker().getJobIdsForGroup("few"))
+    assert sum(len(j.stageIds) for j in jobs) <= 12
+    assert got == {r.node: r.root for r in graph.components(Scratch(spark), edges, local=0).collect()}
+    assert got == {r.node: r.root for r in graph.components(Scratch(spark), edges, local=200).collect()}
+
+
 def test_components_of_a_path(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(300)] + [(900, 901), (901, 900), (5, 5)], "a bigint, b bigint")
     got = {r.node: r.root for r in graph.components(Scratch(spark), edges).collect()}
