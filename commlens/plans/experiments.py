@@ -75,9 +75,8 @@ def diffusion_auc(pairs: DataFrame, profiles: Profiles, tokens: DataFrame, confi
     if config.diffusion_kind == "similarity":
         return _auc(factors.similarity_scores(pairs, profiles.pi).join(pairs, ["src_doc", "dst_doc"]), "y")
     mix = profiles.pi.join(F.broadcast(profiles.theta.select("c", "z", F.col("p").alias("t"))), "c").groupBy("user_id", "z").agg(F.sum(F.col("p") * F.col("t")).alias("w"))
-    topics = diffusion.topic_posterior(tokens, profiles.phi, mix)
-    scored = diffusion.score_pairs(pairs, topics, profiles.pi, profiles.tensor(), profiles.pop, profiles.features, profiles.nu, config.topics, config.factors or ("community",))
-    return _auc(scored.join(pairs.select("src_doc", "dst_doc", "label"), ["src_doc", "dst_doc"]), "p")
+    topics = diffusion.topic_posterior(tokens, profiles.phi, config.topics, mix)
+    return _auc(diffusion.score_pairs(pairs, topics, profiles.pi, profiles.tensor(), profiles.pop, profiles.features, profiles.nu, config.topics, config.factors or ("community",), ("label",)), "p")
 
 
 def mean_conductance(graph: SocialGraph, pi: DataFrame, top: int = 5) -> float | None:
