@@ -117,6 +117,11 @@ class Scratch:
         _remove(self.spark, path)
         self.paths.remove(path)
 
+    def release(self) -> None:
+        """Lets Spark remove the shuffle files, broadcasts and compiled code of queries that are done: it does so only when the driver collects its garbage."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def _end(self) -> None:
         try:
             for path in self.paths:

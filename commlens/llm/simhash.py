@@ -24,7 +24,7 @@ the whole sets. All other pairs are found by keys: such sets of a and b shingles
 over half as many buckets; buckets with equal contents have equal keys, and at most as many buckets differ as shingles do. In any one order of all
 keys, two near copies therefore share one of the first (a + b) // 9 + 1 keys of each; fullest buckets come first, so unrelated texts with a shingle
 in common have no key in common. Keys of small sets are their shingles, those common in a sample last. A set whose shingles leave too few buckets
-filled is compared with all sets of its size. Sets of a key are compared with STARS of them in turn first, and then only pairs that
+filled is compared with all sets of its size. Sets of a key are compared with STARS of them first, and then only pairs that
 are not yet connected are compared. A parity sketch of the sets, which differs in no more bits than the sets do in shingles, spares most whole comparisons.
 
 Cases: null text is empty text, which has fingerprint zero; null doc_ids are linked like others but are no
@@ -57,7 +57,7 @@ SEED = 42
 PAIRS = 32
 #: Groups of segments of the finer grids for crowded cells.
 FINER = (16, 32)
-#: Near copies of ``keep_one_of_each``: words of a shingle; members that those of a key are compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
+#: Near copies of ``keep_one_of_each``: words of a shingle; members that the others of a key are compared with first; texts whose common shingles set the order, how many of them must have a shingle, and shingles sent to the tasks.
 COPY_SHINGLE = 5
 STARS = 3
 ORDER_TEXTS, ORDER_LEAST, ORDER_SHINGLES = 4_000, 3, 100_000
@@ -196,8 +196,10 @@ def common_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     limit = min(top, top * ORDER_TEXTS // max(1, docs.count()) + 1)
     some = docs.select("text").where(F.pmod(F.xxhash64("text"), F.lit(top)) < limit).distinct()
     counts = some.mapInArrow(run, "s bigint").groupBy("s").agg(F.count("*").alias("n")).where(F.col("n") >= ORDER_LEAST)
-    rows = sorted((r.s, r.n) for r in counts.orderBy(F.desc("n"), "s").limit(ORDER_SHINGLES).collect())
-    return np.array([r[0] for r in rows], dtype=np.int64), np.array([r[1] for r in rows], dtype=np.int64)
+    rows = counts.orderBy(F.desc("n"), "s").limit(ORDER_SHINGLES).toArrow()
+    s, n = (rows.column(c).to_numpy() for c in ("s", "n"))
+    order = np.argsort(s)
+    return s[order], n[order]
 
 
 def sketch(found: np.ndarray) -> np.ndarray:
@@ -266,29 +268,32 @@ def shingle_sets(docs: DataFrame, common: tuple[np.ndarray, np.ndarray] | None =
 
 def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
     """(a, b): links that connect the distinct sets of shingles of ``docs`` as all pairs of Jaccard similarity 0.8 or more do.
-    ``sets`` is ``shingle_sets`` with keys, one row of each fp."""
+    ``sets`` is ``shingle_sets`` with keys, one row of each fp. Each join or window deals rows out anew, in a task for each partition, so candidates of all kinds are checked together."""
     sizes = "5 * n_a >= 4 * n_b and 5 * n_b >= 4 * n_a"
     within = 9 * sum(F.bit_count(F.col("p_a")[i].bitwiseXOR(F.col("p_b")[i])) for i in range(SKETCH)) <= F.col("n_a") + F.col("n_b")
 
     def alike(pairs: DataFrame) -> DataFrame:
         marks = [sets.select(F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("parity").alias(f"p_{x}")) for x in "ab"]
         pairs = scratch.table(pairs.distinct().join(marks[0], "a").join(marks[1], "b").where(sizes).where(within).select("a", "b"))
+        scratch.release()
         if pairs.isEmpty():
             return pairs
-        ids = scratch.table(pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct())
-        rows = sets.select("fp", "doc_id").join(ids, "fp", "left_semi").select("doc_id").distinct()
-        texts = docs.join(rows, "doc_id", "left_semi").select("doc_id", "text").union(docs.where("doc_id is null").select("doc_id", "text"))
-        whole = scratch.table(shingle_sets(texts).join(ids, "fp", "left_semi").groupBy("fp").agg(F.first("some").alias("some")))
+        ends = pairs.select(F.explode(F.array("a", "b")).alias("fp"))
+        rows = scratch.table(sets.select("fp", "doc_id").join(ends, "fp", "left_semi"))
+        ids = rows.select("doc_id")
+        texts = docs.join(ids, "doc_id", "left_semi").select("doc_id", "text").union(docs.where("doc_id is null").select("doc_id", "text"))
+        whole = scratch.table(shingle_sets(texts).join(rows.select("fp"), "fp", "left_semi").groupBy("fp").agg(F.first("some").alias("some")))
         left, right = whole.select(F.col("fp").alias("a"), F.col("some").alias("in_a")), whole.select(F.col("fp").alias("b"), F.col("some").alias("in_b"))
         both = F.size(F.array_intersect("in_a", "in_b"))
         out = scratch.table(pairs.join(left, "a").join(right, "b").where(9 * both >= 4 * (F.size("in_a") + F.size("in_b"))).select("a", "b"))
-        for used in (whole, ids, pairs):
+        for used in (whole, rows, pairs):
             scratch.drop(used)
+        scratch.release()
         return out
 
     def by_fingerprints() -> DataFrame:
         """Pairs of sets with one fingerprint, and of fingerprints that the range join links, each by its least set."""
-        sims = scratch.table(sets.where(f"n >= {EDGES[0]}").select("fp", "sim"))
+        sims = sets.where(f"n >= {EDGES[0]}").select("fp", "sim")
         least = scratch.table(sims.groupBy("sim").agg(F.min("fp").alias("b")))
         same = sims.join(least, "sim").where("fp <> b").select(F.col("b").alias("a"), F.col("fp").alias("b"))
         near = near_links(scratch, least.select(F.col("sim").alias("fp"))).toDF("sim_a", "sim_b")
@@ -296,26 +301,19 @@ def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
         return same.union(near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")))
 
     group = W.partitionBy("s")
-    links = alike(by_fingerprints())
-    posts = sets.select("fp", "n", F.explode("some").alias("s"))
-    members = scratch.table(posts.withColumn("m", F.count("*").over(group)).where("m > 1").select("s", "fp", "n"))
-
-    def apart() -> DataFrame:
-        """Members of keys whose sets are not all connected, each with its root."""
-        rooted = components(scratch, links).withColumnRenamed("node", "fp").distinct()
-        now = members.join(rooted, "fp", "left").select("s", "fp", "n", F.coalesce("root", "fp").alias("root"))
-        return scratch.table(now.withColumn("low", F.min("root").over(group)).withColumn("high", F.max("root").over(group)).where("low < high").drop("low", "high"))
-
-    crowd = apart()
-    for turn in range(STARS):
-        if crowd.isEmpty():
-            break
-        hub = F.min(F.struct(F.xxhash64("fp", F.lit(turn)).alias("spot"), "fp", "n", "root")).over(group)
-        stars = crowd.withColumn("hub", hub).where("root <> hub.root and 5 * n >= 4 * hub.n and 5 * hub.n >= 4 * n")
-        links = scratch.table(links.union(alike(stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b")))))
-        scratch.drop(crowd)
-        crowd = apart()
-    marked = crowd.join(sets.select("fp", "parity"), "fp")
+    posts = sets.select("fp", F.explode("some").alias("s"))
+    hubs = F.array(*(F.min(F.struct(F.xxhash64("fp", F.lit(turn)).alias("spot"), "fp")).over(group)["fp"] for turn in range(STARS)))
+    members = scratch.table(posts.select("s", "fp", F.count("*").over(group).alias("m"), hubs.alias("hubs")).where("m > 1").select("s", "fp", "hubs"))
+    scratch.release()
+    stars = members.select("fp", F.explode("hubs").alias("hub")).where("fp <> hub")
+    links = alike(by_fingerprints().union(stars.select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b"))))
+    rooted = components(scratch, links).withColumnRenamed("node", "fp")
+    now = members.join(rooted, "fp", "left").select("s", "fp", F.coalesce("root", "fp").alias("root"))
+    # keys whose sets are not all connected
+    crowd = scratch.table(now.withColumn("low", F.min("root").over(group)).withColumn("high", F.max("root").over(group)).where("low < high").drop("low", "high"))
+    scratch.drop(members)
+    scratch.release()
+    marked = crowd.join(sets.select("fp", "n", "parity"), "fp")
     left, right = (marked.select("s", F.col("fp").alias(x), F.col("n").alias(f"n_{x}"), F.col("parity").alias(f"p_{x}"), F.col("root").alias(f"root_{x}")) for x in "ab")
     rest = left.join(right, "s").where("a < b and root_a <> root_b").where(sizes).where(within).select("a", "b")
     odd = sets.where("odd").select(F.col("fp").alias("f"), F.col("n").alias("n_a"))
@@ -348,14 +346,17 @@ def keep_one_of_each(docs: DataFrame) -> DataFrame:
     scratch = Scratch(docs.sparkSession)
     key, nth = "__near_fp", "__near_nth"
     every = scratch.table(shingle_sets(docs, common_shingles(docs)))
-    leads = scratch.table(every.select("doc_id", "fp"))
     sets = scratch.table(every.groupBy("fp").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "some", "sim", "parity", "odd"))))
-    scratch.drop(every)
-    found = _classes(scratch, leads, lambda fps: copy_links(scratch, docs, sets))
-    reps = leads.groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
-    kept = found.select("fp", "root").join(reps, "fp").groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp")).alias("k"))
+    rooted = components(scratch, copy_links(scratch, docs, sets)).toDF("fp", "root")
+    found = sets.select("fp", "doc_id").join(rooted, "fp", "left").groupBy(F.coalesce("root", "fp").alias("root"))
+    kept = found.agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp")).alias("k"))
     kept = scratch.table(kept.select("k.doc_id", F.col("k.fp").alias(key)))
-    often = scratch.table(leads.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null").select("doc_id"))
+    scratch.drop(sets)
+    often = scratch.table(every.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").select("doc_id"))
+    scratch.drop(every)
+    scratch.release()
+    if often.isEmpty():
+        return docs.join(kept.select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
     once = docs.join(kept.join(often, "doc_id", "left_anti").where("doc_id is not null").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
     rest = with_fingerprint(docs.join(often, "doc_id", "left_semi").select(*docs.columns).unionByName(docs.where("doc_id is null")), key, of=set_key)
     rest = rest.join(kept.withColumnRenamed("doc_id", "__near_id"), key).where(F.col("doc_id").eqNullSafe(F.col("__near_id")))

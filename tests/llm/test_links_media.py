@@ -370,3 +370,21 @@ def test_keys_meet_for_near_copies_only():
     keys = [set(simhash.keys_of(s, none)[0]) for s in sets]
     met = sum(bool(keys[i] & keys[j]) for i in range(100) for j in range(i))
     assert met < 100
+
+
+def test_near_copies_take_few_stages(spark):
+    """Candidates of all kinds are checked together: the driver keeps a record of every task, and each stage with a shuffle has as many as there are partitions."""
+    rng = random.Random(13)
+    rows = []
+    for _ in range(6):
+        base = [f"w{rng.randrange(5000)}" for _ in range(90)]
+        rows += [" ".join([*base[:i], f"x{i}", *base[i + 1 :]]) for i in rng.sample(range(90), 12)]
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id bigint, text string")
+    spark.sparkContext.setJobGroup("few_stages", "near copies")
+    try:
+        kept = simhash.keep_one_of_each(docs).count()
+        track = spark.sparkContext.statusTracker()
+        tasks = sum(info.numTasks for job in track.getJobIdsForGroup("few_stages") for i in track.getJobInfo(job).stageIds if (info := track.getStageInfo(i)) and info.numCompletedTasks)
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert kept < len(rows) and tasks < 200
