@@ -107,10 +107,10 @@ def counted(docs: DataFrame, plan: MixPlan) -> DataFrame:
 
 
 def leaf_cuts(rows: DataFrame, plan: MixPlan) -> DataFrame:
-    """(keys, supply, budget, epochs, cut) of each leaf with tokens, from ``counted`` rows."""
-    keys = _keys(plan)
+    """(keys, supply, budget, epochs, cut) of each leaf with tokens, from ``counted`` rows. The leaves and their budgets are written, as every later step reads them again."""
+    keys, scratch = _keys(plan), Scratch(rows.sparkSession)
     live = rows.where("tokens > 0")
-    got = budgets(live.groupBy(*keys).agg(F.sum("tokens").alias("supply")), plan)
+    got = scratch.table(budgets(scratch.table(live.groupBy(*keys).agg(F.sum("tokens").alias("supply"))), plan))
     got = got.select("*", F.floor(F.col("budget") / F.col("supply")).cast("bigint").alias("epochs")).withColumn("left", F.col("budget") - F.col("epochs") * F.col("supply"))
     placed = live.join(F.broadcast(got.select(*keys, "epochs", "left")), keys) if got.count() <= BROADCAST_LEAVES else live.join(got.select(*keys, "epochs", "left"), keys)
     inside = placed.select(*keys, "left", "tokens", _order_key(plan, F.col("epochs")).alias("at"), F.lit(0).cast("bigint").alias("before"))

@@ -388,3 +388,12 @@ def test_near_copies_take_few_stages(spark):
     finally:
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert kept < len(rows) and tasks < 200
+
+
+def test_budgets_are_read_not_derived_again(spark):
+    """Each step after the budgets reads them; plans that derive them anew fill the driver's memory."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    plan = mixing.default_plan()
+    cuts = mixing.leaf_cuts(mixing.counted(docs, plan), plan)
+    text = cuts._jdf.queryExecution().optimizedPlan().toString()
+    assert text.count("Window [") <= 10
