@@ -94,13 +94,18 @@ def _remove(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+#: The share of its greatest heap from which a driver of many queries collects its garbage between two of them.
+HEAP_SHARE = 0.5
+
+
 class Scratch:
     """Tables written to the shared folder to cut lineage: they survive the loss of any executor, and
     a task that runs again reads the same rows. Intermediate tables go with ``drop``, the rest when
-    the driver ends."""
+    the driver ends. With ``tidy``, what finished queries hold is released after a table where the driver's heap has grown to HEAP_SHARE."""
 
-    def __init__(self, spark: SparkSession) -> None:
+    def __init__(self, spark: SparkSession, tidy: bool = False) -> None:
         self.spark = spark
+        self.tidy = tidy
         self.paths: list[str] = []
         atexit.register(self._end)
 
@@ -110,6 +115,10 @@ class Scratch:
         self.paths.append(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
+        if self.tidy:
+            heap = self.spark._jvm.java.lang.Runtime.getRuntime()
+            if heap.totalMemory() >= HEAP_SHARE * heap.maxMemory():
+                self.release()
         return out
 
     def drop(self, df: DataFrame) -> None:

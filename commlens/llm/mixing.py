@@ -149,7 +149,7 @@ def draw(docs: DataFrame, plan: MixPlan | None = None) -> DataFrame:
     """The rows of the mix, each as often as it is taken, with the input's columns as they were. Texts are not shuffled while the
     leaves are few enough to send around."""
     plan = plan or default_plan()
-    scratch = Scratch(docs.sparkSession)
+    scratch = Scratch(docs.sparkSession, tidy=True)
     cuts = scratch.table(leaf_cuts(scratch.table(counted(docs, plan)), plan))
     rows = docs.select("*", *_named(plan), F.when(F.trim(F.translate(F.coalesce("text", F.lit("")), "\t\n\x0b\f\r", "     ")) != "", 1).otherwise(0).alias("tokens"))
     times = _attached(rows, cuts, plan).withColumn("__times", _copies(plan)).where("__times > 0")

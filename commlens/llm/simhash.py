@@ -306,7 +306,7 @@ def copy_links(scratch: Scratch, docs: DataFrame, sets: DataFrame) -> DataFrame:
     members = scratch.table(posts.select("s", "fp", F.count("*").over(group).alias("m"), hubs.alias("hubs")).where("m > 1").select("s", "fp", "hubs"))
     scratch.release()
     stars = members.select("fp", F.explode("hubs").alias("hub")).where("fp <> hub")
-    links = alike(by_fingerprints().union(stars.select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b"))))
+    links = alike(scratch.table(by_fingerprints()).union(stars.select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b"))))
     rooted = components(scratch, links).withColumnRenamed("node", "fp")
     now = members.join(rooted, "fp", "left").select("s", "fp", F.coalesce("root", "fp").alias("root"))
     # keys whose sets are not all connected
@@ -343,17 +343,17 @@ def link_documents(docs: DataFrame) -> DataFrame:
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
     """One row of each group that near copies (five-word shingles, similarity of 0.8 or more) connect, all columns as they are: that with the least doc_id (null ids
     last), of equal ids that of the least set number, of equal texts the first by its other columns. Rows of one doc_id with different texts are documents of their own."""
-    scratch = Scratch(docs.sparkSession)
+    scratch = Scratch(docs.sparkSession, tidy=True)
     key, nth = "__near_fp", "__near_nth"
-    every = scratch.table(shingle_sets(docs, common_shingles(docs)))
-    sets = scratch.table(every.groupBy("fp").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "some", "sim", "parity", "odd"))))
+    # the keys are by far the largest columns: they are written once, for distinct sets
+    sets = scratch.table(shingle_sets(docs, common_shingles(docs)).groupBy("fp").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "some", "sim", "parity", "odd"))))
+    scratch.release()
     rooted = components(scratch, copy_links(scratch, docs, sets)).toDF("fp", "root")
     found = sets.select("fp", "doc_id").join(rooted, "fp", "left").groupBy(F.coalesce("root", "fp").alias("root"))
     kept = found.agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp")).alias("k"))
     kept = scratch.table(kept.select("k.doc_id", F.col("k.fp").alias(key)))
     scratch.drop(sets)
-    often = scratch.table(every.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").select("doc_id"))
-    scratch.drop(every)
+    often = scratch.table(docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").select("doc_id"))
     scratch.release()
     if often.isEmpty():
         return docs.join(kept.select("doc_id"), "doc_id", "left_semi").select(*docs.columns)

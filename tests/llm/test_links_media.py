@@ -9,7 +9,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import functions as F
 
-from commlens.llm import audio, graph, mixing, secret_scan, simhash
+from commlens.llm import audio, common, graph, mixing, secret_scan, simhash
 from commlens.llm.common import Scratch
 
 
@@ -397,3 +397,17 @@ def test_budgets_are_read_not_derived_again(spark):
     cuts = mixing.leaf_cuts(mixing.counted(docs, plan), plan)
     text = cuts._jdf.queryExecution().optimizedPlan().toString()
     assert text.count("Window [") <= 10
+
+
+def test_keys_are_written_once_and_the_heap_is_freed(spark, monkeypatch):
+    """The keys, larger than all else that the stage writes, are in one table; after each table a heap that has grown is collected."""
+    tables, freed, table, release = [], [], Scratch.table, Scratch.release
+    monkeypatch.setattr(common, "HEAP_SHARE", 0.0)
+    monkeypatch.setattr(Scratch, "table", lambda self, df: (tables.append(df.columns), table(self, df))[1])
+    monkeypatch.setattr(Scratch, "release", lambda self: (freed.append(len(tables)), release(self))[1])
+    base = [f"w{i}" for i in range(90)]
+    rows = [" ".join(base), " ".join([*base[:89], "y"]), " ".join(base), " ".join(reversed(base))]
+    kept = simhash.keep_one_of_each(spark.createDataFrame(list(enumerate(rows)), "doc_id bigint, text string"))
+    assert sorted(r.doc_id for r in kept.collect()) == [0, 3]
+    assert sum("odd" in columns for columns in tables) == 1
+    assert set(freed) == set(range(1, len(tables) + 1))
